@@ -53,8 +53,8 @@ def groups_of_rows(batch: pa.RecordBatch, column: str, most: int = 2 << 20) -> I
         yield lo, len(values), values[lo:]
 
 
-def words(texts: list[bytes], lower: bool = True, block: int = 4 << 20) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """All words of the texts (separated by ASCII white space): row, start byte in its text, length, 64-bit hash.
+def words(texts: list[bytes], lower: bool = True, block: int = 4 << 20, separators: np.ndarray = _SEP) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """All words of the texts (between `separators`, by default ASCII white space, and the line feeds that join texts): row, start byte in its text, length, 64-bit hash.
 
     Works through blocks cut after a separator, so memory follows the block (or the longest word), not the text."""
     ends = np.cumsum([len(t) + 1 for t in texts])
@@ -64,11 +64,11 @@ def words(texts: list[bytes], lower: bool = True, block: int = 4 << 20) -> tuple
     lo = 0
     while lo < len(data):
         hi = min(len(data), lo + block)
-        while hi < len(data) and not _SEP[data[hi - 1]]:
-            stop = np.flatnonzero(_SEP[data[hi : hi + block]])
+        while hi < len(data) and not separators[data[hi - 1]]:
+            stop = np.flatnonzero(separators[data[hi : hi + block]])
             hi = hi + int(stop[0]) + 1 if len(stop) else min(len(data), hi + block)
         part = data[lo:hi]
-        sep = _SEP[part]
+        sep = separators[part]
         edge = np.flatnonzero(np.diff(np.concatenate([[True], sep, [True]]).view(np.int8)))
         s, e = edge[::2], edge[1::2]
         if len(s):
