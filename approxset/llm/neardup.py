@@ -7,9 +7,10 @@ it is missed with probability below 2*(1 - J^2)^s, 7.4e-5 at J = 0.8 and s = 10,
 
 Documents with the same shingle set are one class from the start (pre-aggregated by a 128-bit set hash), so groups of
 copies cost one member. In each table's bucket first all members are compared with the smallest one; what that links
-becomes components. Only buckets that still hold several components are compared further, across components only:
-small ones all at once, larger ones in rounds of pivots drawn by hash, until each bucket is in one component or all
-its cross-component pairs are compared. No pair list is quadratic in a group of near copies, and none is cut off.
+becomes components. Only buckets that still hold several components are compared further, across components only, in
+rounds: pivots drawn by hash among the members outside the bucket's largest component meet all members of other
+components (but for those that sizes or the triangle inequality rule out exactly) and leave, until each bucket is in one component or no pair across components is left. A group of near copies
+soon is one component with a few outliers; no pair list is quadratic in it, and none is cut off.
 
 Defined results: words are separated by ASCII white space and A-Z lower-cased; with fewer words than the width the whole
 sequence is one shingle; a null text or one without words has an empty set, is linked with nothing and is kept; rows with
@@ -26,7 +27,7 @@ from pyspark.sql import functions as F
 from . import textkit
 from .common import cut, documents, drop_cut, ship
 
-SMALL = 24
+PIVOTS = 128
 
 
 def shingle_sets(texts: list[bytes], width: int) -> list[np.ndarray]:
@@ -120,11 +121,11 @@ def components(links: DataFrame) -> DataFrame:
     return edges.select(F.col("x").alias("id"), F.col("y").alias("comp")) if label is None else cut(label, "components")
 
 
-def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Of the pairs (x, y), those whose full sets have 100 * intersection >= percent * union."""
+def _measured(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """x, y, nx, ny, d (Jaccard distance of the full sets), linked (100 * intersection >= percent * union) of the pairs."""
     sy, sx = sets.toDF("y", "sy"), sets.toDF("x", "sx")
     both = F.size(F.array_intersect("sx", "sy"))
-    return pairs.join(sy, "y").join(sx, "x").select("x", "y", both.alias("both"), (F.size("sx") + F.size("sy")).alias("sum")).filter(F.col("both") * 100 >= (F.col("sum") - F.col("both")) * percent).select("x", "y")
+    return pairs.join(sy, "y").join(sx, "x").select("x", "y", both.alias("both"), F.size("sx").alias("nx"), F.size("sy").alias("ny")).withColumn("union", F.col("nx") + F.col("ny") - F.col("both")).select("x", "y", "nx", "ny", (1 - F.col("both") / F.col("union")).alias("d"), (F.col("both") * 100 >= F.col("union") * percent).alias("linked"))
 
 
 def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, s: int = 10, seed: int = 7, text: str = "text", key: str = "doc_id") -> DataFrame:
@@ -140,29 +141,38 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, s: int =
     pairs = cut(members.filter("x != y").select("x", "y").distinct(), "pairs")
     involved = pairs.select(F.col("x").alias("doc_id")).union(pairs.select("y")).distinct()
     sets = cut(docs.join(involved, "doc_id", "left_semi").mapInArrow(_setter(width), "id long, shingles array<long>"), "sets")
-    links = cut(_confirmed(pairs, sets, percent), "confirmed")
+    first = cut(_measured(pairs, sets, percent), "measured")
+    links = first.filter("linked").select("x", "y")
     comp = components(links)
-    rest = members.select("bucket", "x")
+    # each member with its set's size and its distance to the bucket's smallest member
+    rest = members.join(first.select("x", "y", "nx", "ny", "d"), ["x", "y"], "left").select("bucket", "x", "y", "nx", "ny", "d")
+    sizes = first.groupBy(F.col("y").alias("x")).agg(F.max("ny").alias("n0"))
+    rest = rest.join(sizes, "x", "left").select("bucket", "x", F.coalesce("nx", "n0").alias("n"), F.coalesce("d", F.lit(0.0)).alias("d"))
     step = 0
     while True:
         step += 1
-        now = rest.join(comp.toDF("x", "comp"), "x", "left").select("bucket", "x", F.coalesce("comp", "x").alias("comp"))
-        open_ = now.groupBy("bucket").agg(F.count("*").alias("size"), F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("bucket", "size")
-        rest = cut(now.join(open_, "bucket"), "open")
+        now = rest.join(comp.toDF("x", "comp"), "x", "left").select("bucket", "x", "n", "d", F.coalesce("comp", "x").alias("comp"))
+        # of each bucket with several components, the largest one; the others' members are its outliers
+        main = now.groupBy("bucket", "comp").agg(F.count("*").alias("m")).groupBy("bucket").agg(F.max_by("comp", F.struct("m", "comp")).alias("main"), F.count("*").alias("comps")).filter("comps > 1").select("bucket", "main")
+        rest = cut(now.join(main, "bucket"), "open")
         if rest.isEmpty():
             break
-        small, large = rest.filter(F.col("size") <= SMALL), rest.filter(F.col("size") > SMALL)
-        lists = small.groupBy("bucket").agg(F.collect_list(F.struct("x", "comp")).alias("l"))  # at most SMALL entries
-        crossing = lists.select(F.explode("l").alias("p"), "l").select("p", F.explode("l").alias("q")).filter("p.x > q.x and p.comp != q.comp").select(F.col("p.x").alias("x"), F.col("q.x").alias("y"))
-        drawn = large.withColumn("nth", F.row_number().over(Window.partitionBy("bucket").orderBy(F.xxhash64("x", F.lit(step)), "x"))).filter("nth <= 8").select("bucket", F.col("x").alias("y"), F.col("comp").alias("cy"))
-        pivoted = large.join(drawn, "bucket").filter("x != y and comp != cy").select(F.greatest("x", "y").alias("x"), F.least("x", "y").alias("y"))
-        fresh = cut(crossing.unionByName(pivoted).distinct().join(pairs, ["x", "y"], "left_anti"), "pairs")
-        more = cut(_confirmed(fresh, sets, percent), "confirmed")
-        pairs, links = pairs.unionByName(fresh), links.unionByName(more)
+        order = Window.partitionBy("bucket").orderBy(F.xxhash64("x", F.lit(step)), "x")
+        pivots = rest.filter("comp != main").withColumn("nth", F.row_number().over(order)).filter(F.col("nth") <= (4 if step == 1 else PIVOTS)).select("bucket", F.col("x").alias("y"), F.col("comp").alias("cy"), F.col("n").alias("ny"), F.col("d").alias("dy"))
+        pivots = cut(pivots, "pivots")
+        # sizes too far apart can't be linked; nor, by the triangle inequality, distances to the same third set
+        near = (F.abs(rest["d"] - pivots["dy"]) <= 1 - percent / 100 + 1e-9) & (F.least(rest["n"], pivots["ny"]) * 100 >= F.greatest(rest["n"], pivots["ny"]) * percent)
+        crossing = rest.join(pivots, (rest["bucket"] == pivots["bucket"]) & (rest["comp"] != pivots["cy"]) & near)
+        fresh = cut(crossing.select(F.greatest("x", "y").alias("x"), F.least("x", "y").alias("y")).distinct(), "pairs")
+        more = cut(_measured(fresh, sets, percent).filter("linked").select("x", "y"), "confirmed")
         if not more.isEmpty():
-            comp = components(links)
-        # pivots have met all their bucket's members of other components, small buckets are done
-        rest = large.join(drawn.select("bucket", F.col("y").alias("x")), ["bucket", "x"], "left_anti").select("bucket", "x")
+            cx, cy = (comp.toDF(c, f"c{c}") for c in "xy")
+            joined = more.join(cx, "x", "left").join(cy, "y", "left").select(F.coalesce("cx", "x").alias("x"), F.coalesce("cy", "y").alias("y"))
+            merged = components(joined)  # of the components
+            known = comp.join(merged.toDF("comp", "into"), "comp", "left").select("id", F.coalesce("into", "comp").alias("comp"))
+            comp = cut(known.unionByName(merged.join(known.select("id"), "id", "left_anti")), "components")
+        # these pivots have met all their bucket's members of other components
+        rest = rest.join(pivots.select("bucket", F.col("y").alias("x")), ["bucket", "x"], "left_anti").select("bucket", "x", "n", "d")
     drop_cut(members)
     per_class = classes.join(comp.toDF("rep", "comp"), "rep", "left").select("h1", "h2", "n", F.coalesce("comp", "rep").alias("comp"))
     out = signed.select("doc_id", "n", "h1", "h2").join(per_class, ["h1", "h2", "n"], "left")
