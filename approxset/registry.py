@@ -2,5 +2,7 @@
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from .workloads import base, baselines, experiments, membership, relational, streams, tiers  # noqa: F401
+
+QUERIES = base.QUERIES
+ORACLES = base.ORACLES
