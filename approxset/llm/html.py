@@ -35,7 +35,7 @@ NAMES = re.compile(r"(?:^|[\s_-])(?:ads?|advert\w*|banner|sponsor\w*|promo\w*|co
 ROLES = frozenset("navigation banner contentinfo complementary search form menu alert dialog".split())
 TOKEN = re.compile(r"<!--.*?(?:-->|$)|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^>\"'])*)(?:>|$)|<[!?][^>]*(?:>|$)", re.S)
 ATTR = re.compile(r"(class|id|role|hidden|aria-hidden)\s*(?:=\s*(\"[^\"]*\"|'[^']*'|[^\s>]+))?", re.I)
-START = {"word": 1.0, "link": -1.0, "furniture": -4.0, "tag": -2.0, "mark": -0.5, "hard": -30.0}
+START = {"word": 1.0, "link": -1.0, "furniture": -0.5, "tag": -2.0, "mark": -0.5, "hard": -6.0}
 INLINE = frozenset("a abbr b bdi bdo big cite code del dfn em font i ins kbd mark q s samp small span strike strong sub sup time tt u var wbr br img".split())
 
 
@@ -141,9 +141,9 @@ def fit_weights(pages: list[str]) -> dict[str, float]:
         elif k == "link":
             w[k] = min(max(o, -2.0), 0.5)
         elif k == "furniture":
-            w[k] = min(o, -2.0)
+            w[k] = min(max(o, -1.0), -0.25)
         elif k == "hard":
-            w[k] = min(10 * o, -20.0)
+            w[k] = min(max(2 * o, -8.0), -4.0)
         else:
             w[k] = min(max(o - 1, -6.0), -0.05)
     return w
@@ -153,7 +153,9 @@ def region(toks: list, w: dict[str, float]) -> tuple[int, int]:
     """The contiguous run of tokens of largest total; (0, 0) where none is positive. Earliest of equal ones."""
     best = run = 0.0
     lo = hi = start = 0
-    for i, (kind, value, _, _) in enumerate(toks):
+    for i, (kind, value, odd, inside) in enumerate(toks):
+        if inside and (odd or kind == "hard"):  # furniture nested in an article element is left out, not a border
+            continue
         if kind in ("word", "link", "furniture"):
             run += w[kind] * len(value.split())
         else:

@@ -176,7 +176,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, s: int =
     drop_cut(members)
     per_class = classes.join(comp.toDF("rep", "comp"), "rep", "left").select("h1", "h2", "n", F.coalesce("comp", "rep").alias("comp"))
     out = signed.select("doc_id", "n", "h1", "h2").join(per_class, ["h1", "h2", "n"], "left")
-    component = F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.coalesce("comp", "doc_id"))
+    component = F.when((F.col("n") == 0) | F.col("doc_id").isNull(), F.col("doc_id")).otherwise(F.coalesce("comp", "doc_id"))
     return out.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id")).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
 
