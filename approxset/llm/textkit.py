@@ -39,7 +39,7 @@ def mix(h: np.ndarray) -> np.ndarray:
     return h
 
 
-def groups_of_rows(batch: pa.RecordBatch, column: str, most: int = 2 << 20) -> Iterator[tuple[int, int, list[bytes]]]:
+def groups_of_rows(batch: pa.RecordBatch, column: str, most: int = 1 << 19) -> Iterator[tuple[int, int, list[bytes]]]:
     """Rows of a batch in runs of about `most` text bytes, at least one row each: (first, last, texts); null is empty."""
     col = batch.column(batch.schema.get_field_index(column))
     values = [x or b"" for x in col.cast(pa.binary()).to_pylist()]
@@ -53,7 +53,7 @@ def groups_of_rows(batch: pa.RecordBatch, column: str, most: int = 2 << 20) -> I
         yield lo, len(values), values[lo:]
 
 
-def words(texts: list[bytes], lower: bool = True, block: int = 4 << 20, separators: np.ndarray = _SEP) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+def words(texts: list[bytes], lower: bool = True, block: int = 1 << 20, separators: np.ndarray = _SEP) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """All words of the texts (between `separators`, by default ASCII white space, and the line feeds that join texts): row, start byte in its text, length, 64-bit hash.
 
     Works through blocks cut after a separator, so memory follows the block (or the longest word), not the text."""
