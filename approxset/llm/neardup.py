@@ -65,6 +65,7 @@ def _signer(width: int, s: int, seed: int):
     schema = pa.schema([("doc_id", pa.int64()), ("n", pa.int64()), ("h1", pa.int64()), ("h2", pa.int64()), ("a", pa.list_(pa.int64())), ("b", pa.list_(pa.int64()))])
 
     def sign(batches):
+        textkit.release()
         for batch in batches:
             ids = batch.column(0)
             for lo, hi, texts in textkit.groups_of_rows(batch, "text"):
@@ -91,6 +92,7 @@ def _setter(width: int):
     schema = pa.schema([("id", pa.int64()), ("shingles", pa.list_(pa.int64()))])
 
     def sets(batches):
+        textkit.release()
         for batch in batches:
             for lo, hi, texts in textkit.groups_of_rows(batch, "text"):
                 got = shingle_sets(texts, width)

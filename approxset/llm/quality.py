@@ -147,6 +147,7 @@ def _dense(sparse: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
 
 def _scorer(sparse, cuts: np.ndarray):
     def run(batches):
+        textkit.release()
         w = _dense(sparse)
         for batch in batches:
             for lo, hi, texts in textkit.groups_of_rows(batch, "text"):
@@ -174,6 +175,7 @@ def keep_good(docs: DataFrame, labels: DataFrame, least: float = 0.5) -> DataFra
     sparse = _sparse(w)
 
     def run(batches):
+        textkit.release()
         w = _dense(sparse)
         for batch in batches:
             for lo, hi, texts in textkit.groups_of_rows(batch, "text"):

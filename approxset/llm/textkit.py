@@ -166,6 +166,15 @@ class WordEncoder:
 _encoders: dict[str, WordEncoder] = {}
 
 
+def release() -> None:
+    """Free the caches that earlier operators left in this Python worker, which Spark reuses."""
+    import gc
+
+    if _encoders:
+        _encoders.clear()
+        gc.collect()
+
+
 def word_encoder(path: str) -> WordEncoder:
     """One encoder per Python worker, kept between tasks."""
     if path not in _encoders:
