@@ -7,10 +7,10 @@ it is missed with probability below 2*(1 - J^2)^s, 7.4e-5 at J = 0.8 and s = 10,
 
 Documents with the same shingle set are one class from the start (pre-aggregated by a 128-bit set hash), so groups of
 copies cost one member. In each table's bucket first all members are compared with the smallest one; what that links
-becomes components. Only buckets that still hold several components are compared further, across components only, in
-rounds: pivots drawn by hash among the members outside the bucket's largest component meet all members of other
-components (but for those that sizes or the triangle inequality rule out exactly) and leave, until each bucket is in one component or no pair across components is left. A group of near copies
-soon is one component with a few outliers; no pair list is quadratic in it, and none is cut off.
+becomes components. In buckets that still hold several components, a few pivots drawn by hash among the members outside the
+largest one meet all members of other components (but for those that sizes or the triangle inequality rule out
+exactly). What is then still mixed is settled exactly by its rarest shingles (`_sharing_rare`). A group of near
+copies is soon one component with a few outliers; no pair list is quadratic in it, and none is cut off.
 
 Defined results: words are separated by ASCII white space and A-Z lower-cased; with fewer words than the width the whole
 sequence is one shingle; a null text or one without words has an empty set, is linked with nothing and is kept; rows with
@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from . import textkit
 from .common import cut, documents, drop_cut, ship
 
-PIVOTS = 128
+PIVOTS = 4
 
 
 def shingle_sets(texts: list[bytes], width: int) -> list[np.ndarray]:
@@ -130,6 +130,40 @@ def _measured(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return pairs.join(sy, "y").join(sx, "x").select("x", "y", both.alias("both"), F.size("sx").alias("nx"), F.size("sy").alias("ny")).withColumn("union", F.col("nx") + F.col("ny") - F.col("both")).select("x", "y", "nx", "ny", (1 - F.col("both") / F.col("union")).alias("d"), (F.col("both") * 100 >= F.col("union") * percent).alias("linked"))
 
 
+def _open(rest: DataFrame, comp: DataFrame) -> DataFrame:
+    """The members of buckets that hold several components, with their own and their bucket's largest one (main)."""
+    now = rest.join(comp.toDF("x", "comp"), "x", "left").select("bucket", "x", "n", "d", F.coalesce("comp", "x").alias("comp"))
+    main = now.groupBy("bucket", "comp").agg(F.count("*").alias("m")).groupBy("bucket").agg(F.max_by("comp", F.struct("m", "comp")).alias("main"), F.count("*").alias("comps")).filter("comps > 1").select("bucket", "main")
+    return cut(now.join(main, "bucket"), "open")
+
+
+def _merged(comp: DataFrame, links: DataFrame) -> DataFrame:
+    """The components after further links."""
+    if links.isEmpty():
+        return comp
+    cx, cy = (comp.toDF(c, f"c{c}") for c in "xy")
+    between = components(links.join(cx, "x", "left").join(cy, "y", "left").select(F.coalesce("cx", "x").alias("x"), F.coalesce("cy", "y").alias("y")))
+    known = comp.join(between.toDF("comp", "into"), "comp", "left").select("id", F.coalesce("into", "comp").alias("comp"))
+    return cut(known.unionByName(between.join(known.select("id"), "id", "left_anti")), "components")
+
+
+def _sharing_rare(left: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Pairs (x, y) across the components of `left` (x, comp), among them every one that is linked.
+
+    With each set ordered by its shingles' frequency, rarest first, a pair whose first common shingle stands so far back that
+    what follows is less than the overlap a link takes can't be linked. So only the rare ends of the sets meet, and
+    texts that share a passage but are otherwise different don't. Exact, whatever the size of a group."""
+    each = sets.join(left, F.col("id") == F.col("x")).select("x", "comp", F.size("shingles").alias("n"), F.explode("shingles").alias("t"))
+    often = each.groupBy("t").agg(F.count("*").alias("f"))
+    place = each.join(often, "t").withColumn("at", F.row_number().over(Window.partitionBy("x").orderBy("f", "t")))
+    rare = cut(place.filter(f"f > 1 and (n - at + 1) * 100 >= n * {percent}").select("t", "x", "comp", "n", (F.col("n") - F.col("at") + 1).alias("after")), "rare")
+    main = rare.groupBy("t", "comp").agg(F.count("*").alias("m")).groupBy("t").agg(F.max_by("comp", F.struct("m", "comp")).alias("main"), F.count("*").alias("comps")).filter("comps > 1").select("t", "main")
+    some = rare.join(main, "t")
+    p, q = some.filter("comp != main").alias("p"), some.alias("q")
+    meet = F.expr(f"p.t = q.t and p.comp != q.comp and (q.comp = q.main or p.x > q.x) and least(p.after, q.after) * {100 + percent} >= (p.n + q.n) * {percent}")
+    return p.join(q, meet).select(F.greatest("p.x", "q.x").alias("x"), F.least("p.x", "q.x").alias("y")).distinct()
+
+
 def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, s: int = 10, seed: int = 7, text: str = "text", key: str = "doc_id") -> DataFrame:
     """doc_id, n_shingles, component_id, kept: one row per row of `docs`."""
     ship(docs.sparkSession)
@@ -150,31 +184,19 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, s: int =
     rest = members.join(first.select("x", "y", "nx", "ny", "d"), ["x", "y"], "left").select("bucket", "x", "y", "nx", "ny", "d")
     sizes = first.groupBy(F.col("y").alias("x")).agg(F.max("ny").alias("n0"))
     rest = rest.join(sizes, "x", "left").select("bucket", "x", F.coalesce("nx", "n0").alias("n"), F.coalesce("d", F.lit(0.0)).alias("d"))
-    step = 0
-    while True:
-        step += 1
-        now = rest.join(comp.toDF("x", "comp"), "x", "left").select("bucket", "x", "n", "d", F.coalesce("comp", "x").alias("comp"))
-        # of each bucket with several components, the largest one; the others' members are its outliers
-        main = now.groupBy("bucket", "comp").agg(F.count("*").alias("m")).groupBy("bucket").agg(F.max_by("comp", F.struct("m", "comp")).alias("main"), F.count("*").alias("comps")).filter("comps > 1").select("bucket", "main")
-        rest = cut(now.join(main, "bucket"), "open")
-        if rest.isEmpty():
-            break
-        order = Window.partitionBy("bucket").orderBy(F.xxhash64("x", F.lit(step)), "x")
-        pivots = rest.filter("comp != main").withColumn("nth", F.row_number().over(order)).filter(F.col("nth") <= (4 if step == 1 else PIVOTS)).select("bucket", F.col("x").alias("y"), F.col("comp").alias("cy"), F.col("n").alias("ny"), F.col("d").alias("dy"))
-        pivots = cut(pivots, "pivots")
+    rest = _open(rest, comp)
+    if not rest.isEmpty():
+        # a few pivots of each mixed bucket meet its members, so that large groups that the smallest member missed come together
+        order = Window.partitionBy("bucket").orderBy(F.xxhash64("x"), "x")
+        pivots = rest.filter("comp != main").withColumn("nth", F.row_number().over(order)).filter(F.col("nth") <= PIVOTS).select("bucket", F.col("x").alias("y"), F.col("comp").alias("cy"), F.col("n").alias("ny"), F.col("d").alias("dy"))
         # sizes too far apart can't be linked; nor, by the triangle inequality, distances to the same third set
         near = (F.abs(rest["d"] - pivots["dy"]) <= 1 - percent / 100 + 1e-9) & (F.least(rest["n"], pivots["ny"]) * 100 >= F.greatest(rest["n"], pivots["ny"]) * percent)
         crossing = rest.join(pivots, (rest["bucket"] == pivots["bucket"]) & (rest["comp"] != pivots["cy"]) & near)
         fresh = cut(crossing.select(F.greatest("x", "y").alias("x"), F.least("x", "y").alias("y")).distinct(), "pairs")
-        more = cut(_measured(fresh, sets, percent).filter("linked").select("x", "y"), "confirmed")
-        if not more.isEmpty():
-            cx, cy = (comp.toDF(c, f"c{c}") for c in "xy")
-            joined = more.join(cx, "x", "left").join(cy, "y", "left").select(F.coalesce("cx", "x").alias("x"), F.coalesce("cy", "y").alias("y"))
-            merged = components(joined)  # of the components
-            known = comp.join(merged.toDF("comp", "into"), "comp", "left").select("id", F.coalesce("into", "comp").alias("comp"))
-            comp = cut(known.unionByName(merged.join(known.select("id"), "id", "left_anti")), "components")
-        # these pivots have met all their bucket's members of other components
-        rest = rest.join(pivots.select("bucket", F.col("y").alias("x")), ["bucket", "x"], "left_anti").select("bucket", "x", "n", "d")
+        comp = _merged(comp, cut(_measured(fresh, sets, percent).filter("linked").select("x", "y"), "confirmed"))
+        left = cut(_open(rest.select("bucket", "x", "n", "d"), comp).select("x", "comp").distinct(), "mixed")
+        fresh = cut(_sharing_rare(left, sets, percent), "pairs")
+        comp = _merged(comp, cut(_measured(fresh, sets, percent).filter("linked").select("x", "y"), "confirmed"))
     drop_cut(members)
     per_class = classes.join(comp.toDF("rep", "comp"), "rep", "left").select("h1", "h2", "n", F.coalesce("comp", "rep").alias("comp"))
     out = signed.select("doc_id", "n", "h1", "h2").join(per_class, ["h1", "h2", "n"], "left")
