@@ -7,8 +7,8 @@ it is missed with probability below 2*(1 - J^2)^s, 7.4e-5 at J = 0.8 and s = 10,
 
 Documents with the same shingle set are one class from the start (pre-aggregated by a 128-bit set hash), so groups of
 copies cost one member. In each table's bucket first all members are compared with the smallest one; what that links
-becomes components. In buckets that still hold several components, a few pivots drawn by hash among the members outside the
-largest one meet all members of other components (but for those that sizes or the triangle inequality rule out
+becomes components. In buckets that still hold several components, a pivot drawn by hash among the members outside the
+largest one meets all members of other components (but for those that sizes or the triangle inequality rule out
 exactly). What is then still mixed is settled exactly by its rarest shingles (`_sharing_rare`). A group of near
 copies is soon one component with a few outliers; no pair list is quadratic in it, and none is cut off.
 
@@ -27,8 +27,6 @@ from pyspark.sql import functions as F
 from . import textkit
 from .common import cut, documents, drop_cut, ship
 
-PIVOTS = 4
-
 
 def shingle_sets(texts: list[bytes], width: int) -> list[np.ndarray]:
     """The distinct shingles of each text as sorted 64-bit hashes."""
@@ -186,9 +184,9 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, s: int =
     rest = rest.join(sizes, "x", "left").select("bucket", "x", F.coalesce("nx", "n0").alias("n"), F.coalesce("d", F.lit(0.0)).alias("d"))
     rest = _open(rest, comp)
     if not rest.isEmpty():
-        # a few pivots of each mixed bucket meet its members, so that large groups that the smallest member missed come together
-        order = Window.partitionBy("bucket").orderBy(F.xxhash64("x"), "x")
-        pivots = rest.filter("comp != main").withColumn("nth", F.row_number().over(order)).filter(F.col("nth") <= PIVOTS).select("bucket", F.col("x").alias("y"), F.col("comp").alias("cy"), F.col("n").alias("ny"), F.col("d").alias("dy"))
+        # one pivot of each mixed bucket meets its members, so that large groups that the smallest member missed come together
+        drawn = F.min_by(F.struct("x", "comp", "n", "d"), F.struct(F.xxhash64("x"), "x"))
+        pivots = rest.filter("comp != main").groupBy("bucket").agg(drawn.alias("p")).select("bucket", F.col("p.x").alias("y"), F.col("p.comp").alias("cy"), F.col("p.n").alias("ny"), F.col("p.d").alias("dy"))
         # sizes too far apart can't be linked; nor, by the triangle inequality, distances to the same third set
         near = (F.abs(rest["d"] - pivots["dy"]) <= 1 - percent / 100 + 1e-9) & (F.least(rest["n"], pivots["ny"]) * 100 >= F.greatest(rest["n"], pivots["ny"]) * percent)
         crossing = rest.join(pivots, (rest["bucket"] == pivots["bucket"]) & (rest["comp"] != pivots["cy"]) & near)
