@@ -87,6 +87,32 @@ def test_near_dedup(spark, width):
     assert neardup.near_duplicates(docs(spark, []), width).count() == 0
 
 
+def test_near_dedup_mixed_group(spark):
+    """Texts that share a passage, among near copies below and above the limit: no link is lost, few pairs are proposed."""
+    rng = random.Random(5)
+    passage = [f"t{rng.randrange(500)}" for _ in range(60)]
+    rows = []
+    for i in range(70):
+        w = list(passage)
+        for k in range(28, 60) if i % 2 else rng.sample(range(60), 2 + i % 7):
+            w[k] = f"u{rng.randrange(5000)}"
+        rows.append((i, " ".join(w)))
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in neardup.near_duplicates(docs(spark, rows), 2).collect()}
+    assert got == near_brute(rows, 2, 80)
+    sets = neardup.shingle_sets([t.encode() for _, t in rows], 2)
+    frame = spark.createDataFrame([(i, x.view(np.int64).tolist()) for (i, _), x in zip(rows, sets, strict=True)], "id long, shingles array<long>")
+    alone = spark.createDataFrame([(i, i) for i, _ in rows], "x long, comp long")
+    pairs = {(r["x"], r["y"]) for r in neardup._sharing_rare(alone, frame, 80).collect()}
+    links = set()
+    for i in range(70):
+        for j in range(i):
+            both = len(np.intersect1d(sets[i], sets[j]))
+            if 100 * both >= 80 * (len(sets[i]) + len(sets[j]) - both):
+                links.add((i, j))
+    assert links and links <= pairs
+    assert len(pairs) < 70 * 69 // 4
+
+
 def test_near_dedup_null_and_repeated_ids(spark):
     out = neardup.near_duplicates(docs(spark, ROWS)).collect()
     assert len(out) == len(ROWS) and all(r["kept"] for r in out if r["doc_id"] in (None, 1, 2, 7))
