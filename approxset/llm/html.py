@@ -204,7 +204,11 @@ def extract(pages: DataFrame, sample: int = 200, weights: dict[str, float] | Non
     """page_id, url, text, n_chars. Weights are fitted on at most `sample` pages with an article element, drawn by hash."""
     ship(pages.sparkSession)
     if weights is None:
-        seen = pages.filter(F.contains(F.lower("html"), F.lit("<article"))).select("page_id", "html").orderBy(F.xxhash64("page_id"), "page_id").limit(sample)
+        marked = pages.filter(F.contains(F.lower("html"), F.lit("<article"))).select("page_id", "html")
+        # each partition would send `sample` whole pages to the driver: the expected lowest hashes are kept before that
+        share = min(1.0, 2 * sample / max(1, marked.count()))
+        lowest = F.xxhash64("page_id") <= F.lit(int(share * (2**64 - 1)) - 2**63 if share < 1 else 2**63 - 1)
+        seen = marked.filter(lowest).orderBy(F.xxhash64("page_id"), "page_id").limit(sample)
         weights = fit_weights([r["html"] for r in seen.collect()])
     return pages.select("page_id", "url", "html").mapInArrow(_extractor(weights), "page_id long, url string, text string, n_chars long")
 
