@@ -8,18 +8,25 @@ from pyspark.sql import functions as F
 from ..sources.tables import key_text
 
 
-def feed(spark: SparkSession, events: DataFrame, folder: str, files: int, again: int | None = None) -> DataFrame:
-    """The events as a stream of files by id range, timestamps with zone; `again` delivers one of them twice."""
+def feed(spark: SparkSession, events: DataFrame, folder: str, files: int, again: int | None = None, late: int | None = None, closing: bool = False) -> DataFrame:
+    """The events as a stream of files by id range, timestamps with zone.
+
+    `again` delivers a file twice, `late` delivers it after the others, `closing` ends with one row of a year later, without
+    id, type or user, which moves the watermark past every window."""
     lo, hi = events.agg(F.min("event_id"), F.max("event_id")).first()
     d = events.withColumn("ts", F.col("ts").cast("timestamp"))
-    for i in [*range(files), *([again] if again is not None else [])]:
+    order = [*(i for i in range(files) if i != late), *(i for i in (again, late) if i is not None)]
+    for i in order:
         a, b = lo + (hi - lo + 1) * i // files, lo + (hi - lo + 1) * (i + 1) // files
         d.filter((F.col("event_id") >= a) & (F.col("event_id") < b)).coalesce(1).write.mode("append").parquet(folder)
+    if closing:
+        end = d.agg((F.max("ts") + F.expr("INTERVAL 366 DAYS")).alias("ts"))
+        end.select(*[F.col(f.name) if f.name == "ts" else F.lit(None).cast(f.dataType).alias(f.name) for f in d.schema]).coalesce(1).write.mode("append").parquet(folder)
     return spark.readStream.schema(d.schema).option("maxFilesPerTrigger", 1).parquet(folder)
 
 
-def stream(spark, events, folder, files=5, again=None) -> DataFrame:
-    return feed(spark, events, f"{folder}/in", files, again)
+def stream(spark, events, folder, files=5, again=None, late=None, closing=False) -> DataFrame:
+    return feed(spark, events, f"{folder}/in", files, again, late, closing)
 
 
 def drained(query: DataFrame, folder: str, mode: str = "append") -> DataFrame:
@@ -52,6 +59,43 @@ def windowed(spark, events, folder, window) -> DataFrame:
     return out.groupBy("start", "event_type").agg(F.max_by("n", "batch").alias("n"))
 
 
+def sessions(spark, events, folder, gap: str = "30 minutes") -> DataFrame:
+    """A user's events at most `gap` apart; a session leaves the state when the watermark passes its end.
+
+    No filter by user: Catalyst would push it below the watermark and take the closing row away."""
+    s = stream(spark, events, folder, closing=True).withWatermark("ts", "2 days")
+    w = s.groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("n"))
+    return drained(w.select(F.unix_micros("w.start").alias("start"), "user_id", "n"), folder)
+
+
+def hourly_without_late(spark, events, folder, late: int) -> DataFrame:
+    """Hourly counts under a watermark of one hour; rows of windows that are already closed are dropped."""
+    s = stream(spark, events, folder, late=late, closing=True).withWatermark("ts", "1 hour")
+    w = s.groupBy(F.window("ts", "1 hour").alias("w")).agg(F.count("event_id").alias("n"))
+    return drained(w.select(F.unix_seconds("w.start").alias("start"), "n").filter("n > 0"), folder)
+
+
+def purchases_after_clicks(spark, events, folder, within: str = "1 HOUR") -> DataFrame:
+    """Stream-stream join by user inside an interval; the watermarks bound both sides' state."""
+    s = stream(spark, events, folder)
+    c = s.filter("event_type = 'click'").select(F.col("event_id").alias("click"), F.col("user_id").alias("cu"), F.col("ts").alias("ct")).withWatermark("ct", "2 days")
+    p = s.filter("event_type = 'purchase'").select(F.col("event_id").alias("purchase"), F.col("user_id").alias("pu"), F.col("ts").alias("pt")).withWatermark("pt", "2 days")
+    return drained(c.join(p, F.expr(f"cu = pu AND pt >= ct AND pt <= ct + INTERVAL {within}")).select("click", "purchase"), folder)
+
+
+def interleaved(spark, ops: DataFrame, target, folder, files: int = 5) -> DataFrame:
+    """Rows (event_id, ts, op, k): a batch's inserts go into the filter, then its lookups are answered.
+
+    A replayed batch inserts nothing twice and overwrites its own answers."""
+
+    def put(batch: DataFrame, batch_id: int) -> None:
+        target.ingest(batch.filter("op = 'insert'").select("k"), batch=f"stream {batch_id}")
+        target.probe(batch.filter("op = 'lookup'").select("event_id", "k")).select("event_id", "k", "maybe").write.mode("overwrite").parquet(f"{folder}/out/batch={batch_id}")
+
+    feed(spark, ops, f"{folder}/in", files).writeStream.foreachBatch(put).option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema("event_id long, k string, maybe boolean").option("recursiveFileLookup", "true").parquet(f"{folder}/out")
+
+
 def deduplicated(spark, events, folder) -> DataFrame:
     s = stream(spark, events, folder, 5, again=2).withWatermark("ts", "30 days")
     return drained(s.dropDuplicatesWithinWatermark(["event_id"]).select("event_id"), folder)

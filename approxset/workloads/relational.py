@@ -140,3 +140,15 @@ def scan_formats(spark, d):
         n.write.mode("overwrite").format(kind).save(f"{base}/{kind}")
         out.append(spark.read.schema(n.schema).format(kind).load(f"{base}/{kind}"))
     return out[0].intersect(out[1]).intersect(out[2])
+
+
+@query("scan_parquet_bloom", "SELECT l_orderkey, count(*) AS n FROM lineitem WHERE l_orderkey IN (SELECT l_orderkey FROM lineitem WHERE l_quantity > 49) GROUP BY 1")
+def scan_parquet_bloom(spark, d):
+    """Parquet's own Bloom filter on a column, written beside the pages and used to skip row groups."""
+    from .membership import work_folder
+
+    path = f"{work_folder(spark)}/lines"
+    li = src.table(spark, d, "lineitem").select("l_orderkey", "l_quantity")
+    li.write.option("parquet.bloom.filter.enabled#l_orderkey", "true").parquet(path)
+    stored = spark.read.schema(li.schema).parquet(path)
+    return stored.join(stored.filter("l_quantity > 49").select("l_orderkey"), "l_orderkey", "left_semi").groupBy("l_orderkey").agg(F.count("*").alias("n"))

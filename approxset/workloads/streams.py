@@ -48,6 +48,46 @@ def st_sliding(spark, d):
     return jobs.windowed(spark, src.table(spark, d, "events"), work_folder(spark), F.window("ts", "2 hours", "1 hour"))
 
 
+@query("st_session", """WITH e AS (SELECT user_id, ts, ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) <= INTERVAL 30 MINUTE AS joins FROM events),
+    s AS (SELECT user_id, ts, count(*) FILTER (WHERE joins IS NOT TRUE) OVER (PARTITION BY user_id ORDER BY ts RANGE UNBOUNDED PRECEDING) AS i FROM e)
+    SELECT epoch_us(min(ts)) AS start, user_id, count(*) AS n FROM s GROUP BY user_id, i""")
+def st_session(spark, d):
+    return jobs.sessions(spark, src.table(spark, d, "events"), work_folder(spark))
+
+
+LATE, FILES = 2, 5
+LO, HI = f"lo + (hi - lo + 1) * {LATE} // {FILES}", f"lo + (hi - lo + 1) * {LATE + 1} // {FILES}"
+
+
+@query("st_late", f"""WITH b AS (SELECT min(event_id) AS lo, max(event_id) AS hi FROM events)
+    SELECT epoch(date_trunc('hour', ts))::BIGINT AS start, count(*) AS n FROM events, b WHERE event_id < {LO} OR event_id >= {HI} GROUP BY 1""")
+def st_late(spark, d):
+    """The third of five files comes last: its windows are closed, so all its rows are dropped."""
+    return jobs.hourly_without_late(spark, src.table(spark, d, "events"), work_folder(spark), LATE)
+
+
+@query("st_stream_join", "SELECT a.event_id AS click, b.event_id AS purchase FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts BETWEEN a.ts AND a.ts + INTERVAL 1 HOUR")
+def st_stream_join(spark, d):
+    return jobs.purchases_after_clicks(spark, src.table(spark, d, "events"), work_folder(spark))
+
+
+@query("st_interleaved", f"""WITH b AS (SELECT min(o_orderkey) AS lo, max(o_orderkey) AS hi FROM orders),
+    o AS (SELECT o_orderkey, (SELECT count(*) FROM range(1, {FILES}) t(i) WHERE o_orderkey - lo >= (hi - lo + 1) * i // {FILES}) AS batch FROM orders, b),
+    spec AS (SELECT greatest(1, ceil(log2(count(*) / 0.75)))::BIGINT + 9 AS p FROM orders),
+    put AS (SELECT {H60.replace('k)', 'o_orderkey::VARCHAR)')} // pow(2, 60 - p)::BIGINT AS fp, min(batch) AS batch FROM o, spec GROUP BY 1),
+    ask AS (SELECT o_orderkey, batch, (o_orderkey + i * (hi - lo + 1) // 2)::VARCHAR AS k FROM o, b, range(0, 3) t(i))
+    SELECT o_orderkey AS event_id, k, coalesce(put.batch <= ask.batch, false) AS maybe FROM ask, spec LEFT JOIN put ON fp = {H60} // pow(2, 60 - p)::BIGINT""")
+def st_interleaved(spark, d):
+    """Each batch inserts its orders, then looks up them, keys half the domain on, and keys outside."""
+    o = src.table(spark, d, "orders").select(F.col("o_orderkey").alias("event_id"), F.col("o_orderdate").alias("ts"))
+    lo, hi = o.agg(F.min("event_id"), F.max("event_id")).first()
+    puts = o.select("*", F.lit("insert").alias("op"), src.key_text("event_id").alias("k"))
+    asks = o.select("*", F.lit("lookup").alias("op"), F.explode(F.array(*[(F.col("event_id") + i * (hi - lo + 1) // 2).cast("string") for i in range(3)])).alias("k"))
+    folder = work_folder(spark)
+    f = tiered.LevelledFilter(spark, f"{folder}/filter", spec_for(puts), -(-o.count() // FILES))
+    return jobs.interleaved(spark, puts.unionByName(asks), f, folder, FILES)
+
+
 @query("st_dedup_exact", "SELECT DISTINCT event_id FROM events")
 def st_dedup_exact(spark, d):
     """A file delivered twice."""

@@ -5,7 +5,7 @@ from approxset import registry
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: One of each family; the driver compares all of them.
-SOME = ["fp_orders", "qf_slots", "qf_packed_decode", "qf_probe_shard", "qf_resize_up", "var_sync_offsets", "var_reserved_probe", "var_ordered_decode", "bf_probe", "cbf_delete_probe", "lyb_probe", "lqf_probe_levels", "w06_load_nine_tenths", "cluster_histogram", "w14_join_prefilter", "st_ingest_lqf", "st_dedup_exact"]
+SOME = ["fp_orders", "qf_slots", "qf_packed_decode", "qf_probe_shard", "qf_resize_up", "var_sync_offsets", "var_reserved_probe", "var_ordered_decode", "bf_probe", "cbf_delete_probe", "lyb_probe", "lqf_probe_levels", "w06_load_nine_tenths", "cluster_histogram", "w14_join_prefilter", "st_ingest_lqf", "st_dedup_exact", "st_session", "st_late", "st_stream_join", "st_interleaved", "udf_merge_filters", "udf_filter_slots", "udf_might_contain", "udf_bloom_might_contain"]
 
 
 def rows(df):
