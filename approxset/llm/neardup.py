@@ -6,11 +6,12 @@ instead of 4*s*s. A pair of similarity J shares a table unless one collection ha
 it is missed with probability below 2*(1 - J^2)^s, 7.4e-5 at J = 0.8 and s = 10, 2e-8 at 0.9.
 
 Documents with the same shingle set are one class from the start (pre-aggregated by a 128-bit set hash), so groups of
-copies cost one member. In each table's bucket first all members are compared with the smallest one; what that links
-becomes components. In buckets that still hold several components, a pivot drawn by hash among the members outside the
-largest one meets all members of other components (but for those that sizes or the triangle inequality rule out
-exactly). What is then still mixed is settled exactly by its rarest shingles (`_sharing_rare`). A group of near
-copies is soon one component with a few outliers; no pair list is quadratic in it, and none is cut off.
+copies cost one member. First each document is compared with one other, the smallest it shares a bucket with; what that
+links becomes components. In buckets that still hold several components, a pivot is drawn by hash among the members
+outside the largest one, and each member is compared with one such pivot of another component, for `PIVOT_ROUNDS`
+rounds; so a group of near copies is soon one component with a few outliers, at one pair a document and round, however
+many tables it shares. All members of buckets that are then still mixed are settled exactly by their rarest shingles
+(`_sharing_rare`). No pair list is quadratic in a group, and none is cut off.
 
 Defined results: words are separated by ASCII white space and A-Z lower-cased; with fewer words than the width the whole
 sequence is one shingle; a null text or one without words has an empty set, is linked with nothing and is kept; rows with
@@ -27,6 +28,9 @@ from pyspark.sql import functions as F
 from . import textkit
 from .common import cut, documents, drop_cut, ship
 
+#: More rounds only leave less to the exact last step; the result is the same.
+PIVOT_ROUNDS = 2
+
 
 def shingle_sets(texts: list[bytes], width: int) -> list[np.ndarray]:
     """The distinct shingles of each text as sorted 64-bit hashes."""
@@ -121,20 +125,28 @@ def components(links: DataFrame) -> DataFrame:
     return edges.select(F.col("x").alias("id"), F.col("y").alias("comp")) if label is None else cut(label, "components")
 
 
-def _measured(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """x, y, nx, ny, d (Jaccard distance of the full sets), linked (100 * intersection >= percent * union) of the pairs."""
+def _linked(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Those pairs (x, y) whose full sets have 100 * intersection >= percent * union."""
     sy, sx = sets.toDF("y", "sy"), sets.toDF("x", "sx")
     both = F.size(F.array_intersect("sx", "sy"))
-    return pairs.join(sy, "y").join(sx, "x").select("x", "y", both.alias("both"), F.size("sx").alias("nx"), F.size("sy").alias("ny")).withColumn("union", F.col("nx") + F.col("ny") - F.col("both")).select("x", "y", "nx", "ny", (1 - F.col("both") / F.col("union")).alias("d"), (F.col("both") * 100 >= F.col("union") * percent).alias("linked"))
+    d = pairs.join(sy, "y").join(sx, "x").select("x", "y", both.alias("both"), (F.size("sx") + F.size("sy")).alias("sum"))
+    return d.filter(F.col("both") * 100 >= (F.col("sum") - F.col("both")) * percent).select("x", "y")
 
 
-def _open(rest: DataFrame, comp: DataFrame) -> DataFrame:
+def _open(members: DataFrame, comp: DataFrame) -> DataFrame:
     """The members of buckets that hold several components, with their own and their bucket's largest one (main)."""
-    now = rest.join(comp.toDF("x", "comp"), "x", "left").select("bucket", "x", "n", "d", F.coalesce("comp", "x").alias("comp"))
+    now = members.select("bucket", "x").join(comp.toDF("x", "comp"), "x", "left").select("bucket", "x", F.coalesce("comp", "x").alias("comp"))
     main = now.groupBy("bucket", "comp").agg(F.count("*").alias("m")).groupBy("bucket").agg(F.max_by("comp", F.struct("m", "comp")).alias("main"), F.count("*").alias("comps")).filter("comps > 1").select("bucket", "main")
     return cut(now.join(main, "bucket"), "open")
 
 
+def _with_pivots(rest: DataFrame, turn: int) -> DataFrame:
+    """A pair (x, y) for each member of mixed buckets: y is the first by hash of its buckets' pivots from other components."""
+    first = lambda c: F.struct(F.xxhash64(c, F.lit(turn)), c)
+    pivots = rest.filter("comp != main").groupBy("bucket").agg(F.min_by(F.struct("x", "comp"), first("x")).alias("p")).select("bucket", F.col("p.x").alias("y"), F.col("p.comp").alias("cy"))
+    return rest.join(pivots, "bucket").filter("comp != cy").groupBy("x").agg(F.min_by("y", first("y")).alias("y"))
+
+
 def _merged(comp: DataFrame, links: DataFrame) -> DataFrame:
     """The components after further links."""
     if links.isEmpty():
@@ -172,29 +184,18 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, s: int =
     keys = whole.join(classes.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").select(F.col("doc_id").alias("x"), F.explode(F.expr(f"flatten(transform(a, (u, i) -> transform(b, (v, j) -> xxhash64(i * {s} + j, u, v))))")).alias("bucket"))
     shared = keys.groupBy("bucket").agg(F.min("x").alias("y"), F.max("x").alias("z")).filter("y < z").select("bucket", "y")
     members = cut(keys.join(shared, "bucket").distinct(), "buckets")
-    pairs = cut(members.filter("x != y").select("x", "y").distinct(), "pairs")
-    involved = pairs.select(F.col("x").alias("doc_id")).union(pairs.select("y")).distinct()
-    sets = cut(docs.join(involved, "doc_id", "left_semi").mapInArrow(_setter(width), "id long, shingles array<long>"), "sets")
-    first = cut(_measured(pairs, sets, percent), "measured")
-    links = first.filter("linked").select("x", "y")
-    comp = components(links)
-    # each member with its set's size and its distance to the bucket's smallest member
-    rest = members.join(first.select("x", "y", "nx", "ny", "d"), ["x", "y"], "left").select("bucket", "x", "y", "nx", "ny", "d")
-    sizes = first.groupBy(F.col("y").alias("x")).agg(F.max("ny").alias("n0"))
-    rest = rest.join(sizes, "x", "left").select("bucket", "x", F.coalesce("nx", "n0").alias("n"), F.coalesce("d", F.lit(0.0)).alias("d"))
-    rest = _open(rest, comp)
-    if not rest.isEmpty():
-        # one pivot of each mixed bucket meets its members, so that large groups that the smallest member missed come together
-        drawn = F.min_by(F.struct("x", "comp", "n", "d"), F.struct(F.xxhash64("x"), "x"))
-        pivots = rest.filter("comp != main").groupBy("bucket").agg(drawn.alias("p")).select("bucket", F.col("p.x").alias("y"), F.col("p.comp").alias("cy"), F.col("p.n").alias("ny"), F.col("p.d").alias("dy"))
-        # sizes too far apart can't be linked; nor, by the triangle inequality, distances to the same third set
-        near = (F.abs(rest["d"] - pivots["dy"]) <= 1 - percent / 100 + 1e-9) & (F.least(rest["n"], pivots["ny"]) * 100 >= F.greatest(rest["n"], pivots["ny"]) * percent)
-        crossing = rest.join(pivots, (rest["bucket"] == pivots["bucket"]) & (rest["comp"] != pivots["cy"]) & near)
-        fresh = cut(crossing.select(F.greatest("x", "y").alias("x"), F.least("x", "y").alias("y")).distinct(), "pairs")
-        comp = _merged(comp, cut(_measured(fresh, sets, percent).filter("linked").select("x", "y"), "confirmed"))
-        left = cut(_open(rest.select("bucket", "x", "n", "d"), comp).select("x", "comp").distinct(), "mixed")
+    sets = cut(docs.join(members.select(F.col("x").alias("doc_id")).distinct(), "doc_id", "left_semi").mapInArrow(_setter(width), "id long, shingles array<long>"), "sets")
+    pairs = members.filter("x != y").groupBy("x").agg(F.min("y").alias("y"))
+    comp = components(cut(_linked(pairs, sets, percent), "confirmed"))
+    for turn in range(PIVOT_ROUNDS):
+        rest = _open(members, comp)
+        if rest.isEmpty():
+            break
+        comp = _merged(comp, cut(_linked(_with_pivots(rest, turn), sets, percent), "confirmed"))
+    left = cut(_open(members, comp).select("x", "comp").distinct(), "mixed")
+    if not left.isEmpty():
         fresh = cut(_sharing_rare(left, sets, percent), "pairs")
-        comp = _merged(comp, cut(_measured(fresh, sets, percent).filter("linked").select("x", "y"), "confirmed"))
+        comp = _merged(comp, cut(_linked(fresh, sets, percent), "confirmed"))
     drop_cut(members)
     per_class = classes.join(comp.toDF("rep", "comp"), "rep", "left").select("h1", "h2", "n", F.coalesce("comp", "rep").alias("comp"))
     out = signed.select("doc_id", "n", "h1", "h2").join(per_class, ["h1", "h2", "n"], "left")
