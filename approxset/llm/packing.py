@@ -2,7 +2,10 @@
 
 Documents are encoded once and written to the shared folder. Term statistics (document frequencies of the vocabulary's
 ids, number and mean length of documents) cover all documents; their size is bounded by the vocabulary. Documents are
-dealt by hash into shards of about `shard_tokens` ids, each an inverted index with BM25 weights. In a shard the longest
+dealt by content into shards of about `shard_tokens` ids, each an inverted index with BM25 weights: a document's BM25
+weights, projected to `DIM` numbers, walk down a tree of splits along the axes on which a bounded sample differs most, so
+that documents with the same vocabulary meet in a shard whatever the number of shards. A group of like documents too
+large for a shard is spread over as many as it needs. In a shard the longest
 unused document seeds a window; its BM25 neighbours that are unused and fit follow in score order; the best
 neighbour left is cut to fill the gap exactly, and its rest stays in the pool. So only a shard's last window is
 padded, to a power of two. Full windows inside long documents stand alone.
@@ -25,6 +28,9 @@ from .common import cut, documents, ship
 
 PIECE = pa.schema([("doc_id", pa.int64()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("doc_tokens", pa.int64()), ("sequence_id", pa.int64()), ("offset", pa.int64())])
 
+#: Numbers a document is dealt by, the width of a cut on float32 signatures, and the most documents the splits are drawn from.
+DIM, TIE, SAMPLE = 128, 1e-3, 1 << 17
+
 
 def _encoder(vocabulary: str, end_id: int):
     def run(batches):
@@ -120,6 +126,102 @@ def pack_shard(docs: list[np.ndarray], index: Shard, window: int) -> list[tuple[
         seq += 1
 
 
+def signatures(docs: list[np.ndarray], idf: np.ndarray, k1: float = 1.2) -> np.ndarray:
+    """Saturated BM25 weights of each document under a fixed random projection, of unit length."""
+    axes = np.random.default_rng(6).standard_normal((len(idf), DIM), np.float32)
+    out = np.zeros((len(docs), DIM), np.float32)
+    for i, d in enumerate(docs):
+        t, tf = np.unique(d, return_counts=True)
+        out[i] = (idf[t] * tf * (k1 + 1) / (tf + k1)).astype(np.float32) @ axes[t]
+    return out / np.maximum(np.linalg.norm(out, axis=1, keepdims=True), 1e-12)
+
+
+class Splits:
+    """Binary tree over signatures: each node cuts along its sample's first principal axis, in proportion to the leaves
+    below. Documents on the cut (copies of one text) go to either side by hash, in the share that the sample shows."""
+
+    def __init__(self, v: np.ndarray, weight: np.ndarray, hashes: np.ndarray, leaves: int):
+        self.axis, self.cut, self.share, self.below = [], [], [], []
+        v = v.astype(np.float32)
+        todo = [(np.arange(len(v)), leaves, None)]
+        done = 0
+        while todo:
+            at, n, parent = todo.pop()
+            if parent is not None:
+                self.below[parent[0]][parent[1]] = -1 - done if n == 1 else len(self.axis)
+            if n == 1:
+                done += 1
+                continue
+            x, w = v[at], weight[at].astype(float)
+            axis = np.zeros(DIM, np.float32)
+            if len(at) > 1:
+                y = (x - np.average(x, axis=0, weights=w)) * np.sqrt(w / w.sum())[:, None]
+                value, vector = np.linalg.eigh(y.T @ y)
+                if value[-1] > 1e-8:
+                    axis = vector[:, -1].astype(np.float32)
+            p = np.einsum("ij,j->i", x, axis)
+            order = np.argsort(p, kind="stable")
+            want = w.sum() * (n // 2) / n
+            cut = float(p[order[min(np.searchsorted(np.cumsum(w[order]), want), len(at) - 1)]]) if len(at) else 0.0
+            tied = np.abs(p - cut) <= TIE
+            share = (want - w[(p < cut) & ~tied].sum()) / w[tied].sum() if tied.any() else 0.5
+            node = len(self.axis)
+            self.axis.append(axis)
+            self.cut.append(cut)
+            self.share.append(share)
+            self.below.append([0, 0])
+            right = self._right(p, np.full(len(at), cut), np.full(len(at), share), hashes[at], np.full(len(at), node))
+            todo += [(at[right], n - n // 2, (node, 1)), (at[~right], n // 2, (node, 0))]
+        self.axis, self.cut, self.share, self.below = np.array(self.axis, np.float32).reshape(-1, DIM), np.array(self.cut), np.array(self.share), np.array(self.below, np.int64).reshape(-1, 2)
+
+    @staticmethod
+    def _right(p, cut, share, hashes, node):
+        u = textkit.mix(hashes.astype(np.uint64) + node.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) / 2.0**64
+        return np.where(np.abs(p - cut) <= TIE, u >= share, p > cut)
+
+    def leaf(self, v: np.ndarray, hashes: np.ndarray) -> np.ndarray:
+        node = np.full(len(v), 0 if len(self.axis) else -1)
+        while len(at := np.flatnonzero(node >= 0)):
+            n = node[at]
+            right = self._right(np.einsum("ij,ij->i", v[at], self.axis[n]), self.cut[n], self.share[n], hashes[at], n)
+            node[at] = self.below[n, right.astype(int)]
+        return -1 - node
+
+
+def _signer(dtype: str, idf: np.ndarray):
+    def run(batches):
+        for batch in batches:
+            v = signatures([np.frombuffer(x, dtype) for x in batch.column(2).to_pylist()], idf).astype(np.float16)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([x.tobytes() for x in v], pa.binary())], names=["n", "h", "v"])
+
+    return run
+
+
+def _dealer(dtype: str, idf: np.ndarray, splits: Splits, parts: int):
+    def run(batches):
+        for batch in batches:
+            h = batch.column(3).to_numpy().view(np.uint64)
+            v = signatures([np.frombuffer(x, dtype) for x in batch.column(2).to_pylist()], idf)
+            part = (textkit.mix(h) % np.uint64(parts)).astype(np.int64)
+            yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(splits.leaf(v, h) * parts + part)], names=["doc_id", "n", "ids", "shard"])
+
+    return run
+
+
+def deal(coded: DataFrame, dtype: str, idf: np.ndarray, many: int, shards: int) -> DataFrame:
+    """doc_id, n, ids, shard: like documents in one shard, shards of about equal numbers of ids."""
+    if shards == 1:
+        return coded.withColumn("shard", F.lit(0).cast("long"))
+    leaves = min(shards, SAMPLE // 16)
+    hashed = coded.select("doc_id", "n", "ids", F.xxhash64("doc_id", "n").alias("h"))
+    drawn = F.pmod(F.xxhash64(F.lit(6), "h", "n"), F.lit(1 << 30)) < int(min(1.0, min(64 * leaves, SAMPLE) / many) * (1 << 30))
+    some = hashed.filter(drawn).select("n", "h", "ids").mapInArrow(_signer(dtype, idf), "n long, h long, v binary").collect()  # SAMPLE rows at most, but for chance
+    some.sort(key=lambda r: (r["h"], r["n"]))
+    v = np.array([np.frombuffer(r["v"], np.float16) for r in some]).reshape(-1, DIM)
+    splits = Splits(v, np.array([r["n"] for r in some]), np.array([r["h"] for r in some], np.int64).view(np.uint64), leaves)
+    return hashed.mapInArrow(_dealer(dtype, idf, splits, -(-shards // leaves)), "doc_id long, n long, ids binary, shard long")
+
+
 def _packer(dtype: str, idf: np.ndarray, mean: float, window: int):
     def run(key, table):
         table = table.sort_by([("doc_id", "ascending")])
@@ -146,8 +248,7 @@ def pack(docs: DataFrame, vocabulary: str, end_id: int = 1, window: int = 2048,
         df[r["id"]] = r["df"]
     idf = np.log1p((many - df + 0.5) / (df + 0.5)).astype(np.float32)
     shards = max(1, -(-total // shard_tokens))
-    dealt = coded.withColumn("shard", F.pmod(F.xxhash64("doc_id", "n"), F.lit(shards)))
-    return dealt.groupBy("shard").applyInArrow(_packer(dtype, idf, max(total / max(many, 1), 1), window), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")
+    return deal(coded, dtype, idf, many, shards).groupBy("shard").applyInArrow(_packer(dtype, idf, max(total / max(many, 1), 1), window), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")
 
 
 def op6_packing(spark, sf_dir: str) -> DataFrame:
