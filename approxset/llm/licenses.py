@@ -2,8 +2,9 @@
 
 Texts and templates are sequences of lower-cased alphanumeric words. Of each template the winnowed k-gram hashes (the
 least of every `window` neighbours, the rightmost of equals) are indexed with their places. A document's k-grams are
-looked up in the index; hits of a template close to one diagonal make a candidate region, which a local alignment
-within a band around the diagonal scores. A match reports the share of the template's words that align, and the
+looked up in the index; hits of a template whose diagonals lie no further apart than the template is long make a
+candidate region, which a local alignment scores, within a band around those diagonals. Hits outside of the reported
+region start regions of their own. A match reports the share of the template's words that align, and the
 span of the document in bytes and text. Templates are a bounded parameter and go to every task; documents never move.
 
 Defined results: a null or empty text matches nothing; each region of a document gives its own row, so repeated license
@@ -81,31 +82,34 @@ class Index:
         return at, np.arange(len(at)) - np.repeat(np.cumsum(n) - n, n) + np.repeat(lo, n)
 
 
-def align(doc: np.ndarray, template: np.ndarray, diagonal: int, band: int) -> tuple[int, int, int]:
-    """Local alignment within `band` of the diagonal (document place minus template place): words matched, and the first
-    and last document word. A match scores 2, a gap or mismatch -1."""
-    m, width = len(template), 2 * band + 1
-    score = np.zeros((m + 1, width + 2), int)
-    back = np.zeros((m + 1, width + 2), np.int8)
+def align(doc: np.ndarray, template: np.ndarray, diagonal: int, band: int, spread: int = 0) -> tuple[int, int, int]:
+    """Local alignment from `band` below the diagonal (document place minus template place) to `band` above diagonal +
+    `spread`: words matched, and the first and last document word. A match scores 2, a gap or mismatch -1."""
+    m, width = len(template), 2 * band + spread + 1
+    back = np.zeros((m + 1, width), np.int8)
+    above, column = np.zeros(width + 1, int), np.arange(width)
+    low = diagonal - band
     best, at = 0, None
     for i in range(1, m + 1):
-        for c in range(1, width + 1):
-            j = i - 1 + diagonal + c - 1 - band
-            if not 0 <= j < len(doc):
-                continue
-            same = template[i - 1] == doc[j]
-            options = (0, score[i - 1, c] + (2 if same else -1), score[i - 1, c + 1] - 1, score[i, c - 1] - 1)
-            k = max(range(4), key=options.__getitem__)
-            score[i, c], back[i, c] = options[k], k
-            if options[k] > best:
-                best, at = options[k], (i, c)
+        j = column + (i - 1 + low)
+        inside = (j >= 0) & (j < len(doc))
+        slant = above[:-1] - 1
+        slant[inside] += 3 * (doc[j[inside]] == template[i - 1])
+        up = above[1:] - 1
+        score = np.where(inside, np.maximum(np.maximum(slant, up), 0), 0)
+        score = np.where(inside, np.maximum.accumulate(score + column) - column, 0)  # gaps along the row
+        back[i] = np.where(score == 0, 0, np.where(score == slant, 1, np.where(score == up, 2, 3)))
+        c = int(score.argmax())
+        if score[c] > best:
+            best, at = int(score[c]), (i, c)
+        above[:-1] = score
     if at is None:
         return 0, 0, 0
     i, c = at
-    last = first = i - 1 + diagonal + c - 1 - band
+    last = first = i - 1 + c + low
     matched = 0
     while i > 0 and back[i, c]:
-        j = i - 1 + diagonal + c - 1 - band
+        j = i - 1 + c + low
         if back[i, c] == 1:
             matched += int(template[i - 1] == doc[j])
             first = j
@@ -117,6 +121,28 @@ def align(doc: np.ndarray, template: np.ndarray, diagonal: int, band: int) -> tu
     return matched, first, last
 
 
+def regions(doc: np.ndarray, template: np.ndarray, at: np.ndarray, diagonal: np.ndarray, band: int, least: float):
+    """(words matched, first, last document word) of each region of a document that holds the template; `at` are the
+    document places of the hits. Words of a reported region are not used again; a hit outside of all regions starts one."""
+    doc, spare = doc.copy(), np.uint64((int(template.max()) + 1) % (1 << 64))
+    reach = max(band, len(template))
+    order = np.lexsort((at, diagonal))
+    at, diagonal = at[order], diagonal[order]
+    while len(at):
+        d = int(diagonal[0])
+        spread = int(diagonal[np.searchsorted(diagonal, d + reach, "right") - 1]) - d
+        base = max(0, d - band)
+        matched, first, last = align(doc[base : d + spread + len(template) + band + 1], template, d - base, band, spread)
+        if matched / len(template) >= least:
+            yield matched, first + base, last + base
+            doc[first + base : last + base + 1] = spare
+            left = (at < first + base) | (at > last + base)
+            left &= (diagonal != d) | (at != at[0])
+        else:
+            left = diagonal != d
+        at, diagonal = at[left], diagonal[left]
+
+
 def _scanner(templates: dict[str, str], k: int, window: int, band: int, least: float):
     def run(batches):
         index = Index(templates, k, window)
@@ -133,18 +159,15 @@ def _scanner(templates: dict[str, str], k: int, window: int, band: int, least: f
                 bounds = textkit.bounds(row, hi - lo)
                 r, t = row[at], index.template[post]
                 diagonal = at - bounds[r] - index.place[post]
-                order = np.lexsort((diagonal, t, r))
-                r, t, diagonal = r[order], t[order], diagonal[order]
-                new = np.append(True, (np.diff(r) != 0) | (np.diff(t) != 0) | (np.diff(diagonal) > band))
-                for b in np.flatnonzero(new):
-                    i, w, d = int(r[b]), index.words[t[b]], int(diagonal[b])
+                order = np.lexsort((t, r))
+                r, t, diagonal, place = r[order], t[order], diagonal[order], (at - bounds[r])[order]
+                new = np.flatnonzero(np.append(True, (np.diff(r) != 0) | (np.diff(t) != 0)))
+                for b, e in zip(new, np.append(new[1:], len(r)), strict=True):
+                    i, w = int(r[b]), index.words[t[b]]
                     x, y = bounds[i], bounds[i + 1]
-                    matched, first, last = align(h[x:y][max(0, d - band) : d + len(w) + 2 * band + 1], w, d - max(0, d - band), band)
-                    coverage = matched / len(w)
-                    if coverage >= least:
-                        first, last = first + max(0, d - band) + x, last + max(0, d - band) + x
-                        s, e = int(start[first]), int(start[last] + size[last])
-                        out.append((ids[lo + i], index.names[t[b]], round(coverage, 6), matched, len(w), s, e, texts[i][s:e].decode("utf-8", "replace")))
+                    for matched, first, last in regions(h[x:y], w, place[b:e], diagonal[b:e], band, least):
+                        s, e_ = int(start[first + x]), int(start[last + x] + size[last + x])
+                        out.append((ids[lo + i], index.names[t[b]], round(matched / len(w), 6), matched, len(w), s, e_, texts[i][s:e_].decode("utf-8", "replace")))
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(c, kind) for c, kind in zip(zip(*out, strict=True), (pa.int64(), pa.string(), pa.float64(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.string()), strict=True)], names=["doc_id", "license", "coverage", "matched_words", "template_words", "start_byte", "end_byte", "span"])
 
