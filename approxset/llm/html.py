@@ -3,7 +3,8 @@
 A page is a sequence of words and tags. Words score positive and tags negative; the weights of tags (by element, and by
 whether they carry a class or id that names page furniture) and of words (by whether they are link text and by the
 furniture they lie in) come from labelled pages. One linear scan finds the contiguous region of largest total, and its
-text is the article. Comments, scripts, styles, forms and furniture inside the region are left out of it.
+text is the article. Comments, scripts, styles, forms, drawings, players, choices and furniture inside the region are left
+out of it.
 
 Labelled pages: pages whose author marked the article element. A bounded sample of them (`sample`, a documented
 parameter) fits the weights; without any, the fixed starting weights hold.
@@ -28,7 +29,14 @@ from .common import ship
 #: Element names by role.
 BLOCK = frozenset("address article aside blockquote body br_ caption center dd details div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr html li main menu nav ol option p pre section summary table tbody td tfoot th thead title tr ul".split())
 VOID = frozenset("area base br col embed hr img input link meta source track wbr".split())
-RAW = frozenset("script style noscript template textarea iframe svg math object select canvas audio video".split())
+#: Hold text only, up to their end tag; the first three reach to the page's end without one.
+RAW = frozenset("script style textarea iframe xmp noembed noframes".split())
+#: Ordinary nested elements whose contents are not page text.
+MUTED = frozenset("noscript template svg math object select canvas audio video".split())
+#: Elements that end an open svg or math element, whose end tag is missing.
+BREAKS = frozenset("blockquote body br center dd div dl dt embed h1 h2 h3 h4 h5 h6 head hr img li main article section menu ol p pre table ul".split())
+#: A page's layout with or without a piece of furniture, not the furniture.
+LAYOUT = re.compile(r"(?:^|(?<=\s))(?:has|with|no|without)[_-]\S+", re.I)
 FURNITURE = frozenset("nav header footer aside form button menu dialog label fieldset head title".split())
 CLOSES_P = BLOCK - {"body", "html", "title"}
 NAMES = re.compile(r"(?:^|[\s_-])(?:ads?|advert\w*|banner|sponsor\w*|promo\w*|cookie\w*|consent|notice|alert|popup|modal|newsletter|subscribe|sidebar|side|nav\w*|menu|breadcrumb\w*|footer|header|masthead|comments?|disqus|replies|respond|related|recommend\w*|share|social|widget|toolbar|pager|pagination|login|signup|search)(?:$|[\s_-])", re.I)
@@ -39,30 +47,67 @@ START = {"word": 1.0, "link": -1.0, "furniture": -0.5, "tag": -2.0, "mark": -0.5
 INLINE = frozenset("a abbr b bdi bdo big cite code del dfn em font i ins kbd mark q s samp small span strike strong sub sup time tt u var wbr br img".split())
 
 
-def _odd(name: str, attrs: str) -> bool:
-    """Whether an element is page furniture by its name, class, id or role."""
+def _odd(name: str, attrs: str, classes: bool = True) -> bool:
+    """Whether an element is page furniture by its name, role or, with `classes`, its class or id."""
     if name in FURNITURE:
         return True
     for m in ATTR.finditer(attrs):
         k, v = m[1].lower(), (m[2] or "").strip("\"'")
-        if k == "hidden" or (k == "aria-hidden" and v.lower() == "true") or (k == "role" and v.lower() in ROLES) or (k in ("class", "id") and NAMES.search(v)):
+        if k == "hidden" or (k == "aria-hidden" and v.lower() == "true") or (k == "role" and v.lower() in ROLES) or (classes and k in ("class", "id") and NAMES.search(LAYOUT.sub("", v))):
             return True
     return False
 
 
 def tokens(page: str):
-    """(kind, value, furniture depth, inside the article element): kind is a feature name of START, value the tag or the text."""
-    stack: list[tuple[str, bool]] = []
-    odd = article = link = 0
+    """(kind, value, furniture depth, inside the article element): kind is a feature name of START, value the tag or the text.
+
+    Where all article elements lie in furniture, elements around the longest one are no furniture by class or id."""
+    out, articles = _tokens(page, frozenset())
+    if articles and all(odd for _, _, odd, _ in articles):
+        most = max(articles, key=lambda a: a[3])
+        out, articles = _tokens(page, frozenset(most[1]))
+    return out, bool(articles)
+
+
+def _tokens(page: str, around: frozenset[int]):
+    """Tokens, and of each article element [place, places of the elements around it, furniture depth, words]. Elements whose
+    places are in `around` are no furniture by class or id."""
+    stack: list[tuple[str, bool, int]] = []
+    odd = article = link = muted = 0
     at = 0
     out = []
-    article_seen = []
+    articles: list[list] = []
+    open_articles: list[list] = []
     n = len(page)
+    lower = page.lower() if len(page.lower()) == n else page
+    last: dict[str, int] = {}
+
+    def ends(name: str) -> bool:
+        """Whether an end tag of that name is still to come."""
+        if name not in last:
+            last[name] = lower.rfind(f"</{name}")
+        return last[name] >= at
+
+    def pop() -> str:
+        nonlocal odd, link, article, muted
+        t, o, _ = stack.pop()
+        odd -= o
+        link -= t == "a"
+        muted -= t in MUTED
+        if t == "article":
+            article -= 1
+            open_articles.pop()
+        return t
+
     while at < n:
         m = TOKEN.search(page, at)
         stop = m.start() if m else n
-        if stop > at:
+        if stop > at and not muted:
             out.append(("furniture" if odd else "link" if link else "word", page[at:stop], odd, article > 0))
+            if open_articles:
+                many = len(page[at:stop].split())
+                for a in open_articles:
+                    a[3] += many
         if not m:
             break
         at = m.end()
@@ -70,42 +115,55 @@ def tokens(page: str):
         if not name:
             continue
         closing = bool(m[1])
+        alone = (m[3] or "").endswith("/")
         if not closing:
             if name in RAW:
-                close = re.compile(rf"</{re.escape(name)}\s*>", re.I).search(page, at)
-                at = close.end() if close else n
-                out.append(("tag", name, odd, article > 0))
+                close = None if alone else re.compile(rf"</{re.escape(name)}\s*>", re.I).search(page, at) if ends(name) else None
+                if close:
+                    at = close.end()
+                elif not alone and name in ("script", "style", "textarea"):
+                    at = n
+                if not muted:
+                    out.append(("tag", name, odd, article > 0))
                 continue
-            if name in CLOSES_P:
-                while stack and stack[-1][0] in ("p", "b", "i", "em", "strong", "a", "span", "u", "font", "small") and any(t == "p" for t, _ in stack[-8:]):
-                    t, o = stack.pop()
-                    odd -= o
-                    link -= t == "a"
-                    if t == "p":
+            if muted and name in BREAKS:
+                for t, _, _ in reversed(stack):
+                    if t in ("svg", "math"):
+                        while pop() != t:
+                            pass
                         break
-            if name == "li" and stack and stack[-1][0] == "li":
-                odd -= stack.pop()[1]
-        weird = not closing and name not in ("body", "html", "article", "main") and _odd(name, m[3] or "") and not (name == "header" and article)
-        inside = article > 0
-        if closing:
-            if any(t == name for t, _ in stack):
-                while stack:
-                    t, o = stack.pop()
-                    odd -= o
-                    link -= t == "a"
-                    article -= t == "article"
-                    if t == name:
+                    if t in MUTED or t == "foreignobject":
+                        break
+            if name in MUTED and (alone or not ends(name)):
+                if not muted:
+                    out.append(("tag", name, odd, article > 0))
+                continue
+            if not muted and name in CLOSES_P:
+                while stack and stack[-1][0] in ("p", "b", "i", "em", "strong", "a", "span", "u", "font", "small") and any(t == "p" for t, _, _ in stack[-8:]):
+                    if pop() == "p":
                         break
+            if not muted and name == "li" and stack and stack[-1][0] == "li":
+                pop()
+        weird = not closing and not muted and name not in ("body", "html", "article", "main", *MUTED) and _odd(name, m[3] or "", m.start() not in around) and not (name == "header" and article)
+        inside, quiet = article > 0, muted > 0
+        if closing:
+            if any(t == name for t, _, _ in stack):
+                while pop() != name:
+                    pass
             inside = inside and article > 0
-        elif name not in VOID and not (m[3] or "").endswith("/"):
-            stack.append((name, weird))
+        elif name not in VOID and not alone:
+            if name == "article":
+                a = [m.start(), [p for _, _, p in stack], odd, 0]
+                articles.append(a)
+                open_articles.append(a)
+            stack.append((name, weird, m.start()))
             odd += weird
             link += name == "a"
             article += name == "article"
-            if name == "article":
-                article_seen.append(len(out))
-        out.append(("hard" if weird or (closing and name in FURNITURE) else "mark" if name in INLINE else "tag", name, odd, inside))
-    return out, bool(article_seen)
+            muted += name in MUTED
+        if not (quiet and muted):
+            out.append(("hard" if weird or (closing and name in FURNITURE) else "mark" if name in INLINE else "tag", name, odd, inside))
+    return out, articles
 
 
 def _count(page: str) -> dict[str, list[int]] | None:
