@@ -7,6 +7,9 @@ from pyspark.sql import functions as F
 
 from ..sources.tables import key_text
 
+#: Fingerprint bits of `filtered`, and the load at which its rings double.
+BITS, MAX_LOAD = 35, 0.75
+
 
 def feed(spark: SparkSession, events: DataFrame, folder: str, files: int, again: int | None = None, late: int | None = None, closing: bool = False) -> DataFrame:
     """The events as a stream of files by id range, timestamps with zone.
@@ -102,19 +105,20 @@ def deduplicated(spark, events, folder) -> DataFrame:
 
 
 def filtered(spark, events, folder, shards: int = 8) -> DataFrame:
-    """First sightings: each shard's state is one packed quotient filter in a binary value."""
+    """First sightings: each shard's state is one packed quotient filter in a binary value.
+
+    A filter beyond `MAX_LOAD` doubles its ring: a bit of the remainder becomes one of the quotient, fingerprints stay."""
     import numpy as np
     import pandas as pd
     from pyspark.sql.streaming.state import GroupStateTimeout
 
     from ..operators.quotient import pack_ring, unpack_ring
 
-    ring, r = 1 << 15, 20
-
     def first(key, batches, state):
-        known = set()
+        known, r = set(), BITS - 15
         if state.exists:
-            g, rem = unpack_ring(bytes(state.get[0]), ring, r)
+            r = state.get[1]
+            g, rem = unpack_ring(bytes(state.get[0]), 1 << (BITS - r), r)
             known = set((g << r | rem).tolist())
         out = []
         for b in batches:
@@ -123,10 +127,12 @@ def filtered(spark, events, folder, shards: int = 8) -> DataFrame:
                     known.add(fp)
                     out.append(i)
         f = np.sort(np.array(list(known), np.int64))
-        state.update((pack_ring(f >> r, f & ((1 << r) - 1), ring, r),))
+        while len(f) > MAX_LOAD * (1 << (BITS - r)):
+            r -= 1
+        state.update((pack_ring(f >> r, f & ((1 << r) - 1), 1 << (BITS - r), r), r))
         yield pd.DataFrame({"event_id": out})
 
     h = F.xxhash64("event_id")
-    s = stream(spark, events, folder, 5, again=2).select("event_id", F.pmod(F.shiftrightunsigned(h, 40), F.lit(shards)).alias("shard"), F.pmod(h, F.lit(1 << 35)).alias("fp"))
-    out = s.groupBy("shard").applyInPandasWithState(first, "event_id long", "filter binary", "append", GroupStateTimeout.NoTimeout)
+    s = stream(spark, events, folder, 5, again=2).select("event_id", F.pmod(F.shiftrightunsigned(h, 40), F.lit(shards)).alias("shard"), F.pmod(h, F.lit(1 << BITS)).alias("fp"))
+    out = s.groupBy("shard").applyInPandasWithState(first, "event_id long", "filter binary, r int", "append", GroupStateTimeout.NoTimeout)
     return drained(out, folder)
