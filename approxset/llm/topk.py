@@ -11,7 +11,8 @@ Pivots come from a bounded sample (`sample` vectors, farthest-first); they steer
 Defined results: components are floor(256 * x) with x as double; vectors that are null, or hold a null or a non-finite
 component, take no part; shorter vectors count as padded with zeros; equal scores go to the smaller id; rows with equal
 ids are separate candidates, but none is a candidate of its own id; fewer than k candidates give fewer rows; an
-empty table gives no rows. Inner products must stay below 2^53 (components below 2^23 at 64 dimensions).
+empty table gives no rows. Squared lengths must stay below 2^51, so that inner products and distances are exact in
+doubles; a longer vector raises an error.
 """
 
 from __future__ import annotations
@@ -23,14 +24,18 @@ from pyspark.sql import functions as F
 
 from .common import cut, ship
 
+EXACT = 2.0**51
 OUT = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.int64())])
 
 
 def integer_vectors(rows: DataFrame, key: str = "vec_id", vector: str = "embedding", scale: int = 256) -> DataFrame:
     """id, v (array of long): the vectors that take part."""
     d = rows.select(F.col(key).cast("long").alias("id"), F.transform(vector, lambda x: x.cast("double")).alias("d")).filter("id is not null and d is not null")
-    fine = F.forall("d", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < 1e15))
-    return d.filter(fine).select("id", F.transform("d", lambda x: F.floor(x * scale).cast("long")).alias("v"))
+    fine = F.forall("d", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf")))
+    norm = F.aggregate("d", F.lit(0.0), lambda s, x: s + F.pow(F.abs(x) * scale + 1, F.lit(2)))
+    long = F.concat(F.lit("vector of id "), "id", F.lit(" is too long for exact scores"))
+    v = F.when(norm >= EXACT, F.raise_error(long)).otherwise(F.transform("d", lambda x: F.floor(x * scale).cast("long")))
+    return d.filter(fine).select("id", v.alias("v"))
 
 
 def _pack(pivots: np.ndarray | None, dim: int):
