@@ -1,4 +1,4 @@
-"""Filters over streams; each result equals its batch twin over the same rows."""
+"""Filters over streams; each result equals its batch twin over the same rows. Of T-05 and T-06 only batch twins exist."""
 
 from __future__ import annotations
 
@@ -108,7 +108,7 @@ def st_static_probe(spark, d):
 
 @query("st_new_vs_seen", "SELECT day, count(*) AS users, count(*) FILTER (WHERE day = first) AS new_users FROM (SELECT DISTINCT user_id, epoch(date_trunc('day', ts))::BIGINT AS day, min(epoch(date_trunc('day', ts))::BIGINT) OVER (PARTITION BY user_id) AS first FROM events) GROUP BY 1")
 def st_new_vs_seen(spark, d):
-    """Daily panes as filters: which of a day's users earlier panes have not seen."""
+    """Batch twin of T-06, without a filter: which of a day's users no earlier day has seen."""
     e = src.table(spark, d, "events").select("user_id", F.unix_seconds(F.date_trunc("day", F.col("ts").cast("timestamp"))).alias("day"))
     first = e.groupBy("user_id").agg(F.min("day").alias("first"))
     return e.distinct().join(first, "user_id").groupBy("day").agg(F.count("*").alias("users"), F.count(F.when(F.col("day") == F.col("first"), 1)).alias("new_users"))
@@ -117,7 +117,7 @@ def st_new_vs_seen(spark, d):
 @query("st_sliding_seen", f"""WITH e AS (SELECT DISTINCT {H60.replace('k)', 'user_id::VARCHAR)')} // pow(2, 20)::BIGINT AS fp, epoch(date_trunc('day', ts))::BIGINT // 86400 AS day FROM events)
     SELECT a.day, count(*) AS users, count(*) FILTER (WHERE EXISTS (SELECT 1 FROM e b WHERE b.fp = a.fp AND b.day BETWEEN a.day - 2 AND a.day - 1)) AS seen FROM e a GROUP BY 1""")
 def st_sliding_seen(spark, d):
-    """Seen in the last two days: panes merge, the oldest is subtracted as the window moves."""
+    """Batch twin of T-05, on fingerprints: users seen in the last two days. No panes are kept or subtracted."""
     from ..functions.fingerprint import fingerprint
     from ..schema import FilterSpec
 
