@@ -84,6 +84,12 @@ class PageLocalBloom:
     block_bits: int
     k: int
 
+    @classmethod
+    def for_items(cls, n: int, eps: float, block_bits: int = 4096) -> PageLocalBloom:
+        """As many blocks as hold the bits of a classic filter of n and eps."""
+        b = BloomFilter.for_items(n, eps)
+        return cls(-(-b.m // block_bits), block_bits, b.k)
+
     def block(self, key: Column) -> Column:
         return F.pmod(digest_lanes(key, self.k + 1)[0], F.lit(self.blocks))
 
