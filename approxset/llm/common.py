@@ -50,11 +50,12 @@ def cut(df: DataFrame, name: str) -> DataFrame:
     return out
 
 
-def drop_cut(df: DataFrame) -> None:
-    """Remove what `cut` wrote, once nothing lazily depends on it."""
-    spark = df.sparkSession
-    p = spark._jvm.org.apache.hadoop.fs.Path(df.cut_path)
-    p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
+def drop_cut(*frames: DataFrame) -> None:
+    """Remove what `cut` wrote, once nothing lazily depends on it. Frames that aren't cuts are left alone."""
+    for df in frames:
+        if path := getattr(df, "cut_path", None):
+            p = df.sparkSession._jvm.org.apache.hadoop.fs.Path(path)
+            p.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(p, True)
 
 
 def partitions(spark: SparkSession) -> int:
