@@ -35,12 +35,17 @@ def rejoin(quotient: Column, remainder: Column, spec: FilterSpec) -> Column:
     return quotient * F.lit(spec.width) + remainder
 
 
+def once(value: Column, use) -> Column:
+    """use(value) with `value` evaluated once, however often `use` names it."""
+    return F.transform(F.array(value), use)[0]
+
+
 def digest_lanes(key: Column, lanes: int, width: int = 9) -> Column:
-    """Array of 4*width-bit lanes cut from two domain-separated SHA-256 digests (512 bits)."""
-    digest = F.concat(F.sha2(F.concat(F.lit("0:"), key), 256), F.sha2(F.concat(F.lit("1:"), key), 256))
+    """Array of 4*width-bit lanes cut from two domain-separated SHA-256 digests (512 bits), computed once a key."""
     if lanes * width > 128:
         raise ValueError("the digest has 128 hexadecimal digits")
-    return F.transform(F.sequence(F.lit(0), F.lit(lanes - 1)), lambda i: F.conv(F.substring(digest, i * width + 1, F.lit(width)), 16, 10).cast("long"))
+    digest = F.concat(F.sha2(F.concat(F.lit("0:"), key), 256), F.sha2(F.concat(F.lit("1:"), key), 256))
+    return once(digest, lambda d: F.transform(F.sequence(F.lit(0), F.lit(lanes - 1)), lambda i: F.conv(F.substring(d, i * width + 1, F.lit(width)), 16, 10).cast("long")))
 
 
 def register(spark: SparkSession) -> None:

@@ -1,16 +1,76 @@
-"""Bloom-family baselines as relations: classic, counting, write-buffered, page-local, layered."""
+"""Bloom-family baselines as relations: classic, counting, write-buffered, page-local, layered.
+
+All keep their bits as (word_idx, word) and answer by the key itself: a key's positions are one array, computed once from one
+digest. Words of a checked size go to all tasks, and keys don't move; beyond it, the bits of the distinct keys meet the words
+by a shuffle. A page-local filter needs neither: a key has one block, so keys and blocks meet in one equi-join."""
 
 from __future__ import annotations
 
 import math
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame, Window
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.fingerprint import digest_lanes
+from ..functions.fingerprint import digest_lanes, once
 
 WORD = 32
+#: Words that are broadcast at most (12 bytes each in the tasks).
+BROADCAST_WORDS = 4 << 20
+
+
+def _div(a: Column, b: int) -> Column:
+    return F.call_function("div", a, F.lit(b).cast("long"))
+
+
+def _words_of(bits: DataFrame) -> DataFrame:
+    at = F.pmod("bit", F.lit(WORD)).cast("int")
+    return bits.groupBy(_div(F.col("bit"), WORD).alias("word_idx")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), at)).alias("word"))
+
+
+def answers(df: DataFrame, words: DataFrame, positions: Column, k: int, groups: int = 1, read_bits: int = 1, free: int = 0) -> DataFrame:
+    """df with `hits` (groups of k positions whose bits are all set; 0 for a null key) and `reads` (pages of `read_bits` bits
+    looked at: in each group those up to its first clear bit, each once; the first `free` groups lie in memory)."""
+    if words.limit(BROADCAST_WORDS + 1).count() > BROADCAST_WORDS:
+        return _answers_shuffled(df, words, positions, k, read_bits, free)
+    known = words.select(F.col("word_idx").cast("long"), F.col("word").cast("long")).orderBy("word_idx").toArrow()
+    sent = df.sparkSession.sparkContext.broadcast((known["word_idx"].to_numpy(), known["word"].to_numpy().astype(np.uint32)))
+    schema = df.withColumn("hits", F.lit(0)).withColumn("reads", F.lit(0).cast("long")).schema
+
+    def run(batches):
+        at, word = sent.value
+        for b in batches:
+            pos = b.column(b.num_columns - 1)
+            some = pos.is_valid().to_numpy(zero_copy_only=False)
+            p = pos.flatten().to_numpy().reshape(-1, groups, k)
+            i = np.minimum(np.searchsorted(at, p // WORD), max(len(at) - 1, 0))
+            bit = (at[i] == p // WORD) & ((word[i] >> (p % WORD).astype(np.uint32)) & 1 == 1) if len(at) else np.zeros(p.shape, bool)
+            looked = np.ones(p.shape, bool)
+            looked[:, :, 1:] = np.logical_and.accumulate(bit, axis=2)[:, :, :-1]
+            page = p // read_bits
+            first = np.ones(p.shape, bool)
+            for j in range(1, k):
+                first[:, :, j] = (page[:, :, :j] != page[:, :, j : j + 1]).all(axis=2)
+            hits, reads = np.zeros(len(some), np.int32), np.zeros(len(some), np.int64)
+            hits[some] = bit.all(axis=2).sum(axis=1)
+            reads[some] = (looked & first)[:, free:].sum(axis=(1, 2))
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(hits), pa.array(reads)], names=schema.names)
+
+    return df.withColumn("__positions", F.when(F.col("k").isNotNull(), positions)).mapInArrow(run, schema)
+
+
+def _answers_shuffled(df: DataFrame, words: DataFrame, positions: Column, k: int, read_bits: int, free: int) -> DataFrame:
+    asked = df.filter("k is not null").select("k").distinct().select("k", F.posexplode(positions).alias("__at", "__bit"))
+    asked = asked.withColumn("word_idx", _div(F.col("__bit"), WORD)).join(words.select("word_idx", F.col("word").alias("__word")), "word_idx", "left")
+    mask = F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod("__bit", F.lit(WORD)).cast("int"))
+    bit = F.coalesce(F.col("__word"), F.lit(0)).bitwiseAND(mask) != 0
+    group = asked.groupBy("k", _div(F.col("__at"), k).alias("__g")).agg(F.sort_array(F.collect_list(F.struct("__at", _div(F.col("__bit"), read_bits).alias("page"), bit.alias("set")))).alias("l"))  # k entries
+    clear = F.array_position(F.transform("l", lambda x: x["set"]), F.lit(False))
+    looked = F.slice(F.transform("l", lambda x: x["page"]), 1, F.when(clear == 0, k).otherwise(clear).cast("int"))
+    found = group.select("k", (clear == 0).cast("int").alias("__hit"), F.when(F.col("__g") >= free, F.size(F.array_distinct(looked))).otherwise(0).alias("__read")).groupBy("k").agg(F.sum("__hit").cast("int").alias("__hits"), F.sum("__read").alias("__reads"))
+    return df.join(found, "k", "left").select(*df.columns, F.coalesce("__hits", F.lit(0)).alias("hits"), F.coalesce("__reads", F.lit(0)).alias("reads"))
 
 
 @dataclass(frozen=True)
@@ -21,29 +81,26 @@ class BloomFilter:
     k: int
 
     @classmethod
-    def for_items(cls, n: int, eps: float) -> BloomFilter:
+    def for_items(cls, n: int, eps: float, k: int | None = None) -> BloomFilter:
         """Optimal k = (m/n) ln 2 at the size that gives eps."""
         m = max(8, math.ceil(-n * math.log(eps) / math.log(2) ** 2))
-        return cls(m, max(1, round(m / max(n, 1) * math.log(2))))
+        return cls(m, k or max(1, round(m / max(n, 1) * math.log(2))))
 
     def positions(self, key: Column) -> Column:
         return F.transform(digest_lanes(key, self.k), lambda x: F.pmod(x, F.lit(self.m)))
 
     def build(self, keys: DataFrame) -> DataFrame:
         """(word_idx, word) of 32 bits each."""
-        bits = keys.filter("k is not null").select(F.explode(self.positions(F.col("k"))).alias("bit"))
-        word, at = F.call_function("div", F.col("bit"), F.lit(WORD).cast("long")), F.pmod("bit", F.lit(WORD)).cast("int")
-        return bits.groupBy(word.alias("word_idx")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), at)).alias("word"))
+        return _words_of(keys.filter("k is not null").select(F.explode(self.positions(F.col("k"))).alias("bit")))
+
+    def reads(self, df: DataFrame, words: DataFrame, page_bits: int) -> DataFrame:
+        """df with `maybe` and `reads`: pages of `page_bits` bits that the lookup looks at."""
+        out = answers(df, words, self.positions(F.col("k")), self.k, read_bits=page_bits)
+        return out.select(*df.columns, (F.col("hits") > 0).alias("maybe"), "reads")
 
     def probe(self, df: DataFrame, words: DataFrame) -> DataFrame:
         """df with `maybe`: all k bits set; a null key is absent."""
-        d = df.withColumn("__id", F.monotonically_increasing_id())
-        bits = d.filter("k is not null").select("__id", F.explode(self.positions(F.col("k"))).alias("bit"))
-        bits = bits.withColumn("word_idx", F.call_function("div", F.col("bit"), F.lit(WORD).cast("long")))
-        mask = F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod("bit", F.lit(WORD)).cast("int"))
-        set_ = F.coalesce(F.col("word"), F.lit(0)).bitwiseAND(mask) != 0
-        hits = bits.join(words, "word_idx", "left").groupBy("__id").agg(F.bool_and(set_).alias("hit"))
-        return d.join(hits, "__id", "left").withColumn("maybe", F.coalesce("hit", F.lit(False))).drop("__id", "hit")
+        return self.reads(df, words, WORD).drop("reads")
 
     @staticmethod
     def union(*words: DataFrame) -> DataFrame:
@@ -59,21 +116,20 @@ class CountingBloom(BloomFilter):
 
     cap: int = 15
 
+    def _cells(self, keys: DataFrame) -> DataFrame:
+        return keys.filter("k is not null").select(F.explode(F.array_distinct(self.positions(F.col("k")))).alias("cell")).groupBy("cell").agg(F.count("*").alias("c"))
+
     def build(self, keys: DataFrame) -> DataFrame:
-        d = keys.filter("k is not null").select(F.explode(F.array_distinct(self.positions(F.col("k")))).alias("cell"))
-        return d.groupBy("cell").agg(F.least(F.count("*"), F.lit(self.cap)).cast("long").alias("c"))
+        return self._cells(keys).select("cell", F.least("c", F.lit(self.cap)).cast("long").alias("c"))
 
     def delete(self, cells: DataFrame, keys: DataFrame) -> DataFrame:
         """Subtracts, but leaves saturated counters."""
-        d = keys.filter("k is not null").select(F.explode(F.array_distinct(self.positions(F.col("k")))).alias("cell")).groupBy("cell").agg(F.count("*").alias("d"))
+        d = self._cells(keys).withColumnRenamed("c", "d")
         left = F.when(F.col("c") >= self.cap, F.col("c")).otherwise(F.greatest(F.col("c") - F.coalesce("d", F.lit(0)), F.lit(0)))
         return cells.join(d, "cell", "left").select("cell", left.cast("long").alias("c")).filter("c > 0")
 
     def probe(self, df: DataFrame, cells: DataFrame) -> DataFrame:
-        d = df.withColumn("__id", F.monotonically_increasing_id())
-        at = d.filter("k is not null").select("__id", F.explode(self.positions(F.col("k"))).alias("cell"))
-        hits = at.join(cells, "cell", "left").groupBy("__id").agg(F.bool_and(F.coalesce("c", F.lit(0)) > 0).alias("hit"))
-        return d.join(hits, "__id", "left").withColumn("maybe", F.coalesce("hit", F.lit(False))).drop("__id", "hit")
+        return super().probe(df, _words_of(cells.filter("c > 0").select(F.col("cell").alias("bit"))))
 
 
 @dataclass(frozen=True)
@@ -85,77 +141,168 @@ class PageLocalBloom:
     k: int
 
     @classmethod
-    def for_items(cls, n: int, eps: float, block_bits: int = 4096) -> PageLocalBloom:
+    def for_items(cls, n: int, eps: float, block_bits: int = 4096, k: int | None = None) -> PageLocalBloom:
         """As many blocks as hold the bits of a classic filter of n and eps."""
-        b = BloomFilter.for_items(n, eps)
+        b = BloomFilter.for_items(n, eps, k)
         return cls(-(-b.m // block_bits), block_bits, b.k)
 
     def block(self, key: Column) -> Column:
-        return F.pmod(digest_lanes(key, self.k + 1)[0], F.lit(self.blocks))
+        return F.pmod(digest_lanes(key, 1)[0], F.lit(self.blocks))
+
+    def _local(self, lanes: Column) -> Column:
+        return F.transform(F.slice(lanes, 2, self.k), lambda x: F.pmod(x, F.lit(self.block_bits)))
 
     def positions(self, key: Column) -> Column:
-        lanes = digest_lanes(key, self.k + 1)
-        base = F.pmod(lanes[0], F.lit(self.blocks)) * self.block_bits
-        return F.transform(F.slice(lanes, 2, self.k), lambda x: base + F.pmod(x, F.lit(self.block_bits)))
+        def place(lanes):
+            return once(F.pmod(lanes[0], F.lit(self.blocks)) * self.block_bits, lambda base: F.transform(self._local(lanes), lambda x: base + x))
+
+        return once(digest_lanes(key, self.k + 1), place)
+
+    build = BloomFilter.build
 
-    build, probe = BloomFilter.build, BloomFilter.probe
+    def reads(self, df: DataFrame, words: DataFrame, page_bits: int) -> DataFrame:
+        """df with `maybe` and `reads`: the block's pages of `page_bits` bits up to the first clear bit.
+
+        Blocks are rows of one array each, and a batch of lookups meets them in one join on the block, so that each block
+        is read once a batch however many lookups were delayed for it."""
+        per = self.block_bits // WORD
+        pages = words.groupBy(_div(F.col("word_idx"), per).alias("__block")).agg(F.map_from_entries(F.collect_list(F.struct(F.pmod("word_idx", F.lit(per)).cast("int"), "word"))).alias("m"))  # `per` entries
+        pages = pages.select("__block", F.transform(F.sequence(F.lit(0), F.lit(per - 1)), lambda i: F.coalesce(F.col("m")[i], F.lit(0).cast("long"))).alias("__words"))
+        asked = df.withColumn("__lanes", digest_lanes(F.col("k"), self.k + 1)).withColumn("__block", F.pmod(F.col("__lanes")[0], F.lit(self.blocks))).withColumn("__local", self._local(F.col("__lanes"))).drop("__lanes")
+        met = asked.join(pages, "__block", "left")
+        is_set = F.transform("__local", lambda x: F.coalesce(F.call_function("shiftright", F.get("__words", _div(x, WORD).cast("int")), F.pmod(x, F.lit(WORD)).cast("int")).bitwiseAND(F.lit(1).cast("long")), F.lit(0).cast("long")))
+        met = met.withColumn("__clear", F.coalesce(F.array_position(is_set, F.lit(0).cast("long")), F.lit(1).cast("long")))
+        looked = F.slice(F.transform("__local", lambda x: _div(x, page_bits)), 1, F.when(F.col("__clear") == 0, self.k).otherwise(F.col("__clear")).cast("int"))
+        return met.select(*df.columns, (F.col("__clear") == 0).alias("maybe"), F.when(F.col("k").isNull(), 0).otherwise(F.size(F.array_distinct(looked))).cast("long").alias("reads"))
+
+    def probe(self, df: DataFrame, words: DataFrame) -> DataFrame:
+        return self.reads(df, words, self.block_bits).drop("reads")
+
+    def delayed(self, asked: DataFrame, words: DataFrame, batch: int) -> tuple[DataFrame, DataFrame]:
+        """Lookups (k, seq) held back until `batch` have gathered: the answers, and (batch, lookups, block_reads): each batch
+        reads each of its blocks once."""
+        held = asked.select(_div(F.col("seq") - 1, batch).alias("batch"), self.block(F.col("k")).alias("block"))
+        cost = held.groupBy("batch", "block").agg(F.count("*").alias("n")).groupBy("batch").agg(F.sum("n").alias("lookups"), F.count("*").alias("block_reads"))
+        return self.probe(asked, words), cost
 
     def flushes(self, arrived: DataFrame, cap: int) -> DataFrame:
         """Of (k, seq): block, full sub-buffer flushes, items left at the end."""
-        d = arrived.select(self.block(F.col("k")).alias("block"))
-        n = d.groupBy("block").agg(F.count("*").alias("n"))
-        return n.select("block", F.call_function("div", F.col("n"), F.lit(cap).cast("long")).alias("flushes"), F.pmod("n", F.lit(cap)).cast("long").alias("left"))
+        n = arrived.select(self.block(F.col("k")).alias("block")).groupBy("block").agg(F.count("*").alias("n"))
+        return n.select("block", _div(F.col("n"), cap).alias("flushes"), F.pmod("n", F.lit(cap)).cast("long").alias("left"))
+
+    def flush_times(self, arrived: DataFrame, cap: int) -> DataFrame:
+        """(block, seq): the arrivals that fill a block's sub-buffer of `cap` items, each of which writes the block once."""
+        from pyspark.sql import Window
 
-    def group_flushes(self, arrived: DataFrame, buffer: int, group: int) -> DataFrame:
-        """(flush, first_block, items): when the whole buffer is full, the `group` adjacent sub-buffers holding most go out.
+        w = Window.partitionBy("block").orderBy("seq")
+        d = arrived.select(self.block(F.col("k")).alias("block"), "seq").withColumn("i", F.row_number().over(w))
+        return d.filter(F.col("i") % cap == 0).select("block", "seq")
 
-        The choice depends on all before it, so it runs over counts: per round of `buffer` arrivals the driver needs
-        one number per group of blocks."""
+    def group_flushes(self, arrived: DataFrame, buffer: int, group: int, shards: int = 1) -> DataFrame:
+        """(shard, flush, first_block, items): when a buffer is full, the `group` adjacent sub-buffers that hold most go out
+        (the first of equals). Flush 0 is what is still held at the end, one row a group that holds any.
+
+        A choice depends on all before it, so a buffer is one sequence. `shards` buffers, each over a range of blocks,
+        run in parallel; only (group, seq) moves, and a task keeps one count per group."""
         groups = -(-self.blocks // group)
-        per = arrived.select(F.call_function("div", self.block(F.col("k")), F.lit(group).cast("long")).alias("g"), "seq").orderBy("seq")
-        held, total, out = [0] * groups, 0, []
-        for r in per.toLocalIterator():
-            held[r["g"]] += 1
-            total += 1
-            if total == buffer:
-                g = max(range(groups), key=lambda i: (held[i], -i))
-                out.append((len(out) + 1, g * group, held[g]))
-                total -= held[g]
-                held[g] = 0
-        return arrived.sparkSession.createDataFrame(out, "flush long, first_block long, items long")
+        per = -(-groups // shards)
+        d = arrived.select(_div(self.block(F.col("k")), group).alias("g"), "seq").withColumn("shard", _div(F.col("g"), per))
+
+        def run(batches):
+            held: dict[int, np.ndarray] = {}
+            count: dict[int, int] = {}
+            total: dict[int, int] = {}
+            for b in batches:
+                out = []
+                for s, g in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                    h = held.setdefault(s, np.zeros(per, np.int64))
+                    h[g - s * per] += 1
+                    total[s] = total.get(s, 0) + 1
+                    if total[s] == buffer:
+                        i = int(h.argmax())
+                        count[s] = count.get(s, 0) + 1
+                        out.append((s, count[s], (s * per + i) * group, int(h[i])))
+                        total[s] -= int(h[i])
+                        h[i] = 0
+                yield rows(out)
+            yield rows([(s, 0, (s * per + i) * group, int(n)) for s, h in held.items() for i, n in enumerate(h) if n])
+
+        def rows(out):
+            return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in (list(zip(*out, strict=True)) or [()] * 4)], names=["shard", "flush", "first_block", "items"])
+
+        return d.select("shard", "g", "seq").repartition(shards, "shard").sortWithinPartitions("shard", "seq").mapInArrow(run, "shard long, flush long, first_block long, items long")
 
 
 def write_buffered_writes(arrived: DataFrame, bloom: BloomFilter, buffer: int, page_bits: int) -> DataFrame:
     """(epoch, page_writes): distinct blocks that the bits buffered in an epoch touch."""
-    epoch = F.call_function("div", F.col("seq") - 1, F.lit(buffer).cast("long"))
-    d = arrived.select(epoch.alias("epoch"), F.explode(bloom.positions(F.col("k"))).alias("bit"))
-    return d.select("epoch", F.call_function("div", F.col("bit"), F.lit(page_bits).cast("long")).alias("page")).distinct().groupBy("epoch").agg(F.count("*").alias("page_writes"))
+    d = arrived.select(_div(F.col("seq") - 1, buffer).alias("epoch"), F.explode(bloom.positions(F.col("k"))).alias("bit"))
+    return d.select("epoch", _div(F.col("bit"), page_bits).alias("page")).distinct().groupBy("epoch").agg(F.count("*").alias("page_writes"))
 
 
 def layer_of(seq: Column, base: int) -> Column:
     """Layers double; only the newest takes inserts."""
-    return F.floor(F.log2(1 + F.call_function("div", seq - 1, F.lit(base).cast("long")).cast("double")) + 1e-9).cast("long")
+    return F.floor(F.log2(1 + _div(seq - 1, base).cast("double")) + 1e-9).cast("long")
 
 
 @dataclass(frozen=True)
 class LayeredBloom:
+    """A stack of page-local filters: layer i takes base * 2^i items and has as many blocks as `bits_per_key` asks for.
+
+    Layer 0 is the phase in memory; the others lie on storage, and only the newest takes inserts, through equal
+    sub-buffers of its blocks. A lookup asks all layers."""
+
     base: int
     bits_per_key: int
     k: int
+    block_bits: int = 4096
+
+    def blocks(self, layer: int) -> int:
+        return -(-(self.base * self.bits_per_key << layer) // self.block_bits)
+
+    def layers(self, n: int) -> int:
+        """Layers that n items fill."""
+        return int(math.log2(1 + max(n - 1, 0) // self.base) + 1e-9) + 1
+
+    def _lanes(self, key: Column) -> Column:
+        return digest_lanes(key, self.k + 1, min(9, 128 // (self.k + 1)))
+
+    def _blocks(self, layer: Column) -> Column:
+        bits = F.call_function("shiftleft", F.lit(self.base * self.bits_per_key).cast("long"), layer.cast("int"))
+        return _div(bits + (self.block_bits - 1), self.block_bits)
+
+    def _first(self, lanes: Column, layer: Column, blocks: Column) -> Column:
+        """The key's block's first bit: layers lie 2^40 bits apart."""
+        return layer.cast("long") * (1 << 40) + F.pmod(lanes[0], blocks) * self.block_bits
+
+    def build(self, arrived: DataFrame) -> DataFrame:
+        """(word_idx, word) of all layers of (k, seq)."""
+        d = arrived.filter("k is not null").select(layer_of(F.col("seq"), self.base).alias("layer"), self._lanes(F.col("k")).alias("lanes"))
+        d = d.select(self._first(F.col("lanes"), F.col("layer"), self._blocks(F.col("layer"))).alias("first"), F.explode(F.slice("lanes", 2, self.k)).alias("lane"))
+        return _words_of(d.select((F.col("first") + F.pmod("lane", F.lit(self.block_bits))).alias("bit")))
+
+    def reads(self, df: DataFrame, words: DataFrame, layers: int, page_bits: int) -> DataFrame:
+        """df with `hits` (layers that hold all k bits), `maybe`, and `reads`: pages of all layers but the one in memory."""
 
-    def of(self, layer: int) -> BloomFilter:
-        return BloomFilter(self.base * self.bits_per_key << layer, self.k)
+        def local(lanes, i):
+            return once(self._first(lanes, F.lit(i), F.lit(self.blocks(i)).cast("long")), lambda first: F.transform(F.slice(lanes, 2, self.k), lambda x: first + F.pmod(x, F.lit(self.block_bits))))
 
-    def build(self, arrived: DataFrame, layers: int) -> dict[int, DataFrame]:
-        d = arrived.withColumn("layer", layer_of(F.col("seq"), self.base))
-        return {i: self.of(i).build(d.filter(F.col("layer") == i)) for i in range(layers)}
+        positions = once(self._lanes(F.col("k")), lambda lanes: F.concat(*[local(lanes, i) for i in range(layers)]))
+        return answers(df, words, positions, self.k, layers, page_bits, 1).withColumn("maybe", F.col("hits") > 0)
 
-    def probe(self, df: DataFrame, layers: dict[int, DataFrame]) -> DataFrame:
+    def probe(self, df: DataFrame, words: DataFrame, layers: int) -> DataFrame:
         """df with `maybe` and how many layers say so."""
-        d = df.withColumn("hits", F.lit(0))
-        for i, words in layers.items():
-            d = self.of(i).probe(d, words).withColumn("hits", F.col("hits") + F.col("maybe").cast("int")).drop("maybe")
-        return d.withColumn("maybe", F.col("hits") > 0)
+        return self.reads(df, words, layers, WORD).drop("reads")
+
+    def flush_times(self, arrived: DataFrame, buffer: int) -> DataFrame:
+        """(layer, block, seq): the arrivals after the phase in memory that fill a sub-buffer, of which a layer's blocks share
+        `buffer` items equally; each writes one block."""
+        from pyspark.sql import Window
+
+        d = arrived.filter(F.col("seq") > self.base).select("seq", layer_of(F.col("seq"), self.base).alias("layer"), self._lanes(F.col("k"))[0].alias("lane"))
+        d = d.withColumn("blocks", self._blocks(F.col("layer"))).withColumn("block", F.pmod("lane", F.col("blocks")))
+        i = F.row_number().over(Window.partitionBy("layer", "block").orderBy("seq"))
+        cap = F.greatest(F.lit(1).cast("long"), F.call_function("div", F.lit(buffer).cast("long"), F.col("blocks")))
+        return d.withColumn("i", i).filter(F.col("i") % cap == 0).select("layer", "block", "seq")
 
 
 def jvm_bloom(df: DataFrame, col: str, n: int, eps: float):

@@ -1,19 +1,20 @@
 """Storage-tiered filters: one buffer before one large filter, and a buffer before geometrically growing levels.
 
-Contents live as Parquet under versioned folders; a one-row catalogue names the current version, so readers pin one and
-a crash before the commit leaves only orphan files. Deletes are negative counts, settled when merged."""
+Contents live as Parquet in folders of their own, never changed once written; numbered catalogue files name those that make
+up a version, so readers pin one and a crash before the commit leaves only orphan files. Deletes are negative counts that
+wait in the buffer and are settled when merged."""
 
 from __future__ import annotations
 
+import dataclasses
 import json
-import math
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.fingerprint import fingerprint
-from ..schema import FilterSpec
+from ..schema import FilterSpec, FilterSpecMismatch
 from . import quotient
 
 
@@ -44,117 +45,184 @@ def merge_schedule(epochs: int, fanout: int = 2, factor: int = 1, buffer: int =
 
 
 class Catalogue:
-    """The commit point: a small JSON file, replaced by rename."""
+    """The commit point: small JSON files numbered by version. A commit creates the next number and fails if that exists, so
+    no version is ever lost or overwritten, and of two writers one has to start again. Readers take the newest whole file."""
 
     def __init__(self, spark: SparkSession, path: str):
-        self.spark, self.path = spark, path.rstrip("/")
-        jvm = spark._jvm
-        self.P = jvm.org.apache.hadoop.fs.Path
+        self.spark, self.path = spark, f"{path.rstrip('/')}/catalogue"
+        self.P = spark._jvm.org.apache.hadoop.fs.Path
         self.fs = self.P(self.path).getFileSystem(spark._jsc.hadoopConfiguration())
 
+    def _name(self, version: int) -> str:
+        return f"{self.path}/{version:012d}.json"
+
+    def _versions(self) -> list[int]:
+        if not self.fs.exists(self.P(self.path)):
+            return []
+        return sorted((int(f.getPath().getName()[:12]) for f in self.fs.listStatus(self.P(self.path)) if f.getPath().getName().endswith(".json")), reverse=True)
+
+    def _text(self, version: int) -> str:
+        stream = self.fs.open(self.P(self._name(version)))
+        try:
+            return bytes(stream.readAllBytes()).decode()
+        finally:
+            stream.close()
+
     def read(self) -> dict:
-        p = self.P(f"{self.path}/catalogue.json")
-        if not self.fs.exists(p):
-            return {"version": 0, "levels": {}, "batches": [], "tombstones": False}
-        return json.loads(self.spark.sparkContext.wholeTextFiles(f"{self.path}/catalogue.json").first()[1])
+        for v in self._versions():
+            try:
+                return json.loads(self._text(v))
+            except ValueError:  # a writer died inside its commit
+                continue
+        return {"version": 0, "number": 0, "buffer": [], "levels": {}, "batches": [], "tombstones": False, "history": []}
 
     def commit(self, state: dict) -> None:
+        """The next version after the one that `state` was read from."""
+        seen = self._versions()
+        newest = self.read()["version"]
+        if newest != state["version"]:
+            raise RuntimeError(f"the catalogue has moved from version {state['version']} to {newest}")
         state["version"] += 1
-        tmp = self.P(f"{self.path}/.{uuid.uuid4().hex}")
-        out = self.fs.create(tmp, True)
+        state["number"] = max(seen[0] if seen else 0, state["number"]) + 1
+        out = self.fs.create(self.P(self._name(state["number"])), False)
         out.write(bytearray(json.dumps(state).encode()))
         out.close()
-        p = self.P(f"{self.path}/catalogue.json")
-        self.fs.delete(p, False)
-        self.fs.rename(tmp, p)
 
 
 class LevelledFilter:
-    """Levels of growing size. `fanout` and `factor` as in `capacities`; a two-tier filter is the case of one level."""
+    """A buffer before levels of growing size. `fanout` and `factor` as in `capacities`; with `tiers` of 1 there is one level.
+
+    The buffer holds what has arrived since the last flush, as small files of their own (level 0). When it holds `buffer`
+    items it is merged into the level that takes it; a batch beyond the buffer's size counts as what it holds."""
 
     def __init__(self, spark: SparkSession, path: str, spec: FilterSpec, buffer: int, fanout: int = 2, factor: int = 1, tiers: int | None = None):
         self.spark, self.path, self.spec = spark, path.rstrip("/"), spec
         self.buffer, self.fanout, self.factor, self.tiers = buffer, fanout, factor, tiers
+        self.shards = max(1, min(spec.slots, max(64, spec.slots >> 20)))
         self.cat = Catalogue(spark, path)
 
-    def _read(self, level: dict) -> DataFrame:
-        return self.spark.read.schema("fp long, cnt long").parquet(level["path"])
+    def state(self) -> dict:
+        state = self.cat.read()
+        mine = dataclasses.asdict(self.spec)
+        if state.setdefault("spec", mine) != mine:
+            raise FilterSpecMismatch(f"{self.path} holds {state['spec']}, not {mine}")
+        return state
+
+    def _read(self, part: dict) -> DataFrame:
+        return self.spark.read.schema("fp long, cnt long").parquet(part["path"])
+
+    def _write(self, fps: DataFrame, folder: str) -> dict:
+        """Files sorted by fingerprint inside ranges of them, and how many items they hold, deletes included."""
+        path = f"{self.path}/{folder}/{uuid.uuid4().hex}"
+        seen = Observation()
+        fps.select("fp", "cnt").observe(seen, F.coalesce(F.sum(F.abs("cnt")), F.lit(0)).alias("items")).write.parquet(path)
+        return {"path": path, "items": int(seen.get["items"])}
+
+    def _shard(self) -> Column:
+        return F.call_function("div", F.col("fp"), F.lit(-(-(1 << self.spec.p) // self.shards)).cast("long"))
+
+    def _merged(self, parts: list[DataFrame]) -> DataFrame:
+        """The parts' counts added up: one shuffle by range of fingerprints, which is the stored order as well."""
+        d = parts[0]
+        for p in parts[1:]:
+            d = d.unionByName(p)
+        return d.withColumn("shard", self._shard()).repartition("shard").groupBy("shard", "fp").agg(F.sum("cnt").alias("cnt")).sortWithinPartitions("shard", "fp")
 
     def ingest(self, keys: DataFrame, batch: str | None = None, sign: int = 1) -> None:
-        """One full buffer: merged into the level that takes it. A batch already committed is skipped."""
-        state = self.cat.read()
+        """Keys into the buffer, which is flushed when full. A batch already committed is skipped."""
+        state = self.state()
         if batch is not None and batch in state["batches"]:
             return
         delta = quotient.build_fp(keys, self.spec).withColumn("cnt", F.col("cnt") * sign)
-        items = [0] * 65
-        for i, lv in state["levels"].items():
-            items[int(i)] = lv["items"]
-        items[0] = min(keys.count(), self.buffer)
-        t = 1 if self.tiers == 1 else choose_level(items, self.buffer, self.fanout, self.factor)
-        merged = [int(i) for i in state["levels"] if int(i) <= t]
-        whole = quotient.merge(delta, *[self._read(state["levels"][str(i)]) for i in merged])
-        last = not any(int(i) > t for i in state["levels"])
-        whole = whole.filter("cnt > 0" if last else "cnt != 0")
-        path = f"{self.path}/level={t}/{uuid.uuid4().hex}"
-        # sorted by fingerprint ranges: the stored order of the filter
-        whole.repartitionByRange("fp").sortWithinPartitions("fp").write.parquet(path)
-        for i in merged:
-            del state["levels"][str(i)]
-        state["levels"][str(t)] = {"path": path, "items": sum(items[: t + 1])}
-        state["tombstones"] = state["tombstones"] or (sign < 0 and not last)
+        state["buffer"].append(self._write(delta, "buffer"))
+        state["tombstones"] = state["tombstones"] or sign < 0
         if batch is not None:
             state["batches"].append(batch)
+        if sum(b["items"] for b in state["buffer"]) >= self.buffer:
+            self._flush(state)
         self.cat.commit(state)
 
     def delete(self, keys: DataFrame, batch: str | None = None) -> None:
         self.ingest(keys, batch, -1)
 
+    def flush(self) -> None:
+        """The buffer into the levels, full or not."""
+        state = self.state()
+        if state["buffer"]:
+            self._flush(state)
+            self.cat.commit(state)
+
+    def _flush(self, state: dict) -> None:
+        items = [0] * 65
+        for i, lv in state["levels"].items():
+            items[int(i)] = lv["items"]
+        items[0] = sum(b["items"] for b in state["buffer"])
+        t = 1 if self.tiers == 1 else choose_level(items, self.buffer, self.fanout, self.factor)
+        below = [i for i in state["levels"] if int(i) <= t]
+        last = len(below) == len(state["levels"])
+        whole = self._merged([self._read(p) for p in [*state["buffer"], *(state["levels"][i] for i in below)]])
+        written = self._write(whole.filter("cnt > 0" if last else "cnt != 0"), f"level={t}")
+        for i in below:
+            del state["levels"][i]
+        state["levels"][str(t)] = written
+        state["buffer"] = []
+        state["tombstones"] = state["tombstones"] and not last
+        state["history"].append({"epoch": len(state["history"]) + 1, "target": t, "flushed": items[0], "written": written["items"], "levels": len(state["levels"])})
+
+    def history(self) -> DataFrame:
+        """epoch, target level, items flushed from the buffer, items written, non-empty levels after it: one row a flush."""
+        rows = [(h["epoch"], h["target"], h["flushed"], h["written"], h["levels"]) for h in self.state()["history"]]
+        return self.spark.createDataFrame(rows, "epoch long, target int, flushed long, written long, levels int")
+
+    def _parts(self, state: dict) -> list[tuple[int, DataFrame]]:
+        """(level, its fingerprints): the buffer is level 0."""
+        return [(0, self._read(b)) for b in state["buffer"]] + [(int(i), self._read(lv)) for i, lv in sorted(state["levels"].items(), key=lambda x: int(x[0]))]
+
     def levels(self) -> dict[int, DataFrame]:
-        return {int(i): self._read(lv) for i, lv in sorted(self.cat.read()["levels"].items(), key=lambda x: int(x[0]))}
+        return {i: d for i, d in self._parts(self.state()) if i}
 
     def contents(self) -> DataFrame:
-        """(fp, cnt) settled over all levels."""
-        parts = list(self.levels().values()) or [self.spark.createDataFrame([], "fp long, cnt long")]
-        return quotient.merge(*parts).filter("cnt > 0")
+        """(fp, cnt) settled over the buffer and all levels."""
+        parts = [d for _, d in self._parts(self.state())]
+        return quotient.merge(*parts).filter("cnt > 0") if parts else self.spark.createDataFrame([], "fp long, cnt long")
 
     def probe(self, df: DataFrame, precheck: bool = False) -> DataFrame:
-        """df with `maybe`, `level` of the newest hit (null if none) and `levels_read`.
-
-        Newest level first, stopping at the first hit unless a tombstone may hide it. With `precheck`, a level whose
-        bucket bitmap is clear isn't read."""
-        state = self.cat.read()
+        """df with `maybe`, `level` of the newest hit (0 is the buffer; null if none) and `levels_read`.
+
+        The buffer first, which costs no read, then the newest level, stopping at the first hit unless a tombstone may hide
+        it. With `precheck`, a level whose bucket bitmap is clear isn't read."""
+        state = self.state()
+        parts = self._parts(state)
+        if not parts:
+            return df.select("*", F.lit(False).alias("maybe"), F.lit(None).cast("int").alias("level"), F.lit(0).cast("long").alias("levels_read"))
         union = None
-        for i, d in self.levels().items():
+        for i, d in parts:
             d = d.withColumn("lv", F.lit(i))
             union = d if union is None else union.unionByName(d)
-        names = df.columns
-        d = df.withColumn("fp", fingerprint(F.col("k"), self.spec))
-        all_levels = sorted(int(i) for i in state["levels"])
-        if union is None:
-            return d.select(*names, F.lit(False).alias("maybe"), F.lit(None).cast("int").alias("level"), F.lit(0).cast("long").alias("levels_read"))
-        hits = union.groupBy("fp").agg(F.sum("cnt").alias("net"), F.min("lv").alias("lv"))
-        out = d.join(hits, "fp", "left").withColumn("maybe", F.coalesce(F.col("net") > 0, F.lit(False)))
-        position = F.array_position(F.array(*[F.lit(i) for i in all_levels]), F.col("lv"))
-        read = F.when(F.col("maybe") & F.lit(not state["tombstones"]), position).otherwise(F.lit(len(all_levels)).cast("long"))
+        stored = F.array(*[F.lit(i) for i in sorted({i for i, _ in parts if i})]).cast("array<int>")
+        hits = union.groupBy(F.col("fp").alias("__fp")).agg(F.sum("cnt").alias("__net"), F.min("lv").alias("__lv")).filter("__net > 0")
+        out = df.withColumn("__fp", fingerprint(F.col("k"), self.spec)).join(hits, "__fp", "left")
+        # where lookups may stop: a tombstone in a newer level may hide a copy, so they go on
+        stop = F.lit(None).cast("int") if state["tombstones"] else F.col("__lv")
+        at = stored
         if precheck:
-            bucket = F.call_function("div", F.col("fp"), F.lit(self.spec.width).cast("long"))
-            occupied = union.select(bucket.alias("bucket"), "lv").distinct().groupBy("bucket").agg(F.sort_array(F.collect_set("lv")).alias("at"))
-            out = out.withColumn("bucket", bucket).join(occupied, "bucket", "left")
-            reads = F.coalesce(F.size(F.filter("at", lambda x: F.col("lv").isNull() | (x <= F.col("lv")))), F.lit(0))
-            read = F.when(F.col("at").isNull(), 0).otherwise(reads).cast("long")
-        return out.select(*names, "maybe", F.when(F.col("maybe"), F.col("lv")).alias("level"), read.cast("long").alias("levels_read"))
+            bucket = F.call_function("div", F.col("__fp"), F.lit(self.spec.width).cast("long"))
+            occupied = union.filter("lv > 0").select(F.call_function("div", F.col("fp"), F.lit(self.spec.width).cast("long")).alias("__bucket"), "lv").groupBy("__bucket").agg(F.collect_set("lv").alias("__at"))
+            out = out.withColumn("__bucket", bucket).join(occupied, "__bucket", "left")
+            at = F.coalesce("__at", F.array().cast("array<int>"))
+        read = F.when(F.col("__fp").isNull(), 0).otherwise(F.size(F.filter(at, lambda x: stop.isNull() | (x <= stop))))
+        return out.select(*df.columns, F.col("__net").isNotNull().alias("maybe"), F.col("__lv").alias("level"), read.cast("long").alias("levels_read"))
 
     def compact(self) -> None:
         """All levels into the highest that takes them, as a separate job; the commit fails if the version has moved."""
-        state = self.cat.read()
-        total = sum(lv["items"] for lv in state["levels"].values())
+        state = self.state()
+        if not state["levels"]:
+            return
+        whole = self._merged([d for i, d in self._parts(state) if i]).filter("cnt > 0")
+        written = self._write(whole, "compacted")
         cap = capacities(self.buffer, self.fanout, self.factor, 64)
-        t = next(i for i in range(1, 65) if cap[i] >= total)
-        path = f"{self.path}/level={t}/{uuid.uuid4().hex}"
-        self.contents().repartitionByRange("fp").sortWithinPartitions("fp").write.parquet(path)
-        if self.cat.read()["version"] != state["version"]:
-            raise RuntimeError("the catalogue has moved")
-        state |= {"levels": {str(t): {"path": path, "items": total}}, "tombstones": False}
+        t = next(i for i in range(1, 65) if cap[i] >= written["items"])
+        state |= {"levels": {str(t): written}, "tombstones": state["tombstones"] and bool(state["buffer"])}
         self.cat.commit(state)
 
 
@@ -165,12 +233,80 @@ class TwoTierFilter(LevelledFilter):
         super().__init__(spark, path, spec, buffer, tiers=1)
 
 
-def deamortised(epochs: int, fanout: int, shards_per_epoch: int, shards: int = 16) -> list[tuple[int, int, int]]:
-    """(epoch, shards of merge work done, shards waiting): each merge is a queue of shard tasks, bounded per epoch."""
-    waiting, out = 0.0, []
-    for e, _, units, _ in merge_schedule(epochs, fanout):
-        waiting += units * shards / math.ceil(math.log2(epochs) + 1)
-        done = min(waiting, shards_per_epoch)
-        waiting -= done
-        out.append((e, int(done), math.ceil(waiting)))
-    return out
+class DeamortisedFilter(LevelledFilter):
+    """Levels whose merges are cut into `shards` tasks, of which a flush does `per_flush` at most.
+
+    A flush writes its buffer as a run and, where the schedule merges levels, queues a merge. A merge's output holds the
+    shards done so far and its sources answer for the rest, so lookups are right at any time: counts only add up."""
+
+    def __init__(self, spark, path, spec, buffer, per_flush: int, fanout: int = 2, factor: int = 1, shards: int = 16):
+        super().__init__(spark, path, spec, buffer, fanout, factor)
+        self.per_flush, self.shards = per_flush, shards
+
+    def _range(self, run: dict, lo: int, hi: int) -> DataFrame:
+        return self.spark.read.schema("fp long, cnt long, shard long").parquet(run["path"]).filter((F.col("shard") >= lo) & (F.col("shard") < hi))
+
+    def _run(self, fps: DataFrame, path: str) -> int:
+        seen = Observation()
+        fps.select("fp", "cnt", "shard").observe(seen, F.coalesce(F.sum(F.abs("cnt")), F.lit(0)).alias("items")).write.mode("append").partitionBy("shard").parquet(path)
+        return int(seen.get["items"])
+
+    def _flush(self, state: dict) -> None:
+        runs, queue = state.setdefault("runs", {}), state.setdefault("queue", [])
+        items = [0] * 65
+        for i, lv in state["levels"].items():
+            items[int(i)] = lv["items"]
+        items[0] = sum(b["items"] for b in state["buffer"])
+        t = choose_level(items, self.buffer, self.fanout, self.factor)
+        name, path = uuid.uuid4().hex, f"{self.path}/run/{uuid.uuid4().hex}"
+        written = self._run(self._merged([self._read(b) for b in state["buffer"]]), path)
+        runs[name] = {"path": path, "from": 0}
+        below = [i for i in state["levels"] if int(i) <= t]
+        if below:
+            out = uuid.uuid4().hex
+            queue.append({"sources": [name, *(state["levels"][i]["run"] for i in below)], "out": out, "next": 0, "last": len(below) == len(state["levels"])})
+            runs[out] = {"path": f"{self.path}/run/{uuid.uuid4().hex}", "to": 0}
+            name = out
+        for i in below:
+            del state["levels"][i]
+        state["levels"][str(t)] = {"run": name, "items": sum(items[: t + 1])}
+        state["buffer"] = []
+        left = self.per_flush
+        while left and queue:
+            m = queue[0]
+            lo, hi = m["next"], min(m["next"] + left, self.shards)
+            d = self._merged([self._range(runs[s], lo, hi).select("fp", "cnt") for s in m["sources"]])
+            # each step of a merge has files of its own: a step repeated after a crash leaves no row twice
+            path = f"{runs[m['out']]['path']}/step={lo}-{uuid.uuid4().hex}"
+            written += self._run(d.filter("cnt > 0" if m["last"] else "cnt != 0"), path)
+            runs[m["out"]].setdefault("steps", []).append([path, lo, hi])
+            left -= hi - lo
+            m["next"] = hi
+            runs[m["out"]]["to"] = hi
+            for s in m["sources"]:
+                runs[s]["from"] = hi
+            if hi == self.shards:
+                for s in m["sources"]:
+                    del runs[s]
+                queue.pop(0)
+        state["history"].append({"epoch": len(state["history"]) + 1, "target": t, "flushed": items[0], "written": written, "levels": len(state["levels"]), "done": self.per_flush - left, "waiting": sum(self.shards - m["next"] for m in queue)})
+
+    def _range_of(self, run: dict) -> list[DataFrame]:
+        lo = run.get("from", 0)
+        if "to" not in run:
+            return [self._range(run, lo, self.shards).select("fp", "cnt")]
+        return [self._range({"path": p}, max(lo, a), b).select("fp", "cnt") for p, a, b in run.get("steps", []) if b > lo]
+
+    def _parts(self, state: dict) -> list[tuple[int, DataFrame]]:
+        level = {lv["run"]: int(i) for i, lv in state["levels"].items()}
+        for m in reversed(state.get("queue", [])):
+            for s in m["sources"]:
+                level.setdefault(s, level.get(m["out"], 64))
+        return [(0, self._read(b)) for b in state["buffer"]] + [(level[n], d) for n, r in state.get("runs", {}).items() for d in self._range_of(r)]
+
+    def progress(self) -> DataFrame:
+        """epoch, shards of merge work done, shards waiting: one row a flush."""
+        return self.spark.createDataFrame([(h["epoch"], h["done"], h["waiting"]) for h in self.state()["history"]], "epoch long, done long, waiting long")
+
+    def compact(self) -> None:
+        raise NotImplementedError("merges are queued here")

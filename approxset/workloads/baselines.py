@@ -88,38 +88,75 @@ def wbf_page_writes(spark, d):
     return bloom.write_buffered_writes(src.arrivals(keys), b, keys.count() // 4, 2048)
 
 
-@query("wbf_probe_reads", BF_PROBE + """, pages AS (SELECT k, count(DISTINCT bit // 2048) AS reads FROM pb GROUP BY k)
-    SELECT maybe, count(*) AS probes, sum(reads)::BIGINT AS page_reads FROM hit JOIN pages USING (k) GROUP BY 1""")
+def read_sql(probes: str, known: str, page: int, by: str = "k") -> str:
+    """CTEs of probes (k, j, bit and what `by` names) against the set bits: hit (bool), reads (pages up to the first clear bit)."""
+    return f"""(SELECT {by}, stop IS NULL AS hit, count(DISTINCT bit // {page}) FILTER (WHERE stop IS NULL OR j <= stop) AS reads
+        FROM (SELECT *, min(CASE WHEN NOT s THEN j END) OVER (PARTITION BY {by}) AS stop FROM (SELECT *, bit IN (SELECT bit FROM {known}) AS s FROM {probes})) GROUP BY {by}, stop)"""
+
+
+@query("wbf_probe_reads", BF + f""", pj AS (SELECT k, unnest(range(0, 9)) AS j, unnest({lanes(9)}) % m AS bit FROM ({PROBED}), size)
+    SELECT hit AS maybe, count(*) AS probes, sum(reads)::BIGINT AS page_reads FROM {read_sql('pj', 'bits', 2048)} GROUP BY 1""")
 def wbf_probe_reads(spark, d):
-    """Pages of all k bits per lookup, by answer."""
+    """Pages that a lookup reads, by answer: k where present, about two where absent, since it stops at a clear bit."""
     b, keys = orders_bloom(spark, d)
-    p = b.probe(_probed(spark, d), b.build(keys))
-    pages = F.size(F.array_distinct(F.transform(b.positions(F.col("k")), lambda x: F.call_function("div", x, F.lit(2048).cast("long")))))
-    return p.groupBy("maybe").agg(F.count("*").alias("probes"), F.sum(pages).cast("long").alias("page_reads"))
+    return b.reads(_probed(spark, d), b.build(keys), 2048).groupBy("maybe").agg(F.count("*").alias("probes"), F.sum("reads").alias("page_reads"))
 
 
 def lane(i: str) -> str:
     return f"('0x' || substr(sha256('0:' || k) || sha256('1:' || k), ({i}) * 9 + 1, 9))::BIGINT"
 
 
-PLB = f"list_transform(range(1, 14), lambda i: {lane('0')} % 64 * 4096 + {lane('i')} % 4096)"
+#: Blocks of 4096 bits for the orders' keys at 1/512, as `PageLocalBloom.for_items` counts them.
+BLOCKS = "(SELECT (greatest(8, ceil(-count(*) * ln(pow(2, -9)) / pow(ln(2), 2)))::BIGINT + 4095) // 4096 FROM orders)"
+PLB = f"list_transform(range(1, 10), lambda i: {lane('0')} % blocks * 4096 + {lane('i')} % 4096)"
+AT = f"{BLOCKS} at_(blocks)"
+SEQ = "SELECT k, row_number() OVER (ORDER BY md5(k), k) AS seq FROM (SELECT o_orderkey::VARCHAR AS k FROM orders)"
 
 
-@query("plb_flushes", f"SELECT {lane('0')} % 64 AS block, count(*) // 50 AS flushes, count(*) % 50 AS \"left\" FROM ({ORDERS}) GROUP BY 1")
+def orders_local(spark, d):
+    keys = src.order_keys(spark, d)
+    return bloom.PageLocalBloom.for_items(keys.count(), 2.0**-9), keys
+
+
+@query("plb_flushes", f"SELECT {lane('0')} % {BLOCKS} AS block, count(*) // 50 AS flushes, count(*) % 50 AS \"left\" FROM ({ORDERS}) GROUP BY 1")
 def plb_flushes(spark, d):
-    return bloom.PageLocalBloom(64, 4096, 13).flushes(src.order_keys(spark, d), 50)
+    b, keys = orders_local(spark, d)
+    return b.flushes(keys, 50)
+
+
+# the state of the recursion: how many arrivals are in, and per group how many of them had arrived at its last flush
+GROUPED = f"""WITH RECURSIVE par AS (SELECT {BLOCKS} AS blocks, ({BLOCKS} + 3) // 4 AS groups, count(*) AS n, count(*) // 15 AS buffer FROM orders),
+    a AS (SELECT seq, {lane('0')} % blocks // 4 AS g FROM ({SEQ}), par),
+    c AS (SELECT seq, i AS g, sum((a.g = i)::INT) OVER (PARTITION BY i ORDER BY seq) AS c FROM a, par, range(0, groups) t(i)),
+    cum AS (SELECT seq, list(c::BIGINT ORDER BY g) AS c FROM c GROUP BY seq),
+    f AS (SELECT 0 AS flush, buffer AS t, list_transform(range(0, groups), lambda i: 0::BIGINT) AS last, 0::BIGINT AS g, 0::BIGINT AS items FROM par
+        UNION ALL
+        SELECT flush + 1, f.t + top, list_transform(range(0, groups), lambda i: CASE WHEN i = pick - 1 THEN c[pick] ELSE last[i + 1] END), pick - 1, top
+        FROM (SELECT f.*, cum.c, par.n, par.groups, list_transform(range(0, groups), lambda i: cum.c[i + 1] - f.last[i + 1]) AS h, list_max(h) AS top, list_position(h, top) AS pick FROM f JOIN cum ON cum.seq = f.t, par) f),
+    ends AS (SELECT max_by(last, flush) AS last FROM f),
+    left_ AS (SELECT i AS g, cum.c[i + 1] - last[i + 1] AS items FROM ends, par JOIN cum ON cum.seq = par.n, range(0, groups) t(i))
+    SELECT flush::BIGINT AS flush, g * 4 AS first_block, items FROM f WHERE flush > 0 UNION ALL SELECT 0, g * 4, items FROM left_ WHERE items > 0"""
 
 
-@query("plb_group_flush")
+@query("plb_group_flush", GROUPED)
 def plb_group_flush(spark, d):
-    return bloom.PageLocalBloom(64, 4096, 13).group_flushes(src.arrivals(src.order_keys(spark, d)), 1000, 4)
+    """A buffer of a fifteenth of the keys, groups of four blocks."""
+    b, keys = orders_local(spark, d)
+    return b.group_flushes(src.arrivals(keys), keys.count() // 15, 4).select("flush", "first_block", "items")
 
 
-@query("plb_probe", f"""WITH set_ AS (SELECT DISTINCT unnest({PLB}) AS bit FROM ({ORDERS})), pb AS (SELECT k, unnest({PLB}) AS bit FROM ({PROBED}))
+@query("plb_probe", f"""WITH set_ AS (SELECT DISTINCT unnest({PLB}) AS bit FROM ({ORDERS}), {AT}), pb AS (SELECT k, unnest({PLB}) AS bit FROM ({PROBED}), {AT})
     SELECT k, bool_and(bit IN (SELECT bit FROM set_)) AS maybe FROM pb GROUP BY k""")
 def plb_probe(spark, d):
-    b = bloom.PageLocalBloom(64, 4096, 13)
-    return b.probe(_probed(spark, d), b.build(src.order_keys(spark, d)))
+    b, keys = orders_local(spark, d)
+    return b.probe(_probed(spark, d), b.build(keys))
+
+
+@query("plb_delayed_lookups", f"""WITH a AS ({SEQ}) SELECT (seq - 1) // 2000 AS batch, count(*) AS lookups, count(DISTINCT {lane('0')} % {BLOCKS}) AS block_reads FROM a GROUP BY 1""")
+def plb_delayed(spark, d):
+    """Lookups held back in batches: each batch reads each of its blocks once."""
+    b, keys = orders_local(spark, d)
+    return b.delayed(src.arrivals(keys), b.build(keys), 2000)[1]
 
 
 LAYER = "floor(log2(1 + (seq - 1) // 1000) + 1e-9)::BIGINT"
@@ -130,19 +167,22 @@ def lyb_layers(spark, d):
     return src.arrivals(src.order_keys(spark, d)).groupBy(bloom.layer_of(F.col("seq"), 1000).alias("layer")).agg(F.count("*").alias("n"))
 
 
-LYB = f"""WITH a AS (SELECT k, {LAYER} AS layer FROM ({ARRIVED})), b AS (SELECT DISTINCT layer, unnest({lanes(12)}) % (18000 * pow(2, layer)::BIGINT) AS bit FROM a),
-    pb AS (SELECT k, layer, unnest({lanes(12)}) % (18000 * pow(2, layer)::BIGINT) AS bit FROM ({PROBED}), (SELECT DISTINCT layer FROM a)),
-    hit AS (SELECT k, pb.layer, bool_and(b.bit IS NOT NULL) AS h FROM pb LEFT JOIN b USING (layer, bit) GROUP BY 1, 2)"""
+def layered_bits(key: str, k: int, base: str, per: int = 18, width: int = 9) -> str:
+    """The bits of `key` in layer `layer`: a block of 4096 by the first lane, k bits inside it; layers 2^40 bits apart."""
+    lane = lambda i: f"('0x' || substr(sha256('0:' || {key}) || sha256('1:' || {key}), ({i}) * {width} + 1, {width}))::BIGINT"
+    return f"list_transform(range(1, {k + 1}), lambda i: layer * 1099511627776 + {lane('0')} % (({base} * {per} * pow(2, layer)::BIGINT + 4095) // 4096) * 4096 + {lane('i')} % 4096)"
+
+
+LYB = f"""WITH a AS (SELECT k, {LAYER} AS layer FROM ({ARRIVED})), b AS (SELECT DISTINCT unnest({layered_bits('k', 12, '1000')}) AS bit FROM a),
+    pb AS (SELECT k, layer, unnest({layered_bits('k', 12, '1000')}) AS bit FROM ({PROBED}), (SELECT DISTINCT layer FROM a)),
+    hit AS (SELECT k, layer, bool_and(b.bit IS NOT NULL) AS h FROM pb LEFT JOIN b USING (bit) GROUP BY 1, 2)"""
 
 
 @query("lyb_probe", LYB + " SELECT k, sum(h::INTEGER)::INTEGER AS hits, bool_or(h) AS maybe FROM hit GROUP BY k")
 def lyb_probe(spark, d):
-    import math
-
     arrived = src.arrivals(src.order_keys(spark, d))
-    n = arrived.count()
     b = bloom.LayeredBloom(1000, 18, 12)
-    return b.probe(_probed(spark, d), b.build(arrived, int(math.log2(1 + (n - 1) // 1000) + 1e-9) + 1))
+    return b.probe(_probed(spark, d), b.build(arrived), b.layers(arrived.count()))
 
 
 @query("exact_membership", f"SELECT k, k IN ({ORDERS}) AS present FROM ({PROBED})")
@@ -161,7 +201,7 @@ ACC = "SELECT '{s}' AS structure, (SELECT count(*) FROM orders) AS n_inserted, c
 
 
 @query("acc_all_structures", f"""WITH pr AS (SELECT DISTINCT k, true AS present FROM ({LINES}) UNION ALL SELECT k, false FROM ({ABSENT})), {fps(ORDERS)}, {BF_PROBE.removeprefix('WITH ')},
-    set_ AS (SELECT DISTINCT unnest({PLB}) AS bit FROM ({ORDERS})), plb AS (SELECT k, bool_and(bit IN (SELECT bit FROM set_)) AS maybe FROM (SELECT k, unnest({PLB}) AS bit FROM pr) GROUP BY k)
+    set_ AS (SELECT DISTINCT unnest({PLB}) AS bit FROM ({ORDERS}), {AT}), plb AS (SELECT k, bool_and(bit IN (SELECT bit FROM set_)) AS maybe FROM (SELECT k, unnest({PLB}) AS bit FROM pr, {AT}) GROUP BY k)
     {ACC.format(s='quotient')} (SELECT present, {H60} // pow(2, 60 - p)::BIGINT IN (SELECT fp FROM fps) AS maybe FROM pr, spec)
     UNION ALL {ACC.format(s='classic')} (SELECT present, maybe FROM pr JOIN hit USING (k))
     UNION ALL {ACC.format(s='page-local')} (SELECT present, maybe FROM pr JOIN plb USING (k))""")
@@ -170,7 +210,7 @@ def acc_all(spark, d):
     df = present.unionByName(src.absent_keys(spark, d).withColumn("present", F.lit(False)))
     spec, f = orders_filter(spark, d)
     b, keys = orders_bloom(spark, d)
-    plb = bloom.PageLocalBloom(64, 4096, 13)
+    plb = orders_local(spark, d)[0]
     n = keys.count()
     rows = accuracy("quotient", qf.probe_join(df, f, spec), n).unionByName(accuracy("classic", b.probe(df, b.build(keys)), n))
     return rows.unionByName(accuracy("page-local", plb.probe(df, plb.build(keys)), n))

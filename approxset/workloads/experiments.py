@@ -17,7 +17,7 @@ from ..sources import tables as src
 from .base import ABSENT, H60, LINES, ORDERS, SLOTS, TRIPLES, fps, query, spec_for
 from .baselines import accuracy, bits, orders_bloom
 from .membership import _probed, orders_filter
-from .tiers import FANOUT, ingested, schedule, sweep
+from .tiers import ingested
 
 
 def clusters(slots, m):
@@ -119,42 +119,6 @@ def capacity_table(spark, d):
     return spark.createDataFrame([(e, fm.capacity_qf(1 << 31, e), fm.capacity_bloom(1 << 31, 2.0**-e)) for e in (6, 9, 12)], "bits int, quotient long, bloom long")
 
 
-@query("write_amplification", FANOUT)
-@query("w09_fanout", FANOUT)
-def write_amplification(spark, d):
-    return sweep(spark)
-
-
-@query("level_profile", "SELECT e::BIGINT AS epoch, bit_count(e)::BIGINT AS levels FROM range(1, 25) t(e)")
-def level_profile(spark, d):
-    """With fan-out 2 the non-empty levels after an epoch are the set bits of its number."""
-    return schedule(spark, 24, 2).select("epoch", "levels")
-
-
-@query("stall_profile", "SELECT max(u)::BIGINT AS largest, min(e) FILTER (WHERE u = 16)::BIGINT AS first_at FROM (SELECT e, e & -e AS u FROM range(1, 25) t(e))")
-def stall_profile(spark, d):
-    s = schedule(spark, 24, 2)
-    return s.agg(F.max("units").alias("largest"), F.min_by("epoch", F.struct(-F.col("units"), F.col("epoch"))).alias("first_at"))
-
-
-@query("insert_cost_curve", """SELECT e::BIGINT AS epoch, (sum(e) OVER (ORDER BY e))::BIGINT AS one_filter, (sum(e & -e) OVER (ORDER BY e))::BIGINT AS levelled FROM range(1, 25) t(e)""")
-def insert_cost_curve(spark, d):
-    w = Window.orderBy("epoch")
-    return schedule(spark, 24, 2).select("epoch", F.sum("epoch").over(w).alias("one_filter"), F.sum("units").over(w).alias("levelled"))
-
-
-def _ratio(e):
-    return f"SELECT {e}::BIGINT AS epochs, sum(e)::BIGINT AS one_filter_units, sum(e & -e)::BIGINT AS levelled_units, round(avg(bit_count(e)), 6) AS mean_levels FROM range(1, {e} + 1) t(e)"
-
-
-for _e, _name in ((4, "w07_ratio4"), (24, "w08_ratio24")):
-
-    @query(_name, _ratio(_e))
-    def _(spark, d, e=_e):
-        """Buffer to filter 1:e: items written by whole rewrites of one filter, and by levels."""
-        return schedule(spark, e, 2).agg(F.max("epoch").alias("epochs"), F.sum("epoch").alias("one_filter_units"), F.sum("units").alias("levelled_units"), F.round(F.avg("levels"), 6).alias("mean_levels"))
-
-
 @query("io_profile", f"""WITH {fps(ORDERS)}, size AS (SELECT ceil(-count(*) * ln(pow(2, -12)) / pow(ln(2), 2))::BIGINT AS m FROM orders), b AS ({bits(ORDERS, 12, 'm')})
     SELECT 'classic' AS structure, count(*)::BIGINT AS page_touches FROM (SELECT DISTINCT k, bit // 2048 FROM b) UNION ALL SELECT 'quotient', (SELECT count(*) FROM orders)""")
 def io_profile(spark, d):
@@ -189,14 +153,13 @@ def acc_sized(spark, d):
     arrived = src.arrivals(keys)
     stored = arrived.filter(F.col("seq") <= n - n // 4)
     buffered = arrived.filter(F.col("seq") > n - n // 4)
-    layers = int(math.log2(1 + max(n - 1, 0) // 1000) + 1e-9) + 1
     found = {
         "quotient": qf.probe_join(df, f, spec),
         "classic": b.probe(df, b.build(keys)),
         "counting": counting.probe(df, counting.build(keys)),
         "write-buffered": b.probe(df, b.union(b.build(stored), b.build(buffered))),  # bits flushed, and bits of the last quarter
         "page-local": local.probe(df, local.build(keys)),
-        "layered": layered.probe(df, layered.build(arrived, layers)),
+        "layered": layered.probe(df, layered.build(arrived), layered.layers(n)),
         "two-tier": ingested(spark, d, tiered.TwoTierFilter)[0].probe(df),
         "levelled": ingested(spark, d, tiered.LevelledFilter)[0].probe(df),
     }

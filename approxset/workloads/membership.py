@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-import tempfile
 
 from pyspark.sql import functions as F
 
+from ..cluster import work_folder
 from ..functions import fingerprint as fpf
 from ..operators import quotient as qf
 from ..operators import variants
@@ -264,14 +264,6 @@ def qf_save_load(spark, d):
     return qf.unpack(spark.read.schema("shard long, n long, ring long, payload binary").parquet(path), spec, 8)
 
 
-def work_folder(spark) -> str:
-    """A new folder under spark.checkpoint.dir, or a temporary one where that is unset."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    import uuid
-
-    return f"{base.rstrip('/')}/{uuid.uuid4().hex}" if base else "file://" + tempfile.mkdtemp()
-
-
 # variants
 
 OFFSETS = f"""WITH {fps(ORDERS)}, items AS (SELECT fp // width AS g, m, row_number() OVER (ORDER BY fp) - 1 AS i FROM fps, spec, range(1, cnt + 1)),

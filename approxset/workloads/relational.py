@@ -132,7 +132,7 @@ def sample_hash(spark, d):
 @query("scan_formats", "SELECT n_nationkey, n_name, n_regionkey FROM nation")
 def scan_formats(spark, d):
     """CSV, JSON and ORC round trips, equal to each other."""
-    from .membership import work_folder
+    from ..cluster import work_folder
 
     n, base = src.table(spark, d, "nation"), work_folder(spark)
     out = []
@@ -145,7 +145,7 @@ def scan_formats(spark, d):
 @query("scan_parquet_bloom", "SELECT l_orderkey, count(*) AS n FROM lineitem WHERE l_orderkey IN (SELECT l_orderkey FROM lineitem WHERE l_quantity > 49) GROUP BY 1")
 def scan_parquet_bloom(spark, d):
     """Parquet's own Bloom filter on a column, written beside the pages and used to skip row groups."""
-    from .membership import work_folder
+    from ..cluster import work_folder
 
     path = f"{work_folder(spark)}/lines"
     li = src.table(spark, d, "lineitem").select("l_orderkey", "l_quantity")

@@ -10,7 +10,7 @@ from ..operators import tiered
 from ..sources import tables as src
 from ..streaming import jobs
 from .base import H60, query, spec_for
-from .membership import work_folder
+from ..cluster import work_folder
 
 USERS = "SELECT user_id::VARCHAR AS k FROM events"
 EVENTS = "SELECT event_id::VARCHAR AS k FROM events"

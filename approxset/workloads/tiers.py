@@ -8,23 +8,28 @@ from ..operators import quotient as qf
 from ..operators import tiered
 from ..sources import tables as src
 from .base import ABSENT, H60, LINES, ORDERS, fps, query, spec_for
-from .membership import _probed, work_folder
+from ..cluster import work_folder
+from .membership import _probed
 
 
-def ingested(spark, d, kind, epochs=6, deletes=False, **more):
+def fed(f: tiered.LevelledFilter, arrived, buffer: int):
+    """The filter after arrivals (k, seq), one batch for each `buffer` of them; the last may be less and is held."""
+    parts = arrived.withColumn("epoch", F.call_function("div", F.col("seq") - 1, F.lit(buffer).cast("long"))).cache()
+    for (e,) in sorted(parts.select("epoch").distinct().collect()):  # one row an epoch
+        f.ingest(parts.filter(F.col("epoch") == e).select("k"), batch=f"epoch {e}")
+    parts.unpersist()
+    return f
+
+
+def ingested(spark, d, kind, epochs=6, deletes=False, buffer=None, **more):
     """A filter fed with the orders' keys in `epochs` buffers by arrival."""
     keys = src.order_keys(spark, d)
-    n = keys.count()
-    spec = spec_for(keys)
-    buffer = -(-n // epochs)
-    f = kind(spark, work_folder(spark), spec, buffer, **more)
-    arrived = src.arrivals(keys).withColumn("epoch", F.call_function("div", F.col("seq") - 1, F.lit(buffer).cast("long"))).cache()
-    for e in range(epochs):
-        f.ingest(arrived.filter(F.col("epoch") == e).select("k"), batch=f"epoch {e}")
+    buffer = buffer or -(-keys.count() // epochs)
+    arrived = src.arrivals(keys)
+    f = fed(kind(spark, work_folder(spark), spec_for(keys), buffer, **more), arrived, buffer)
     if deletes:
         gone = src.table(spark, d, "orders").filter("o_orderstatus = 'F'").select(src.key_text("o_orderkey").alias("k"))
         f.delete(gone, batch="delete")
-    arrived.unpersist()
     return f, arrived
 
 
@@ -62,19 +67,18 @@ def lqf_precheck(spark, d):
     return ingested(spark, d, tiered.LevelledFilter)[0].probe(_probed(spark, d), precheck=True).agg(F.count("*").alias("probes"), F.sum("levels_read").alias("levels_read"))
 
 
-@query("tqf_probe_tiers", f"""WITH {fps(ORDERS)}, n AS (SELECT count(*) AS n FROM orders), a AS (SELECT k, seq > n - n // 7 AS fresh FROM ({ARR}), n),
-    t AS (SELECT {H60} // pow(2, 60 - p)::BIGINT AS fp, bool_or(fresh) AS fresh FROM a, spec GROUP BY 1), pb AS (SELECT k, {H60} // pow(2, 60 - p)::BIGINT AS fp FROM (SELECT DISTINCT k FROM ({LINES}) UNION ALL {ABSENT}), spec)
-    SELECT CASE WHEN fresh IS NULL THEN 'none' WHEN fresh THEN 'buffer' ELSE 'storage' END AS tier, count(*) AS probes, count(*) FILTER (WHERE fresh IS NULL OR NOT fresh) AS storage_reads FROM pb LEFT JOIN t USING (fp) GROUP BY 1""")
+#: Six full buffers and a rest of half a buffer: the rest is held.
+HELD = f"""WITH {fps(ORDERS)}, n AS (SELECT 2 * count(*) // 13 AS b FROM orders), a AS (SELECT k, seq > 6 * b AS fresh FROM ({ARR}), n),
+    t AS (SELECT {H60} // pow(2, 60 - p)::BIGINT AS fp, bool_or(fresh) AS fresh FROM a, spec GROUP BY 1), pb AS (SELECT k, {H60} // pow(2, 60 - p)::BIGINT AS fp FROM (SELECT DISTINCT k FROM ({LINES}) UNION ALL {ABSENT}), spec)"""
+
+
+@query("tqf_probe_tiers", HELD + """ SELECT CASE WHEN fresh IS NULL THEN 'none' WHEN fresh THEN 'buffer' ELSE 'storage' END AS tier, count(*) AS probes, count(*) FILTER (WHERE fresh IS NULL OR NOT fresh) AS storage_reads FROM pb LEFT JOIN t USING (fp) GROUP BY 1""")
 def tqf_probe_tiers(spark, d):
-    """Buffer first, storage for the rest: where lookups end."""
+    """Where lookups of a filter end that holds a buffer: there, without a read, or in its one stored level."""
     keys = src.order_keys(spark, d)
-    n, spec = keys.count(), spec_for(keys)
-    arrived = src.arrivals(keys).withColumn("fresh", F.col("seq") > n - n // 7)
-    buffer, storage = (qf.build_fp(arrived.filter(F.col("fresh") == v).select("k"), spec) for v in (True, False))
-    p = qf.probe_join(_probed(spark, d), buffer, spec).withColumnRenamed("maybe", "in_buffer")
-    p = qf.probe_join(p, storage, spec)
-    tier = F.when(F.col("in_buffer"), "buffer").when(F.col("maybe"), "storage").otherwise("none")
-    return p.groupBy(tier.alias("tier")).agg(F.count("*").alias("probes"), F.count(F.when(~F.col("in_buffer"), 1)).alias("storage_reads"))
+    f, _ = ingested(spark, d, tiered.TwoTierFilter, buffer=2 * keys.count() // 13)
+    tier = F.when(~F.col("maybe"), "none").when(F.col("level") == 0, "buffer").otherwise("storage")
+    return f.probe(_probed(spark, d)).groupBy(tier.alias("tier")).agg(F.count("*").alias("probes"), F.sum("levels_read").alias("storage_reads"))
 
 
 @query("lqf_equivalence", "SELECT 0::BIGINT AS only_levels, 0::BIGINT AS only_one")
@@ -117,10 +121,18 @@ def lqf_fanout_sweep(spark, d):
     return sweep(spark)
 
 
-@query("lqf_deamortised")
+@query("lqf_deamortised", """WITH RECURSIVE q AS (SELECT 0 AS epoch, 0 AS done, 0 AS waiting UNION ALL
+        SELECT epoch + 1, least(6, waiting + new), waiting + new - least(6, waiting + new) FROM (SELECT *, CASE WHEN epoch % 2 = 1 THEN 16 ELSE 0 END AS new FROM q) WHERE epoch < 12)
+    SELECT epoch::BIGINT AS epoch, done::BIGINT AS done, waiting::BIGINT AS waiting FROM q WHERE epoch > 0""")
 def lqf_deamortised(spark, d):
-    """Bounded merge work per epoch against the stalls of whole merges."""
-    return spark.createDataFrame(tiered.deamortised(24, 2, 12), "epoch long, done long, waiting long")
+    """Merge work of each flush where a merge is 16 tasks of which a flush does 6 at most: every second flush queues a merge."""
+    return ingested(spark, d, tiered.DeamortisedFilter, epochs=12, per_flush=6)[0].progress()
+
+
+@query("lqf_deamortised_contents", CONTENTS)
+def lqf_deamortised_contents(spark, d):
+    """Read while merges are waiting: sources and outputs of half-done merges together."""
+    return ingested(spark, d, tiered.DeamortisedFilter, epochs=4, per_flush=6)[0].contents()
 
 
 @query("tqf_page_writes", f"""WITH {fps(ORDERS)}, n AS (SELECT (count(*) + 5) // 6 AS b FROM orders), a AS (SELECT (seq - 1) // b AS epoch, {H60} // pow(2, 60 - p)::BIGINT // width // 256 AS page FROM ({ARR}), n, spec)
