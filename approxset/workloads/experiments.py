@@ -15,8 +15,8 @@ from ..plans import optimizer
 from ..schema import FilterSpec
 from ..sources import tables as src
 from .base import ABSENT, H60, LINES, ORDERS, SLOTS, TRIPLES, fps, query, spec_for
-from .baselines import accuracy, bits, orders_bloom
-from .membership import _probed, orders_filter
+from .baselines import AT, LAYER, PLB, SEQ, SIZE9, accuracy, bits, lanes, layered_bits, orders_bloom, orders_local
+from .membership import orders_filter
 from .tiers import ingested
 
 
@@ -119,121 +119,137 @@ def capacity_table(spark, d):
     return spark.createDataFrame([(e, fm.capacity_qf(1 << 31, e), fm.capacity_bloom(1 << 31, 2.0**-e)) for e in (6, 9, 12)], "bits int, quotient long, bloom long")
 
 
-@query("io_profile", f"""WITH {fps(ORDERS)}, size AS (SELECT ceil(-count(*) * ln(pow(2, -12)) / pow(ln(2), 2))::BIGINT AS m FROM orders), b AS ({bits(ORDERS, 12, 'm')})
-    SELECT 'classic' AS structure, count(*)::BIGINT AS page_touches FROM (SELECT DISTINCT k, bit // 2048 FROM b) UNION ALL SELECT 'quotient', (SELECT count(*) FROM orders)""")
-def io_profile(spark, d):
-    """Pages that unbuffered inserts touch: k for the classic filter, one for the quotient filter."""
-    keys = src.order_keys(spark, d)
-    b = bloom.BloomFilter.for_items(keys.count(), 2.0**-12)
-    page = F.array_distinct(F.transform(b.positions(F.col("k")), lambda x: F.call_function("div", x, F.lit(2048).cast("long"))))
-    return keys.agg(F.sum(F.size(page)).cast("long").alias("page_touches")).select(F.lit("classic").alias("structure"), "page_touches").unionByName(keys.agg(F.count("*").alias("page_touches")).select(F.lit("quotient").alias("structure"), "page_touches"))
-
-
-@query("buffer_hit_share", f"""WITH a AS (SELECT k, seq, max(seq) OVER () AS n FROM (SELECT k, row_number() OVER (ORDER BY md5(k), k) AS seq FROM ({ORDERS})))
-    SELECT count(*) AS lookups, count(*) FILTER (WHERE seq > n - n // 4) AS in_buffer, round(count(*) FILTER (WHERE seq > n - n // 4) / count(*), 6) AS share FROM ({LINES}) JOIN a USING (k)""")
-def buffer_hit_share(spark, d):
-    keys = src.order_keys(spark, d)
-    n = keys.count()
-    j = src.line_keys(spark, d).join(src.arrivals(keys), "k")
-    hit = F.count(F.when(F.col("seq") > n - n // 4, 1))
-    return j.agg(F.count("*").alias("lookups"), hit.alias("in_buffer"), F.round(hit / F.count("*"), 6).alias("share"))
+@query("paper_ratios", "SELECT m AS measure, round(a / b, 2) AS ratio FROM (VALUES ('inserts in memory, 1/64', 2.44, 1.72), ('inserts in memory, 1/4096', 2.45, 0.991), ('small inserts, two-tier to page-local', 1320.0, 249.0), ('large inserts, levelled to two-tier', 728.0, 576.0), ('large successful lookups, two-tier to levelled', 3780.0, 2380.0)) t(m, a, b)")
+def published_ratios(spark, d):
+    rows = [("inserts in memory, 1/64", 2.44, 1.72), ("inserts in memory, 1/4096", 2.45, 0.991), ("small inserts, two-tier to page-local", 1320.0, 249.0), ("large inserts, levelled to two-tier", 728.0, 576.0), ("large successful lookups, two-tier to levelled", 3780.0, 2380.0)]
+    return spark.createDataFrame([(m, round(a / b, 2)) for m, a, b in rows], "measure string, ratio double")
 
 
-@query("acc_sized_structures")
-def acc_sized(spark, d):
-    """`acc_all_structures` with a row for each structure, all of them sized from the number of keys.
+def all_answers(spark, d, df, wanted=None):
+    """`df` (k, ...) answered by each of eight structures over the orders' keys: name -> df with `maybe`.
 
-    The page-local filter of the older query keeps the 64 blocks that its SQL states, too few beyond the smallest tables."""
-    present = src.line_keys(spark, d).distinct().withColumn("present", F.lit(True))
-    df = present.unionByName(src.absent_keys(spark, d).withColumn("present", F.lit(False)))
+    The write-buffered filter holds three quarters of the arrivals on storage and the bits of the rest in memory."""
     spec, f = orders_filter(spark, d)
     b, keys = orders_bloom(spark, d)
     n = keys.count()
-    counting, local, layered = bloom.CountingBloom(b.m, b.k), bloom.PageLocalBloom.for_items(n, 2.0**-9), bloom.LayeredBloom(1000, 18, 12)
     arrived = src.arrivals(keys)
-    stored = arrived.filter(F.col("seq") <= n - n // 4)
-    buffered = arrived.filter(F.col("seq") > n - n // 4)
-    found = {
+    counting, local, layered = bloom.CountingBloom(b.m, b.k), orders_local(spark, d)[0], bloom.LayeredBloom(1000, 18, 12)
+    stored, buffered = arrived.filter(F.col("seq") <= n - n // 4), arrived.filter(F.col("seq") > n - n // 4)
+    return {
         "quotient": qf.probe_join(df, f, spec),
         "classic": b.probe(df, b.build(keys)),
         "counting": counting.probe(df, counting.build(keys)),
-        "write-buffered": b.probe(df, b.union(b.build(stored), b.build(buffered))),  # bits flushed, and bits of the last quarter
+        "write-buffered": b.probe(df, b.union(b.build(stored), b.build(buffered))),
         "page-local": local.probe(df, local.build(keys)),
         "layered": layered.probe(df, layered.build(arrived), layered.layers(n)),
         "two-tier": ingested(spark, d, tiered.TwoTierFilter)[0].probe(df),
         "levelled": ingested(spark, d, tiered.LevelledFilter)[0].probe(df),
     }
-    rows = [accuracy(name, p, n) for name, p in found.items()]
-    for r in rows[1:]:
-        rows[0] = rows[0].unionByName(r)
-    return rows[0]
 
 
-@query("paper_ratios", "SELECT m AS measure, round(a / b, 2) AS ratio FROM (VALUES ('inserts in memory, 1/64', 2.44, 1.72), ('inserts in memory, 1/4096', 2.45, 0.991), ('small inserts, two-tier to page-local', 1320.0, 249.0), ('large inserts, levelled to two-tier', 728.0, 576.0), ('large successful lookups, two-tier to levelled', 3780.0, 2380.0)) t(m, a, b)")
-def published_ratios(spark, d):
-    rows = [("inserts in memory, 1/64", 2.44, 1.72), ("inserts in memory, 1/4096", 2.45, 0.991), ("small inserts, two-tier to page-local", 1320.0, 249.0), ("large inserts, levelled to two-tier", 728.0, 576.0), ("large successful lookups, two-tier to levelled", 3780.0, 2380.0)]
-    return spark.createDataFrame([(m, round(a / b, 2)) for m, a, b in rows], "measure string, ratio double")
+def accuracies(spark, d, df):
+    n, out = src.order_keys(spark, d).count(), None
+    df = df.cache()
+    for name, found in all_answers(spark, d, df).items():
+        row = accuracy(name, found, n)
+        out = row if out is None else out.unionByName(row)
+    return out
 
 
-@query("w01_uniform_inserts", f"WITH {fps(TRIPLES)} SELECT sum(cnt)::BIGINT AS items, count(*) AS fingerprints, round(sum(cnt) / max(m), 6) AS load FROM fps, spec")
-def w01(spark, d):
-    keys = src.triple_keys(spark, d)
-    spec = spec_for(keys)
-    return qf.build_fp(keys, spec).agg(F.sum("cnt").alias("items"), F.count("*").alias("fingerprints"), F.round(F.sum("cnt") / spec.slots, 6).alias("load"))
+def accuracies_sql(probes: str) -> str:
+    """A row for each structure; probes are rows (k, present). Structures with the same bits or fingerprints answer alike."""
+    each = lambda name, frm: f"SELECT '{name}' AS structure, (SELECT count(*) FROM orders) AS n_inserted, count(*) FILTER (WHERE present) AS present_probed, count(*) FILTER (WHERE present AND NOT maybe) AS fn, count(*) FILTER (WHERE NOT present) AS absent_probed, count(*) FILTER (WHERE NOT present AND maybe) AS fp, round(count(*) FILTER (WHERE NOT present AND maybe) / nullif(count(*) FILTER (WHERE NOT present), 0), 6) AS fpr FROM pr JOIN {frm} USING (k)"
+    return f"""WITH {fps(ORDERS)}, {SIZE9}, pr AS ({probes}), ks AS (SELECT DISTINCT k FROM pr),
+        aq AS (SELECT k, {H60} // pow(2, 60 - p)::BIGINT IN (SELECT fp FROM fps) AS maybe FROM ks, spec),
+        cb AS (SELECT DISTINCT bit FROM ({bits(ORDERS, 9, 'm')})), cp AS ({bits('SELECT k FROM ks', 9, 'm')}), ac AS (SELECT k, bool_and(bit IN (SELECT bit FROM cb)) AS maybe FROM cp GROUP BY k),
+        lb AS (SELECT DISTINCT unnest({PLB}) AS bit FROM ({ORDERS}), {AT}), lp AS (SELECT k, unnest({PLB}) AS bit FROM ks, {AT}), al AS (SELECT k, bool_and(bit IN (SELECT bit FROM lb)) AS maybe FROM lp GROUP BY k),
+        ya AS (SELECT k, {LAYER} AS layer FROM ({SEQ})), yb AS (SELECT DISTINCT unnest({layered_bits('k', 12, '1000')}) AS bit FROM ya), yp AS (SELECT k, layer, unnest({layered_bits('k', 12, '1000')}) AS bit FROM ks, (SELECT DISTINCT layer FROM ya)),
+        ay AS (SELECT k, bool_or(h) AS maybe FROM (SELECT k, layer, bool_and(bit IN (SELECT bit FROM yb)) AS h FROM yp GROUP BY 1, 2) GROUP BY k)
+        """ + " UNION ALL ".join(each(name, t) for name, t in (("quotient", "aq"), ("two-tier", "aq"), ("levelled", "aq"), ("classic", "ac"), ("counting", "ac"), ("write-buffered", "ac"), ("page-local", "al"), ("layered", "ay")))
 
 
-def _one(spark, d, df, r=9):
-    keys = src.order_keys(spark, d)
-    spec, f = orders_filter(spark, d, r)
-    return accuracy("quotient", qf.probe_join(df, f, spec), keys.count())
+@query("w02_random_lookups", accuracies_sql(f"SELECT k, false AS present FROM ({ABSENT})"))
+def w02(spark, d):
+    return accuracies(spark, d, src.absent_keys(spark, d).withColumn("present", F.lit(False)))
 
 
-def _acc(pr, r=9):
-    return f"""WITH {fps(ORDERS, r)}, x AS (SELECT present, {H60} // pow(2, 60 - p)::BIGINT IN (SELECT fp FROM fps) AS maybe FROM ({pr}), spec) SELECT 'quotient' AS structure, (SELECT count(*) FROM orders) AS n_inserted, count(*) FILTER (WHERE present) AS present_probed,
-    count(*) FILTER (WHERE present AND NOT maybe) AS fn, count(*) FILTER (WHERE NOT present) AS absent_probed, count(*) FILTER (WHERE NOT present AND maybe) AS fp, round(count(*) FILTER (WHERE NOT present AND maybe) / nullif(count(*) FILTER (WHERE NOT present), 0), 6) AS fpr FROM x"""
+@query("w03_successful_lookups", accuracies_sql(f"SELECT k, true AS present FROM ({LINES})"))
+def w03(spark, d):
+    return accuracies(spark, d, src.line_keys(spark, d).withColumn("present", F.lit(True)))
 
 
-@query("w02_random_lookups", _acc(f"SELECT k, false AS present FROM ({ABSENT})"))
-def w02(spark, d):
-    return _one(spark, d, src.absent_keys(spark, d).withColumn("present", F.lit(False)))
+@query("acc_sized_structures", accuracies_sql(f"SELECT DISTINCT k, true AS present FROM ({LINES}) UNION ALL SELECT k, false FROM ({ABSENT})"))
+def acc_sized(spark, d):
+    """`acc_all_structures` with a row for each of eight structures, present and absent keys together."""
+    present = src.line_keys(spark, d).distinct().withColumn("present", F.lit(True))
+    return accuracies(spark, d, present.unionByName(src.absent_keys(spark, d).withColumn("present", F.lit(False))))
 
 
-@query("w03_successful_lookups", _acc(f"SELECT k, true AS present FROM ({LINES})"))
-def w03(spark, d):
-    return _one(spark, d, src.line_keys(spark, d).withColumn("present", F.lit(True)))
+def since(arrived, probes, spec, b):
+    """Of lookups (k, ...) against arrivals (k, phase): `quotient` and `classic`, the phase from which either structure answers
+    present (null: never). The first is that of the fingerprint, the second that in which the last of the bits was set."""
+    first = arrived.groupBy(fingerprint(F.col("k"), spec).alias("__fp")).agg(F.min("phase").alias("quotient"))
+    put = arrived.select("phase", F.explode(b.positions(F.col("k"))).alias("bit")).groupBy("bit").agg(F.min("phase").alias("phase"))
+    asked = probes.select("k").distinct().select("k", F.explode(b.positions(F.col("k"))).alias("bit"))
+    bits_ = asked.join(put, "bit", "left").groupBy("k").agg(F.when(F.count("phase") == F.count("*"), F.max("phase")).alias("classic"))
+    return probes.withColumn("__fp", fingerprint(F.col("k"), spec)).join(first, "__fp", "left").join(bits_, "k", "left").drop("__fp"), put
+
+
+SINCE = """fq AS (SELECT {h} AS fp, min(phase) AS first FROM a, spec GROUP BY 1), put AS (SELECT bit, min(phase) AS phase FROM (SELECT phase, unnest({l}) % m AS bit FROM a, size) GROUP BY 1),
+    ask AS (SELECT k, CASE WHEN count(phase) = count(*) THEN max(phase) END AS classic FROM (SELECT DISTINCT k, unnest({l}) % m AS bit FROM pr, size) LEFT JOIN put USING (bit) GROUP BY k),
+    got AS (SELECT kind, fq.first AS quotient, classic FROM (SELECT k, kind, {h} AS fp FROM pr, spec) LEFT JOIN fq USING (fp) JOIN ask USING (k))"""
+
 
+def _since_sql(k: int) -> str:
+    return SINCE.replace("{h}", f"{H60} // pow(2, 60 - p)::BIGINT").replace("{l}", lanes(k))
 
-@query("w04_interleaved", f"""WITH {fps(ORDERS)}, a AS (SELECT k, seq, (seq * 20 + n - 1) // n AS phase FROM (SELECT k, row_number() OVER (ORDER BY md5(k), k) AS seq FROM ({ORDERS})), (SELECT count(*) AS n FROM orders)),
-    f AS (SELECT {H60} // pow(2, 60 - p)::BIGINT AS fp, min(phase) AS first FROM a, spec GROUP BY 1), l AS (SELECT DISTINCT k FROM ({LINES})),
-    hit AS (SELECT first AS phase, count(*) FILTER (WHERE kind = 1) AS h, count(*) FILTER (WHERE kind = 0) AS x FROM (SELECT {H60} // pow(2, 60 - p)::BIGINT AS fp, kind FROM (SELECT k, 1 AS kind FROM l UNION ALL SELECT k, 0 FROM ({ABSENT})), spec) JOIN f USING (fp) GROUP BY 1)
-    SELECT i AS phase, coalesce(sum(h) OVER (ORDER BY i), 0)::BIGINT AS hits, coalesce(sum(x) OVER (ORDER BY i), 0)::BIGINT AS false_hits FROM range(1, 21) t(i) LEFT JOIN hit ON i = phase""")
+
+@query("w04_interleaved", f"""WITH {fps(ORDERS)}, {SIZE9}, a AS (SELECT k, (seq * 20 + n - 1) // n AS phase FROM ({SEQ}), (SELECT count(*) AS n FROM orders)), pr AS (SELECT DISTINCT k, 1 AS kind FROM ({LINES}) UNION ALL SELECT k, 0 FROM ({ABSENT})), {_since_sql(9)},
+    fill AS (SELECT i, (SELECT count(*) FROM put WHERE phase <= i) AS bits, (SELECT count(*) FROM a WHERE phase <= i) AS items FROM range(1, 21) t(i)), sizes AS (SELECT (SELECT max(spec.m) FROM spec) AS slots, (SELECT max(size.m) FROM size) AS m)
+    SELECT 'quotient' AS structure, i AS phase, (SELECT count(*) FROM got WHERE kind = 1 AND quotient <= i) AS hits, (SELECT count(*) FROM got WHERE kind = 0 AND quotient <= i) AS false_hits, round(items / slots, 6) AS load FROM fill, sizes
+    UNION ALL SELECT 'classic', i, (SELECT count(*) FROM got WHERE kind = 1 AND classic <= i), (SELECT count(*) FROM got WHERE kind = 0 AND classic <= i), round(bits / m, 6) FROM fill, sizes""")
 def w04(spark, d):
-    """After each twentieth of the inserts, lookups of present and of absent keys against what is there."""
+    """After each twentieth of the inserts, lookups of present and of absent keys against what is there, by both structures."""
     keys = src.order_keys(spark, d)
     spec, n = spec_for(keys), keys.count()
-    phase = F.call_function("div", F.col("seq") * 20 + n - 1, F.lit(n).cast("long"))
-    first = src.arrivals(keys).groupBy(fingerprint(F.col("k"), spec).alias("fp")).agg(F.min(phase).alias("phase"))
+    b = orders_bloom(spark, d)[0]
+    arrived = src.arrivals(keys).withColumn("phase", F.call_function("div", F.col("seq") * 20 + n - 1, F.lit(n).cast("long")))
     probes = src.line_keys(spark, d).distinct().withColumn("kind", F.lit(1)).unionByName(src.absent_keys(spark, d).withColumn("kind", F.lit(0)))
-    hit = probes.select(fingerprint(F.col("k"), spec).alias("fp"), "kind").join(first, "fp").groupBy("phase").agg(F.count(F.when(F.col("kind") == 1, 1)).alias("h"), F.count(F.when(F.col("kind") == 0, 1)).alias("x"))
-    w = Window.orderBy("phase")
+    found, put = since(arrived, probes, spec, b)
+    w, out = Window.orderBy("phase"), None  # windows over twenty rows
     z = lambda c: F.coalesce(F.sum(c).over(w), F.lit(0)).cast("long")
-    return spark.range(1, 21).toDF("phase").join(hit, "phase", "left").select("phase", z("h").alias("hits"), z("x").alias("false_hits"))
+    grid = spark.range(1, 21).toDF("phase")
+    for name, filled, size in (("quotient", arrived.groupBy("phase").agg(F.count("*").alias("c")), spec.slots), ("classic", put.groupBy("phase").agg(F.count("*").alias("c")), b.m)):
+        hit = found.groupBy(F.col(name).alias("phase")).agg(F.count(F.when(F.col("kind") == 1, 1)).alias("h"), F.count(F.when(F.col("kind") == 0, 1)).alias("x"))
+        rows = grid.join(hit, "phase", "left").join(filled, "phase", "left").select(F.lit(name).alias("structure"), "phase", z("h").alias("hits"), z("x").alias("false_hits"), F.round(z("c") / size, 6).alias("load"))
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
 
+NINE = "SELECT ceil(count(*) / 0.9)::BIGINT AS slots, count(*) AS n FROM lineitem"
 
 for _r in (6, 9, 12):
 
-    @query(f"w05_bf_vs_qf_{1 << _r}", f"""WITH {fps(TRIPLES, _r)}, size AS (SELECT max(m) * ({_r} + 3) AS m FROM spec), ab AS ({ABSENT}), b AS (SELECT DISTINCT bit FROM ({bits(TRIPLES, _r, 'm')})), pb AS ({bits('SELECT k FROM ab', _r, 'm')}),
-        h AS (SELECT k, bool_and(bit IN (SELECT bit FROM b)) AS maybe FROM pb GROUP BY k)
-        SELECT 'quotient' AS structure, count(*) AS absent_probed, count(*) FILTER (WHERE {H60} // pow(2, 60 - p)::BIGINT IN (SELECT fp FROM fps)) AS fp FROM ab, spec UNION ALL SELECT 'classic', count(*), count(*) FILTER (WHERE maybe) FROM h""")
+    @query(f"w05_bf_vs_qf_{1 << _r}", f"""WITH s AS ({NINE}), spec AS (SELECT slots, n, ceil(log2(slots))::BIGINT + {_r} AS p FROM s), size AS (SELECT slots * ({_r} + 3) AS m FROM s), a AS (SELECT k, (seq * 20 + slots - 1) // slots AS phase FROM (SELECT k, row_number() OVER (ORDER BY md5(k), k) AS seq FROM ({TRIPLES})), s), pr AS (SELECT k, 0 AS kind FROM ({ABSENT})), {_since_sql(_r)},
+        steps AS (SELECT i, least(n, slots * i // 20) AS inserted FROM range(1, 19) t(i), s)
+        SELECT 'quotient' AS structure, i AS step, inserted, (SELECT count(*) FROM got) AS absent_probed, (SELECT count(*) FROM got WHERE quotient <= i) AS fp FROM steps UNION ALL SELECT 'classic', i, inserted, (SELECT count(*) FROM got), (SELECT count(*) FROM got WHERE classic <= i) FROM steps""")
     def _(spark, d, r=_r):
-        """Both structures over the same keys in the same bytes."""
+        """Both structures over the same keys in the same bytes, at each 5 % up to 90 % of the quotient filter's slots."""
         keys = src.triple_keys(spark, d)
-        spec = spec_for(keys, r)
-        absent = src.absent_keys(spark, d)
-        b = bloom.BloomFilter(spec.slots * (r + 3), r)
-        rows = [("quotient", qf.probe_join(absent, qf.build_fp(keys, spec), spec)), ("classic", b.probe(absent, b.build(keys)))]
-        out = [p.agg(F.count("*").alias("absent_probed"), F.count(F.when(F.col("maybe"), 1)).alias("fp")).select(F.lit(n).alias("structure"), "*") for n, p in rows]
-        return out[0].unionByName(out[1])
+        n = keys.count()
+        slots = math.ceil(n / 0.9)
+        spec, b = FilterSpec(p=math.ceil(math.log2(slots)) + r, slots=slots, max_load=0.9), bloom.BloomFilter(slots * (r + 3), r)
+        spec.check(n, 0.9001)
+        arrived = src.arrivals(keys).withColumn("phase", F.call_function("div", F.col("seq") * 20 + slots - 1, F.lit(slots).cast("long")))
+        found = since(arrived, src.absent_keys(spark, d), spec, b)[0].cache()
+        w, out = Window.orderBy("step"), None  # windows over eighteen rows
+        grid = spark.range(1, 19).toDF("step")
+        total = found.count()
+        for name in ("quotient", "classic"):
+            hit = found.groupBy(F.col(name).alias("step")).agg(F.count("*").alias("x"))
+            rows = grid.join(hit, "step", "left").select(F.lit(name).alias("structure"), "step", F.least(F.lit(n).cast("long"), F.call_function("div", F.col("step") * slots, F.lit(20).cast("long"))).alias("inserted"), F.lit(total).cast("long").alias("absent_probed"), F.coalesce(F.sum("x").over(w), F.lit(0)).cast("long").alias("fp"))
+            out = rows if out is None else out.unionByName(rows)
+        return out
 
 
 @query("w10_space_accuracy", "SELECT b::BIGINT AS bits_per_item, round(pow(0.5, b * ln(2)), 9) AS bloom, round(0.75 / pow(2, 0.75 * b - 3), 9) AS quotient FROM range(5, 31) t(b)")
@@ -257,12 +273,22 @@ def w12(spark, d):
     return t.crossJoin(n)
 
 
-@query("w13_deduplication", f"""WITH t AS (SELECT {H60.replace('k)', 'text)')} // pow(2, 12)::BIGINT AS fp, text FROM documents WHERE text IS NOT NULL) SELECT count(*) AS rows_, count(DISTINCT text) AS texts, count(DISTINCT fp) AS fingerprints, count(DISTINCT text) - count(DISTINCT fp) AS false_drops FROM t""")
+_W13 = f"SELECT '{{n}}' AS source, count(*) AS rows_, count(DISTINCT k) AS texts, count(DISTINCT {H60} // pow(2, 12)::BIGINT) AS fingerprints, count(DISTINCT k) - count(DISTINCT {H60} // pow(2, 12)::BIGINT) AS false_drops FROM ({{q}}) WHERE k IS NOT NULL"
+
+
+@query("w13_deduplication", " UNION ALL ".join(_W13.format(n=n, q=q) for n, q in (("documents", "SELECT text AS k FROM documents"), ("lines", "SELECT unnest(string_split(text, chr(10))) AS k FROM documents"), ("conversations", "SELECT text AS k FROM conversations"))))
 def w13(spark, d):
+    """Repeats that a filter of seen texts drops, and texts that it drops wrongly: documents, their lines, turns of conversations."""
     spec = FilterSpec(p=48, slots=1 << 30)
-    t = src.table(spark, d, "documents").filter("text is not null").select(fingerprint(F.col("text"), spec).alias("fp"), F.sha2(F.col("text").cast("binary"), 256).alias("d"))
-    per = t.groupBy("fp", "d").agg(F.count("*").alias("n")).groupBy("fp").agg(F.sum("n").alias("n"), F.count("*").alias("texts"))
-    return per.agg(F.sum("n").alias("rows_"), F.sum("texts").alias("texts"), F.count("*").alias("fingerprints"), (F.sum("texts") - F.count("*")).alias("false_drops"))
+    docs = src.table(spark, d, "documents")
+    texts = {"documents": docs.select(F.col("text").alias("k")), "lines": docs.select(F.explode(F.split("text", "\n")).alias("k")), "conversations": src.table(spark, d, "conversations").select(F.col("text").alias("k"))}
+    out = None
+    for name, t in texts.items():
+        t = t.filter("k is not null").select(fingerprint(F.col("k"), spec).alias("fp"), F.sha2(F.col("k").cast("binary"), 256).alias("d"))
+        per = t.groupBy("fp", "d").agg(F.count("*").alias("n")).groupBy("fp").agg(F.sum("n").alias("n"), F.count("*").alias("texts"))
+        row = per.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("rows_"), F.coalesce(F.sum("texts"), F.lit(0)).alias("texts"), F.count("*").alias("fingerprints"), F.coalesce(F.sum("texts") - F.count("*"), F.lit(0)).alias("false_drops")).select(F.lit(name).alias("source"), "*")
+        out = row if out is None else out.unionByName(row)
+    return out
 
 
 @query("w14_join_prefilter", "SELECT o_orderpriority AS priority, count(*) AS lines, round(sum(l_quantity), 2) AS quantity FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE o_orderdate >= TIMESTAMP '1995-01-01' AND o_orderdate < TIMESTAMP '1995-04-01' GROUP BY 1")
@@ -285,12 +311,6 @@ def w15(spark, d):
     return sure.groupBy(F.col("c_nationkey").alias("nation")).agg(F.countDistinct("o_custkey").alias("customers"), F.count("*").alias("routed"))
 
 
-@query("w16_stream_users", "SELECT event_type, count(*) AS events, count(DISTINCT user_id) AS users FROM events GROUP BY 1")
-def w16(spark, d):
-    e = src.table(spark, d, "events")
-    return e.groupBy("event_type").agg(F.count("*").alias("events"), F.countDistinct("user_id").alias("users"))
-
-
 @query("w17_held_out_overlap", f"""WITH w AS (SELECT doc_id, string_split(text, ' ') AS w FROM documents), s AS (SELECT DISTINCT doc_id, array_to_string(w[i:i+7], ' ') AS k FROM w, range(1, 100000) t(i) WHERE i <= len(w) - 7),
     bw AS (SELECT item_id, string_split(text, ' ') AS w FROM benchmark), b AS (SELECT DISTINCT item_id, array_to_string(w[i:i+7], ' ') AS k FROM bw, range(1, 10000) t(i) WHERE i <= len(w) - 7)
     SELECT doc_id, item_id, count(*) AS shared FROM s JOIN b USING (k) GROUP BY 1, 2""")
@@ -306,19 +326,63 @@ def w17(spark, d):
     return windows("documents", "doc_id").join(windows("benchmark", "item_id"), "fp").groupBy("doc_id", "item_id").agg(F.count("*").alias("shared"))
 
 
-DELETED = f"""WITH {fps(ORDERS)}, kept AS (SELECT DISTINCT {H60} // pow(2, 60 - p)::BIGINT AS fp FROM (SELECT o_orderkey::VARCHAR AS k FROM orders WHERE o_orderstatus <> 'F'), spec)
-    SELECT o_orderstatus AS status, count(*) AS probed, count(*) FILTER (WHERE {H60.replace('k)', 'o_orderkey::VARCHAR)')} // pow(2, 60 - p)::BIGINT IN (SELECT fp FROM kept)) AS maybe FROM orders, spec GROUP BY 1"""
+STATUS_KEYS = "SELECT o_orderkey::VARCHAR AS k, o_orderstatus AS status FROM orders"
+GONE_KEYS = "SELECT o_orderkey::VARCHAR AS k FROM orders WHERE o_orderstatus = 'F'"
+KEPT_KEYS = "SELECT o_orderkey::VARCHAR AS k FROM orders WHERE o_orderstatus <> 'F'"
 
 
-@query("w18_deletes", DELETED)
-@query("delete_quality", DELETED)
-def w18(spark, d):
-    from .membership import status_filter
+def _after_deletes_sql(gone: str) -> str:
+    """CTE found (structure, k, maybe): the orders' keys against each structure after `gone` was deleted from it."""
+    cell = lambda keys: f"(SELECT bit AS cell, count(*) AS c FROM (SELECT DISTINCT k, o, bit FROM ({bits(f'SELECT k, row_number() OVER () AS o FROM ({keys})', 9, 'm', 'o,')})) GROUP BY 1)"
+    return f"""WITH {fps(ORDERS)}, {SIZE9}, df AS (SELECT {H60} // pow(2, 60 - p)::BIGINT AS fp, count(*) AS d FROM ({gone}), spec GROUP BY 1), qf AS (SELECT fp FROM fps LEFT JOIN df USING (fp) WHERE cnt > coalesce(d, 0)),
+        cells AS (SELECT cell FROM {cell(ORDERS)} c LEFT JOIN (SELECT cell, c AS d FROM {cell(gone)}) USING (cell) WHERE c >= 15 OR c > coalesce(d, 0)), kb AS (SELECT DISTINCT bit FROM ({bits(KEPT_KEYS, 9, 'm')})), pb AS ({bits(ORDERS, 9, 'm')}),
+        found AS (SELECT 'quotient' AS structure, k, {H60} // pow(2, 60 - p)::BIGINT IN (SELECT fp FROM qf) AS maybe FROM ({ORDERS}), spec
+            UNION ALL SELECT 'counting', k, bool_and(bit IN (SELECT cell FROM cells)) FROM pb GROUP BY k UNION ALL SELECT 'rebuilt', k, bool_and(bit IN (SELECT bit FROM kb)) FROM pb GROUP BY k)"""
+
 
+def after_deletes(spark, d, gone):
+    """structure -> (the orders' keys with status and `maybe` after `gone` was deleted, its bits, whether it reads the keys again)."""
     spec, f = orders_filter(spark, d)
-    left = qf.delete(f, status_filter(spark, d, spec, "F"))
+    b, keys = orders_bloom(spark, d)
+    counting = bloom.CountingBloom(b.m, b.k)
     o = src.table(spark, d, "orders").select(src.key_text("o_orderkey").alias("k"), F.col("o_orderstatus").alias("status"))
-    return qf.probe_join(o, left, spec).groupBy("status").agg(F.count("*").alias("probed"), F.count(F.when(F.col("maybe"), 1)).alias("maybe"))
+    left = qf.delete(f, qf.build_fp(gone, spec))
+    return {
+        "quotient": (qf.probe_join(o, left, spec), spec.slots * (spec.r + 3), False),
+        "counting": (counting.probe(o, counting.delete(counting.build(keys), gone)), 4 * b.m, False),
+        "rebuilt": (b.probe(o, b.build(o.filter("status <> 'F'").select("k"))), b.m, True),
+    }
+
+
+def _gone(spark, d):
+    return src.table(spark, d, "orders").filter("o_orderstatus = 'F'").select(src.key_text("o_orderkey").alias("k"))
+
+
+@query("w18_deletes", _after_deletes_sql(GONE_KEYS) + f" SELECT structure, status, count(*) AS probed, count(*) FILTER (WHERE maybe) AS maybe FROM found JOIN ({STATUS_KEYS}) USING (k) GROUP BY 1, 2")
+def w18(spark, d):
+    """Finished orders are deleted, then all are looked up: by deletes in place, and by a classic filter built again."""
+    out = None
+    for name, (found, _, _) in after_deletes(spark, d, _gone(spark, d)).items():
+        rows = found.groupBy("status").agg(F.count("*").alias("probed"), F.count(F.when(F.col("maybe"), 1)).alias("maybe")).select(F.lit(name).alias("structure"), "*")
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+WRONG = "SELECT (o_orderkey + 1000000)::VARCHAR AS k FROM orders"
+
+
+@query("delete_quality", _after_deletes_sql(f"{GONE_KEYS} UNION ALL {WRONG}") + f""", sizes AS (SELECT 'quotient' AS structure, m * 12 AS bits, false AS reads_keys FROM spec UNION ALL SELECT 'counting', 4 * m, false FROM size UNION ALL SELECT 'rebuilt', m, true FROM size)
+    SELECT structure, bits, reads_keys, count(*) FILTER (WHERE status <> 'F' AND NOT maybe) AS lost, count(*) FILTER (WHERE status = 'F' AND maybe) AS still_there FROM found JOIN ({STATUS_KEYS}) USING (k) JOIN sizes USING (structure) GROUP BY ALL""")
+def delete_quality(spark, d):
+    """Finished orders and as many keys again that were never inserted are deleted: kept keys that are lost (a wrong delete took
+    their copy), deleted ones that still answer, bits of each structure, and whether it needs the keys."""
+    wrong = src.absent_keys(spark, d, 1)
+    out = None
+    for name, (found, size, again) in after_deletes(spark, d, _gone(spark, d).unionByName(wrong)).items():
+        lost, still = F.count(F.when((F.col("status") != "F") & ~F.col("maybe"), 1)), F.count(F.when((F.col("status") == "F") & F.col("maybe"), 1))
+        row = found.agg(lost.alias("lost"), still.alias("still_there")).select(F.lit(name).alias("structure"), F.lit(size).cast("long").alias("bits"), F.lit(again).alias("reads_keys"), "lost", "still_there")
+        out = row if out is None else out.unionByName(row)
+    return out
 
 
 @query("w19_resize_merge", "SELECT b AS resized_by, 0::BIGINT AS differing FROM (VALUES (-3), (-2), (-1), (1), (2), (3)) t(b)")

@@ -203,3 +203,90 @@ def insert_cost_curve(spark, d):
     w = Window.orderBy("epoch")  # one row a flush
     one, many = (filled(spark, d, 24, k).history().select("epoch", F.sum("written").over(w).alias(n)) for k, n in ((tiered.TwoTierFilter, "one_filter"), (tiered.LevelledFilter, "levelled")))
     return one.join(many, "epoch")
+
+
+RATIO = 4
+HELD4 = f"""WITH par AS (SELECT count(*) AS n, 2 * count(*) // 9 AS b, ceil(log2(count(*) / 0.75))::BIGINT + 12 AS p FROM lineitem), arr AS (SELECT k, row_number() OVER (ORDER BY md5(k), k) AS seq FROM ({TRIPLES})),
+    held AS (SELECT {H60} // pow(2, 60 - p)::BIGINT AS fp, bool_or(seq > 4 * b) AS fresh FROM arr, par GROUP BY 1), f AS (SELECT fresh FROM (SELECT DISTINCT k, {H60} // pow(2, 60 - p)::BIGINT AS fp FROM ({TRIPLES}), par) JOIN held USING (fp))"""
+
+
+@query("buffer_hit_share", HELD4 + " SELECT s AS structure, count(*) AS lookups, count(*) FILTER (WHERE fresh) AS in_buffer, round(count(*) FILTER (WHERE fresh) / count(*), 6) AS share FROM f, (VALUES ('two-tier'), ('levelled')) t(s) GROUP BY 1")
+def buffer_hit_share(spark, d):
+    """Lookups of present keys that end in the buffer of a filter at 1:4."""
+    present, out = src.triple_keys(spark, d).distinct(), None
+    for name, kind in (("two-tier", tiered.TwoTierFilter), ("levelled", tiered.LevelledFilter)):
+        hit = F.count(F.when(F.col("level") == 0, 1))
+        row = filled(spark, d, RATIO, kind).probe(present).agg(F.count("*").alias("lookups"), hit.alias("in_buffer"), F.round(hit / F.count("*"), 6).alias("share")).select(F.lit(name).alias("structure"), "*")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def _epochs_sql() -> str:
+    lane = lambda i: f"('0x' || substr(sha256('0:' || k) || sha256('1:' || k), ({i}) * 9 + 1, 9))::BIGINT"
+    return f"""WITH par AS (SELECT count(*) AS n, 2 * count(*) // 9 AS b, ceil(-count(*) * ln(pow(2, -12)) / pow(ln(2), 2))::BIGINT AS m FROM lineitem), size AS (SELECT * FROM par), arr AS (SELECT k, row_number() OVER (ORDER BY md5(k), k) AS seq FROM ({TRIPLES})),
+        d AS (SELECT (seq - 1) // b + 1 AS epoch, seq, list_transform({lanes(K_BUFFERED)}, lambda x: x % m // {BLOCK}) AS pages, {lane('0')} AS lane, b, (m + {BLOCK - 1}) // {BLOCK} AS blocks FROM arr, par WHERE seq <= 4 * b), e AS (SELECT i AS epoch, b FROM range(1, 5) t(i), par)
+        SELECT 'direct' AS structure, epoch, sum(len(list_distinct(pages)))::BIGINT AS random_writes, 0::BIGINT AS sequential_writes FROM d GROUP BY epoch UNION ALL
+        SELECT 'write-buffered', epoch, count(DISTINCT page), 0 FROM (SELECT epoch, unnest(pages) AS page FROM d) GROUP BY epoch UNION ALL
+        SELECT 'page-local', epoch, count(*) FILTER (WHERE i % greatest(1, b // blocks) = 0), 0 FROM (SELECT *, row_number() OVER (PARTITION BY lane % blocks ORDER BY seq) AS i FROM d) GROUP BY epoch UNION ALL
+        SELECT 'two-tier', epoch, 0, (epoch * b + 255) // 256 FROM e UNION ALL SELECT 'levelled', epoch, 0, ((epoch & -epoch) * b + 255) // 256 FROM e"""
+
+
+@query("io_profile", _epochs_sql())
+def io_profile(spark, d):
+    """Blocks written in each epoch of a run at 1:4, by each structure; `direct` is the classic filter without a buffer."""
+    keys = src.triple_keys(spark, d)
+    n = keys.count()
+    b = buffer_of(n, RATIO)
+    arrived = src.arrivals(keys).filter(F.col("seq") <= RATIO * b).cache()
+    epoch = (F.call_function("div", F.col("seq") - 1, F.lit(b).cast("long")) + 1).alias("epoch")
+    zero = F.lit(0).cast("long")
+    w = bloom.BloomFilter.for_items(n, 2.0**-12, K_BUFFERED)
+    p = bloom.PageLocalBloom.for_items(n, 2.0**-12, BLOCK, K_LOCAL)
+    pages = F.size(F.array_distinct(F.transform(w.positions(F.col("k")), lambda x: F.call_function("div", x, F.lit(BLOCK).cast("long")))))
+    grid = spark.range(1, RATIO + 1).toDF("epoch")
+    rows = {
+        "direct": arrived.groupBy(epoch).agg(F.sum(pages).alias("random_writes")),
+        "write-buffered": bloom.write_buffered_writes(arrived, w, b, BLOCK).select((F.col("epoch") + 1).alias("epoch"), F.col("page_writes").alias("random_writes")),
+        "page-local": p.flush_times(arrived, max(1, b // p.blocks)).groupBy(epoch).agg(F.count("*").alias("random_writes")),
+    }
+    out = None
+    for name, r in rows.items():
+        r = grid.join(r, "epoch", "left").select(F.lit(name).alias("structure"), "epoch", F.coalesce("random_writes", zero).cast("long").alias("random_writes"), zero.alias("sequential_writes"))
+        out = r if out is None else out.unionByName(r)
+    for name, kind in (("two-tier", tiered.TwoTierFilter), ("levelled", tiered.LevelledFilter)):
+        out = out.unionByName(filled(spark, d, RATIO, kind).history().select(F.lit(name).alias("structure"), "epoch", zero.alias("random_writes"), _blocks(F.col("written")).alias("sequential_writes")))
+    return out
+
+
+def _w01_sql() -> str:
+    lane = lambda i: f"('0x' || substr(sha256('0:' || k) || sha256('1:' || k), ({i}) * 9 + 1, 9))::BIGINT"
+    return f"""WITH par AS (SELECT count(*) AS n, 2 * count(*) // 9 AS b, ceil(log2(count(*) / 0.75))::BIGINT AS q, ceil(-count(*) * ln(pow(2, -12)) / pow(ln(2), 2))::BIGINT AS m FROM lineitem), size AS (SELECT * FROM par), at_ AS (SELECT (m + {BLOCK - 1}) // {BLOCK} AS blocks FROM par),
+        f AS (SELECT count(DISTINCT {H60} // pow(2, 48 - q)::BIGINT) AS cells FROM ({TRIPLES}), par), cb AS (SELECT count(DISTINCT bit) AS cells FROM (SELECT unnest({lanes(K_BUFFERED)}) % m AS bit FROM ({TRIPLES}), size)),
+        lb AS (SELECT count(DISTINCT bit) AS cells FROM (SELECT unnest(list_transform(range(1, {K_LOCAL + 1}), lambda i: {lane('0')} % blocks * {BLOCK} + {lane('i')} % {BLOCK})) AS bit FROM ({TRIPLES}), at_)),
+        ya AS (SELECT k, b, floor(log2(1 + (seq - 1) // b) + 1e-9)::BIGINT AS layer FROM (SELECT k, row_number() OVER (ORDER BY md5(k), k) AS seq FROM ({TRIPLES})), par), yb AS (SELECT count(DISTINCT bit) AS cells FROM (SELECT unnest({layered_bits('k', K_LAYERED, 'b', 18, 8)}) AS bit FROM ya)),
+        ys AS (SELECT sum((b * 18 * pow(2, layer)::BIGINT + {BLOCK - 1}) // {BLOCK}) * {BLOCK} AS size FROM (SELECT DISTINCT layer, b FROM ya))
+        SELECT s AS structure, n AS items, cells, round(n / pow(2, q), 6) AS fill FROM f, par, (VALUES ('quotient'), ('two-tier'), ('levelled')) t(s) UNION ALL SELECT s, n, cells, round(cells / m, 6) FROM cb, par, (VALUES ('classic'), ('write-buffered')) t(s)
+        UNION ALL SELECT 'page-local', n, cells, round(cells / (blocks * {BLOCK}), 6) FROM lb, par, at_ UNION ALL SELECT 'layered', n, cells, round(cells / size, 6) FROM yb, par, ys"""
+
+
+@query("w01_uniform_inserts", _w01_sql())
+def w01(spark, d):
+    """All lines' keys into seven structures at a rate of 1/4096: items, distinct fingerprints or bits, and how full each is."""
+    from ..operators import quotient as qf
+
+    keys = src.triple_keys(spark, d)
+    n = keys.count()
+    spec, b = spec_for(keys, 12), buffer_of(n, RATIO)
+    arrived = src.arrivals(keys).cache()
+    items = {"quotient": qf.build_fp(keys, spec), "two-tier": filled(spark, d, RATIO, tiered.TwoTierFilter).contents(), "levelled": filled(spark, d, RATIO, tiered.LevelledFilter).contents()}
+    w, p, y = bloom.BloomFilter.for_items(n, 2.0**-12, K_BUFFERED), bloom.PageLocalBloom.for_items(n, 2.0**-12, BLOCK, K_LOCAL), bloom.LayeredBloom(b, 18, K_LAYERED, BLOCK)
+    half = F.col("seq") <= n // 2
+    words = {"classic": (w.build(keys), w.m), "write-buffered": (w.union(w.build(arrived.filter(half)), w.build(arrived.filter(~half))), w.m), "page-local": (p.build(keys), p.blocks * p.block_bits), "layered": (y.build(arrived), sum(y.blocks(i) for i in range(y.layers(n))) * BLOCK)}
+    out = None
+    for name, f in items.items():
+        row = f.agg(F.sum("cnt").alias("items"), F.count("*").alias("cells"), F.round(F.sum("cnt") / spec.slots, 6).alias("fill")).select(F.lit(name).alias("structure"), "*")
+        out = row if out is None else out.unionByName(row)
+    for name, (f, size) in words.items():
+        cells = F.sum(F.bit_count("word")).cast("long")
+        out = out.unionByName(f.agg(F.lit(n).cast("long").alias("items"), cells.alias("cells"), F.round(cells / size, 6).alias("fill")).select(F.lit(name).alias("structure"), "*"))
+    return out
