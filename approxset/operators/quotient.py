@@ -5,11 +5,16 @@ Fingerprint face: (fp, cnt). Slot face: (slot, remainder, occupied, shifted, con
 
 from __future__ import annotations
 
+import dataclasses
+import json
+import uuid
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..cluster import ship
 from ..functions.fingerprint import fingerprint, quotient_of, remainder_of
 from ..schema import FilterSpec
 
@@ -56,16 +61,23 @@ def as_slots(fps: DataFrame, spec: FilterSpec, ranges: int = 64) -> DataFrame:
     return both.select("slot", "remainder", F.coalesce("occ", F.lit(False)).alias("occupied"), F.coalesce("shifted", F.lit(False)).alias("shifted"), F.coalesce("continuation", F.lit(False)).alias("continuation"), F.col("g").isNotNull().alias("used"))
 
 
-def decode(slots: DataFrame, spec: FilterSpec) -> DataFrame:
-    """(fp, cnt) back from the slot face: after an empty slot, the j-th run belongs to the j-th occupied bucket in ring order."""
+def decode(slots: DataFrame, spec: FilterSpec, ranges: int = 64) -> DataFrame:
+    """(fp, cnt) back from the slot face: after an empty slot, the j-th run belongs to the j-th occupied bucket in ring order.
+
+    Both orders are counted inside ranges of the ring and shifted by the counts of the ranges before (`ranges` rows)."""
     m = spec.slots
     used = slots.filter("used").select("slot").withColumn("next", F.pmod(F.col("slot") + 1, F.lit(m)))
     cut = used.join(used.select(F.col("slot").alias("s2")), used["next"] == F.col("s2"), "left_anti").agg(F.min("next").alias("cut"))  # an empty slot
-    ring = slots.crossJoin(F.broadcast(cut)).withColumn("pos", F.pmod(F.col("slot") - F.col("cut"), F.lit(m)))
-    w = Window.orderBy("pos")
-    runs = ring.filter("used").withColumn("run", F.sum(F.when(~F.col("continuation"), 1).otherwise(0)).over(w))
-    owners = ring.filter("occupied").select(F.col("slot").alias("quotient"), F.row_number().over(w).cast("long").alias("run"))
-    return runs.join(owners, "run").select((F.col("quotient") * spec.width + F.col("remainder")).alias("fp")).groupBy("fp").agg(F.count("*").alias("cnt"))
+    ring = slots.crossJoin(F.broadcast(cut)).withColumn("pos", F.pmod(F.col("slot") - F.col("cut"), F.lit(m)))  # one row
+    ring = ring.withColumn("range", F.call_function("div", F.col("pos") * ranges, F.lit(m).cast("long"))).withColumn("head", (F.col("used") & ~F.col("continuation")).cast("long"))
+    before = Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
+    tops = ring.groupBy("range").agg(F.sum("head").alias("heads"), F.sum(F.col("occupied").cast("long")).alias("owners"))
+    z = lambda c: F.coalesce(F.sum(c).over(before), F.lit(0))
+    placed = ring.join(F.broadcast(tops.select("range", z("heads").alias("heads"), z("owners").alias("owners"))), "range")
+    w = Window.partitionBy("range").orderBy("pos")
+    placed = placed.withColumn("run", F.col("heads") + F.sum("head").over(w)).withColumn("owner", F.col("owners") + F.sum(F.col("occupied").cast("long")).over(w))
+    owners = placed.filter("occupied").select(F.col("slot").alias("quotient"), F.col("owner").alias("run"))
+    return placed.filter("used").join(owners, "run").select((F.col("quotient") * spec.width + F.col("remainder")).alias("fp")).groupBy("fp").agg(F.count("*").alias("cnt"))
 
 
 def layout(g: np.ndarray, m: int) -> np.ndarray:
@@ -76,6 +88,22 @@ def layout(g: np.ndarray, m: int) -> np.ndarray:
     return (i + np.maximum(over, np.maximum.accumulate(g - i))) % m if len(g) else s
 
 
+def bits_of(words: np.ndarray, width: int) -> bytes:
+    """The low `width` bits of each word, one after the other; a byte a bit at most in between."""
+    bits = np.empty((len(words), width), np.uint8)
+    for j in range(width):
+        bits[:, j] = (words >> np.uint64(j)) & np.uint64(1)
+    return np.packbits(bits.ravel(), bitorder="little").tobytes()
+
+
+def words_of(payload: bytes, m: int, width: int) -> np.ndarray:
+    bits = np.unpackbits(np.frombuffer(payload, np.uint8), count=m * width, bitorder="little").reshape(m, width)
+    words = np.zeros(m, np.uint64)
+    for j in range(width):
+        words |= bits[:, j].astype(np.uint64) << np.uint64(j)
+    return words
+
+
 def pack_ring(g: np.ndarray, rem: np.ndarray, m: int, r: int) -> bytes:
     """r + 3 bits a slot: occupied, shifted, continuation, remainder."""
     if len(g) >= m:
@@ -88,14 +116,12 @@ def pack_ring(g: np.ndarray, rem: np.ndarray, m: int, r: int) -> bytes:
         cont = np.append(False, g[1:] == g[:-1])
         words[raw] = rem.astype(np.uint64) | (cont.astype(np.uint64) << np.uint64(r)) | ((raw != g).astype(np.uint64) << np.uint64(r + 1))
         words[np.unique(g)] |= np.uint64(1) << np.uint64(r + 2)
-    bits = (words[:, None] >> np.arange(r + 3, dtype=np.uint64)) & np.uint64(1)
-    return np.packbits(bits.astype(np.uint8).ravel(), bitorder="little").tobytes()
+    return bits_of(words, r + 3)
 
 
 def unpack_ring(payload: bytes, m: int, r: int) -> tuple[np.ndarray, np.ndarray]:
     """(quotients, remainders), sorted."""
-    bits = np.unpackbits(np.frombuffer(payload, np.uint8), count=m * (r + 3), bitorder="little").reshape(m, r + 3).astype(np.uint64)
-    words = (bits << np.arange(r + 3, dtype=np.uint64)).sum(1, dtype=np.uint64)
+    words = words_of(payload, m, r + 3)
     rem = words & np.uint64((1 << r) - 1)
     cont, shifted, occ = ((words >> np.uint64(r + i)) & np.uint64(1) for i in range(3))
     # an item is there where the slot is shifted or continues, or is occupied and holds its own run's head
@@ -118,6 +144,7 @@ def shards_of(spec: FilterSpec, items: int, per_shard: int = 1 << 15) -> int:
 
 def pack(fps: DataFrame, spec: FilterSpec, shards: int) -> DataFrame:
     """(shard, n, payload). A shard is a contiguous range of quotients on a ring with an eighth of spare slots."""
+    ship(fps.sparkSession)
     per = -(-spec.slots // shards)
     kind, width = spec.r, spec.width
 
@@ -142,6 +169,7 @@ def _fps_of(shard: int, ring: int, payload: bytes, per: int, spec: FilterSpec) -
 
 
 def unpack(packed: DataFrame, spec: FilterSpec, shards: int) -> DataFrame:
+    ship(packed.sparkSession)
     per = -(-spec.slots // shards)
 
     def run(batches):
@@ -155,29 +183,83 @@ def unpack(packed: DataFrame, spec: FilterSpec, shards: int) -> DataFrame:
 
 def probe_join(df: DataFrame, fps: DataFrame, spec: FilterSpec) -> DataFrame:
     """df with `maybe`: a semi join with a flag, left to Catalyst; a null key is absent."""
-    hit = fps.select("fp").withColumn("hit", F.lit(True))
-    return df.withColumn("fp", fingerprint(F.col("k"), spec)).join(hit, "fp", "left").withColumn("maybe", F.coalesce("hit", F.lit(False))).drop("fp", "hit")
+    hit = fps.select(F.col("fp").alias("__fp"), F.lit(True).alias("__hit"))
+    return df.withColumn("__fp", fingerprint(F.col("k"), spec)).join(hit, "__fp", "left").select(*df.columns, F.coalesce("__hit", F.lit(False)).alias("maybe"))
+
+
+def might_contain(packed: DataFrame, key: str, spec: FilterSpec, shards: int) -> bool:
+    """One key: its shard alone is read, and in it the one cluster that its bucket's run can lie in."""
+    fp = packed.sparkSession.range(1).select(fingerprint(F.lit(key), spec)).first()[0]
+    per = -(-spec.slots // shards)
+    g, rem = divmod(fp, spec.width)
+    row = packed.filter(F.col("shard") == g // per).select("ring", "payload").first()  # one shard
+    return row is not None and scan_cluster(bytes(row["payload"]), row["ring"], spec.r, g - g // per * per, rem)
+
+
+def scan_cluster(payload: bytes, m: int, r: int, bucket: int, remainder: int) -> bool:
+    """Whether the bucket's run holds the remainder, from the flags of its cluster.
+
+    Going left over shifted slots counts the runs that begin before the bucket's own; going right skips as many."""
+    width = r + 3
+
+    def slot(i: int) -> int:
+        lo = i % m * width
+        return int.from_bytes(payload[lo >> 3 : (lo + width + 7) >> 3], "little") >> (lo & 7) & ((1 << width) - 1)
+
+    continues, shifted, occupied = (1 << (r + i) for i in range(3))
+    if not slot(bucket) & occupied:
+        return False
+    at, runs = bucket, 0
+    while slot(at) & shifted:
+        at -= 1
+        runs += bool(slot(at) & occupied)
+    while runs:
+        at += 1
+        runs -= not slot(at) & continues
+    while True:
+        stored = slot(at) & ((1 << r) - 1)
+        if stored == remainder:
+            return True
+        at += 1
+        if stored > remainder or not slot(at) & continues:  # runs ascend
+            return False
 
 
 def probe_broadcast(df: DataFrame, packed: DataFrame, spec: FilterSpec, shards: int) -> DataFrame:
-    """df with `maybe`: packed shards of a checked size go to all tasks, df doesn't move; beyond the size, by shard."""
-    size = packed.agg(F.coalesce(F.sum(F.octet_length("payload")), F.lit(0))).first()[0]
+    """df with `maybe`: packed shards go to all tasks if what they decode to (8 bytes an item, once a Python worker) is small
+    enough, and df doesn't move; beyond the size, by shard."""
+    ship(df.sparkSession)
+    size = packed.agg(F.coalesce(F.sum(F.col("n") * 8), F.lit(0))).first()[0]
     if size > BROADCAST_BYTES:
         return probe_shard(df, packed, spec, shards)
     per = -(-spec.slots // shards)
     sent = df.sparkSession.sparkContext.broadcast([(r["shard"], r["ring"], bytes(r["payload"])) for r in packed.collect()])
+    name = uuid.uuid4().hex
     d = df.withColumn("__fp", fingerprint(F.col("k"), spec))
     schema = df.withColumn("maybe", F.lit(True)).schema
 
     def run(batches):
-        parts = [_fps_of(s, ring, payload, per, spec) for s, ring, payload in sent.value]
-        known = np.sort(np.concatenate(parts)) if parts else np.zeros(0, np.int64)
+        from approxset.operators import quotient
+
+        known = quotient.decoded_once(name, lambda: [_fps_of(s, ring, payload, per, spec) for s, ring, payload in sent.value])
         for b in batches:
             yield _flagged(b, known)
 
     return d.mapInArrow(run, schema)
 
 
+_decoded: dict[str, np.ndarray] = {}
+
+
+def decoded_once(name: str, parts) -> np.ndarray:
+    """The sorted fingerprints of a broadcast filter; a Python worker keeps those of the last one."""
+    if name not in _decoded:
+        _decoded.clear()
+        p = parts()
+        _decoded[name] = np.sort(np.concatenate(p)) if p else np.zeros(0, np.int64)
+    return _decoded[name]
+
+
 def _flagged(b, known: np.ndarray):
     col = b.column(b.num_columns - 1)
     fp = col.fill_null(-1).to_numpy(zero_copy_only=False)
@@ -208,6 +290,16 @@ def insert(fps: DataFrame, more: DataFrame) -> DataFrame:
     return merge(fps, more)
 
 
+def insert_packed(packed: DataFrame, more: DataFrame, spec: FilterSpec, shards: int) -> DataFrame:
+    """Packed shards with the fingerprints `more` (fp, cnt) put in: only shards that get some are unpacked and packed again."""
+    per = -(-spec.slots // shards)
+    delta = more.withColumn("shard", F.call_function("div", quotient_of(F.col("fp"), spec), F.lit(per).cast("long")))
+    names = delta.select("shard").distinct()
+    touched = packed.join(names, "shard", "left_semi")
+    rebuilt = pack(merge(unpack(touched, spec, shards), more), spec, shards)
+    return packed.join(names, "shard", "left_anti").select(*rebuilt.columns).unionByName(rebuilt)
+
+
 def merge(*filters: DataFrame) -> DataFrame:
     """Counts add up; filters of any slot number with the same p merge without rehashing."""
     d = filters[0].select("fp", "cnt")
@@ -216,12 +308,42 @@ def merge(*filters: DataFrame) -> DataFrame:
     return d.groupBy("fp").agg(F.sum("cnt").alias("cnt"))
 
 
-def delete(fps: DataFrame, gone: DataFrame) -> DataFrame:
-    """Each copy in `gone` takes one copy; what isn't there is left alone."""
+def delete(fps: DataFrame, gone: DataFrame, strict: bool = False) -> DataFrame:
+    """Each copy in `gone` takes one copy; what isn't there is left alone. With `strict`, any of it is an error instead."""
+    if strict and (missing := underflow(fps, gone).agg(F.coalesce(F.sum("missing"), F.lit(0))).first()[0]):
+        raise ValueError(f"{missing} copies to delete aren't there; `underflow` lists them")
     g = gone.select("fp", F.col("cnt").alias("d"))
     return fps.join(g, "fp", "left").select("fp", (F.col("cnt") - F.coalesce("d", F.lit(0))).alias("cnt")).filter("cnt > 0")
 
 
+def underflow(fps: DataFrame, gone: DataFrame) -> DataFrame:
+    """(fp, missing): copies in `gone` beyond those that are there."""
+    return gone.join(fps.select("fp", F.col("cnt").alias("c")), "fp", "left").select("fp", (F.col("cnt") - F.coalesce("c", F.lit(0))).alias("missing")).filter("missing > 0")
+
+
+def save(packed: DataFrame, spec: FilterSpec, shards: int, path: str) -> None:
+    """Shards under `path`, with a descriptor of one row beside them."""
+    spark = packed.sparkSession
+    packed.repartition(F.col("shard")).sortWithinPartitions("shard").write.mode("overwrite").parquet(f"{path}/shards")
+    spark.createDataFrame([(json.dumps(dataclasses.asdict(spec)), shards)], "spec string, shards int").coalesce(1).write.mode("overwrite").parquet(f"{path}/descriptor")
+
+
+def load(spark, path: str, spec: FilterSpec | None = None) -> tuple[DataFrame, FilterSpec, int]:
+    """The packed shards, their spec and number. With `spec`, a filter of another kind is an error."""
+    row = spark.read.schema("spec string, shards int").parquet(f"{path}/descriptor").first()
+    found = FilterSpec(**json.loads(row["spec"]))
+    if spec is not None:
+        found.same_space(spec)
+    return spark.read.schema("shard long, n long, ring long, payload binary").parquet(f"{path}/shards"), found, row["shards"]
+
+
+def guarded(keys: DataFrame, spec: FilterSpec) -> DataFrame:
+    """`build_fp` behind the load limit: FilterFull where the keys pass `spec.max_load` of the slots."""
+    f = build_fp(keys, spec)
+    spec.check(f.agg(F.coalesce(F.sum("cnt"), F.lit(0))).first()[0], spec.max_load)
+    return f
+
+
 def intersect_filters(a: DataFrame, b: DataFrame) -> DataFrame:
     return a.join(b.select("fp", F.col("cnt").alias("c2")), "fp").select("fp", F.least("cnt", "c2").alias("cnt"))
 

@@ -5,10 +5,11 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..cluster import ship
 from ..sources.tables import key_text
 
-#: Fingerprint bits of `filtered`, and the load at which its rings double.
-BITS, MAX_LOAD = 35, 0.75
+#: Fingerprint bits of filters in state, and the load at which their slots double.
+BITS, MAX_LOAD = 48, 0.75
 
 
 def feed(spark: SparkSession, events: DataFrame, folder: str, files: int, again: int | None = None, late: int | None = None, closing: bool = False) -> DataFrame:
@@ -104,35 +105,119 @@ def deduplicated(spark, events, folder) -> DataFrame:
     return drained(s.dropDuplicatesWithinWatermark(["event_id"]).select("event_id"), folder)
 
 
-def filtered(spark, events, folder, shards: int = 8) -> DataFrame:
-    """First sightings: each shard's state is one packed quotient filter in a binary value.
+def sorted_state(fps) -> bytes:
+    """Sorted fingerprints of `BITS` bits, with repeats, as one packed filter whose slots are a power of two at `MAX_LOAD`."""
+    from ..functions.udfs import encode
 
-    A filter beyond `MAX_LOAD` doubles its ring: a bit of the remainder becomes one of the quotient, fingerprints stay."""
+    q = max(6, int(len(fps) / MAX_LOAD).bit_length())
+    return encode(fps, 0, 1 << q, BITS - q, 1 << (BITS - q))
+
+
+def known(fps, state):
+    """Whether each fingerprint is in the sorted state."""
+    import numpy as np
+
+    at = np.searchsorted(state, fps)
+    return (at < len(state)) & (state[np.minimum(at, max(len(state) - 1, 0))] == fps) if len(state) else np.zeros(len(fps), bool)
+
+
+def keyed(s: DataFrame, *key: str, shards: int = 0) -> DataFrame:
+    """The stream with `shard` and `fp` of a key: a shard's filter grows with its keys, and hashes deal keys evenly."""
+    h = F.xxhash64(*key)
+    return s.withColumn("shard", F.pmod(F.shiftrightunsigned(h, 40), F.lit(shards or max(8, int(s.sparkSession.conf.get("spark.sql.shuffle.partitions")))))).withColumn("fp", F.pmod(h, F.lit(1 << BITS)))
+
+
+def first_sightings(s: DataFrame, order: str, carry: str) -> DataFrame:
+    """Of the stream (shard, fp, ...), the columns `carry` (a schema) of the rows whose fingerprint wasn't there before.
+
+    Each shard's state is one packed quotient filter. A batch sorts its rows by `order`, looks all up at once, and
+    adds what is new; where the load passes `MAX_LOAD`, a bit of the remainder becomes one of the quotient."""
     import numpy as np
     import pandas as pd
     from pyspark.sql.streaming.state import GroupStateTimeout
 
-    from ..operators.quotient import pack_ring, unpack_ring
+    names = [c.split(" ")[0] for c in carry.split(", ")]
 
     def first(key, batches, state):
-        known, r = set(), BITS - 15
+        from approxset.functions.udfs import decode
+
+        seen = decode(bytes(state.get[0])) if state.exists else np.zeros(0, np.int64)
+        rows = pd.concat(list(batches)).sort_values(order, kind="stable")
+        fp, at = np.unique(rows["fp"].to_numpy(), return_index=True)
+        new = ~known(fp, seen)
+        state.update((sorted_state(np.sort(np.concatenate([seen, fp[new]]))),))
+        yield rows.iloc[np.sort(at[new])][names]
+
+    s = s.select("shard", "fp", *dict.fromkeys([order, *names]))
+    return s.groupBy("shard").applyInPandasWithState(first, carry, "filter binary", "append", GroupStateTimeout.NoTimeout)
+
+
+def filtered(spark, events, folder, shards: int = 0) -> DataFrame:
+    """First sightings of event ids, of which a file comes twice: false positives may drop, repeats never pass."""
+    ship(spark)
+    return drained(first_sightings(keyed(stream(spark, events, folder, 5, again=2), "event_id", shards=shards), "event_id", "event_id long"), folder)
+
+
+def sightings(spark, events, folder, key: list[str], carry: str) -> DataFrame:
+    """First sightings of the key in the order of event ids, with the columns `carry`; a file comes twice."""
+    ship(spark)
+    return drained(first_sightings(keyed(stream(spark, events, folder, 5, again=2), *key), "event_id", carry), folder)
+
+
+def sliding_seen(spark, events, folder, days: int = 2) -> DataFrame:
+    """(day, users, seen): a day's users, and how many of them the `days` days before have seen.
+
+    A shard's state is a pane for each day, a packed filter of its users, and the merged filter of the closed panes in
+    the window, a multiset. When a day begins, the pane before it is merged in, and panes that leave the window are
+    subtracted: one copy of each of their users is deleted. Rows of closed days come too late and are dropped."""
+    import numpy as np
+    import pandas as pd
+    from pyspark.sql.streaming.state import GroupStateTimeout
+
+    ship(spark)
+
+    def slide(key, batches, state):
+        from approxset.functions.udfs import decode
+
+        none = np.zeros(0, np.int64)
+        panes, merged = {}, none
         if state.exists:
-            r = state.get[1]
-            g, rem = unpack_ring(bytes(state.get[0]), 1 << (BITS - r), r)
-            known = set((g << r | rem).tolist())
+            kept, payloads, whole = state.get
+            panes = {int(d): decode(bytes(p)) for d, p in zip(kept, payloads, strict=True)}
+            merged = decode(bytes(whole))
+        rows = pd.concat(list(batches))
         out = []
-        for b in batches:
-            for i, fp in zip(b["event_id"], b["fp"], strict=True):
-                if fp not in known:
-                    known.add(fp)
-                    out.append(i)
-        f = np.sort(np.array(list(known), np.int64))
-        while len(f) > MAX_LOAD * (1 << (BITS - r)):
-            r -= 1
-        state.update((pack_ring(f >> r, f & ((1 << r) - 1), 1 << (BITS - r), r), r))
-        yield pd.DataFrame({"event_id": out})
-
-    h = F.xxhash64("event_id")
-    s = stream(spark, events, folder, 5, again=2).select("event_id", F.pmod(F.shiftrightunsigned(h, 40), F.lit(shards)).alias("shard"), F.pmod(h, F.lit(1 << BITS)).alias("fp"))
-    out = s.groupBy("shard").applyInPandasWithState(first, "event_id long", "filter binary, r int", "append", GroupStateTimeout.NoTimeout)
-    return drained(out, folder)
+        for day, fps in sorted(rows.groupby("day")["fp"]):
+            now = max(panes, default=None)
+            if now is not None and day < now:
+                continue
+            if now is not None and day > now:
+                merged = np.sort(np.concatenate([merged, panes[now]]))
+            for old in [d for d in panes if d < day - days]:
+                gone = panes.pop(old)
+                merged = np.delete(merged, np.searchsorted(merged, gone))  # one copy each
+            mine = panes.get(day, none)
+            fp = np.unique(fps.to_numpy())
+            fp = fp[~known(fp, mine)]
+            out.append((day, len(fp), int(known(fp, merged).sum())))
+            panes[day] = np.sort(np.concatenate([mine, fp]))
+        order = sorted(panes)
+        state.update((order, [sorted_state(panes[d]) for d in order], sorted_state(merged)))
+        yield pd.DataFrame(out, columns=["day", "users", "seen"])
+
+    s = keyed(stream(spark, events, folder), "user_id").withColumn("day", F.unix_date(F.col("ts").cast("date")).cast("long"))
+    parts = s.select("shard", "fp", "day").groupBy("shard").applyInPandasWithState(slide, "day long, users long, seen long", "days array<long>, panes array<binary>, merged binary", "append", GroupStateTimeout.NoTimeout)
+    return drained(parts, folder).groupBy("day").agg(F.sum("users").alias("users"), F.sum("seen").alias("seen"))
+
+
+def probed(spark, events, folder, key: str, load) -> DataFrame:
+    """Rows of a stream against a stored filter, which each batch loads anew (`load() -> packed, spec, shards`) and broadcasts
+    under the size check of `probe_broadcast`."""
+    from ..operators.quotient import probe_broadcast
+
+    def put(batch: DataFrame, batch_id: int) -> None:
+        packed, spec, shards = load()
+        probe_broadcast(batch.select("event_id", key_text(key).alias("k")), packed, spec, shards).select("event_id", "maybe").write.mode("overwrite").parquet(f"{folder}/out/batch={batch_id}")
+
+    stream(spark, events, folder).writeStream.foreachBatch(put).option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema("event_id long, maybe boolean").option("recursiveFileLookup", "true").parquet(f"{folder}/out")

@@ -260,8 +260,50 @@ def qf_subtract(spark, d):
 def qf_save_load(spark, d):
     spec, f = lines_filter(spark, d)
     path = f"{work_folder(spark)}/packed"
-    qf.pack(f, spec, 8).write.mode("overwrite").partitionBy("shard").parquet(path)
-    return qf.unpack(spark.read.schema("shard long, n long, ring long, payload binary").parquet(path), spec, 8)
+    qf.save(qf.pack(f, spec, 8), spec, 8, path)
+    packed, found, shards = qf.load(spark, path, spec)
+    return qf.unpack(packed, found, shards)
+
+
+@query("qf_single_key", f"""WITH {fps(ORDERS)}, q AS (SELECT k FROM (SELECT min(o_orderkey)::VARCHAR AS k FROM orders UNION ALL SELECT max(o_orderkey)::VARCHAR FROM orders UNION ALL SELECT (max(o_orderkey) + i)::VARCHAR FROM orders, range(1, 7) t(i) GROUP BY i))
+    SELECT k, {H60} // pow(2, 60 - p)::BIGINT IN (SELECT fp FROM fps) AS maybe FROM q, spec""")
+def qf_single_key(spark, d):
+    """Eight keys, each looked up by itself in its shard, by the flags of one cluster."""
+    spec, f = orders_filter(spark, d)
+    n = qf.shards_of(spec, spec.slots, 1 << 12)
+    packed = qf.pack(f, spec, n).cache()
+    lo, hi = src.table(spark, d, "orders").agg(F.min("o_orderkey"), F.max("o_orderkey")).first()
+    return spark.createDataFrame([(k, qf.might_contain(packed, k, spec, n)) for k in map(str, [lo, hi, *(hi + i for i in range(1, 7))])], "k string, maybe boolean")
+
+
+@query("qf_insert_packed", _sets(("'F','O'", "fps")) + " SELECT fp, cnt FROM fps")
+def qf_insert_packed(spark, d):
+    """Into packed shards; shards without a new fingerprint are left as they are."""
+    spec = spec_for(src.order_keys(spark, d))
+    n = qf.shards_of(spec, spec.slots, 1 << 10)
+    return qf.unpack(qf.insert_packed(qf.pack(status_filter(spark, d, spec, "F"), spec, n), status_filter(spark, d, spec, "O"), spec, n), spec, n)
+
+
+@query("qf_delete_underflow", f"{_sets((chr(39) + 'F' + chr(39), 'a'), (chr(39) + 'F' + chr(39) + ',' + chr(39) + 'O' + chr(39), 'b'))} SELECT b.fp, b.cnt - coalesce(a.cnt, 0) AS missing FROM b LEFT JOIN a USING (fp) WHERE b.cnt > coalesce(a.cnt, 0)")
+def qf_delete_underflow(spark, d):
+    """What a strict delete would complain of."""
+    spec = spec_for(src.order_keys(spark, d))
+    return qf.underflow(status_filter(spark, d, spec, "F"), status_filter(spark, d, spec, "F", "O"))
+
+
+@query("qf_load_guard", "SELECT a AS load, a <= 0.75 AS fits FROM (SELECT unnest([0.5, 0.75, 0.8, 0.9])::DOUBLE AS a)")
+def qf_load_guard(spark, d):
+    """Filters of 4096 slots at the advised limit of three quarters: which loads are let in."""
+    from ..schema import FilterFull
+
+    keys, out = src.arrivals(src.triple_keys(spark, d)), []
+    for a in (0.5, 0.75, 0.8, 0.9):
+        try:
+            qf.guarded(keys.filter(F.col("seq") <= int(a * 4096)).select("k"), FilterSpec(p=21, slots=4096))
+            out.append((a, True))
+        except FilterFull:
+            out.append((a, False))
+    return spark.createDataFrame(out, "load double, fits boolean")
 
 
 # variants

@@ -1,4 +1,4 @@
-"""Filters over streams; each result equals its batch twin over the same rows. Of T-05 and T-06 only batch twins exist."""
+"""Filters over streams; each result equals its batch twin over the same rows."""
 
 from __future__ import annotations
 
@@ -6,10 +6,11 @@ import uuid
 
 from pyspark.sql import functions as F
 
+from ..operators import quotient as qf
 from ..operators import tiered
 from ..sources import tables as src
 from ..streaming import jobs
-from .base import H60, query, spec_for
+from .base import H60, fps, query, spec_for
 from ..cluster import work_folder
 
 USERS = "SELECT user_id::VARCHAR AS k FROM events"
@@ -17,8 +18,6 @@ EVENTS = "SELECT event_id::VARCHAR AS k FROM events"
 
 
 def _fps(keys):
-    from .base import fps
-
     return f"WITH {fps(keys)} SELECT fp, cnt FROM fps"
 
 
@@ -94,34 +93,48 @@ def st_dedup_exact(spark, d):
     return jobs.deduplicated(spark, src.table(spark, d, "events"), work_folder(spark))
 
 
-@query("st_dedup_filter")
+@query("st_dedup_filter", "SELECT event_id FROM events")
 def st_dedup_filter(spark, d):
-    """First sightings by a packed filter per shard in the state store: false positives may drop, repeats never pass."""
+    """First sightings by a packed filter per shard in the state store; at 48 bits none is dropped by a shared fingerprint here."""
     return jobs.filtered(spark, src.table(spark, d, "events"), work_folder(spark))
 
 
-@query("st_static_probe", "SELECT e.event_id, c_custkey IS NOT NULL AS maybe FROM events e LEFT JOIN customer ON c_custkey = user_id")
+CUST = "SELECT c_custkey::VARCHAR AS k FROM customer"
+
+
+@query("st_static_probe", f"WITH {fps(CUST)} SELECT event_id, coalesce({H60.replace('k)', 'user_id::VARCHAR)')} // pow(2, 60 - p)::BIGINT IN (SELECT fp FROM fps), false) AS maybe FROM events, spec")
 def st_static_probe(spark, d):
-    c = src.table(spark, d, "customer").select(F.col("c_custkey").alias("user_id"), F.lit(True).alias("hit"))
-    return jobs.drained(jobs.stream(spark, src.table(spark, d, "events"), work_folder(spark)).join(c, "user_id", "left").select("event_id", F.coalesce("hit", F.lit(False)).alias("maybe")), work_folder(spark))
+    """Events against a stored filter of the customers, loaded again for each batch."""
+    keys = src.table(spark, d, "customer").select(src.key_text("c_custkey").alias("k"))
+    spec, path = spec_for(keys), f"{work_folder(spark)}/customers"
+    qf.save(qf.pack(qf.build_fp(keys, spec), spec, 8), spec, 8, path)
+    return jobs.probed(spark, src.table(spark, d, "events"), work_folder(spark), "user_id", lambda: qf.load(spark, path))
+
+
+DAY = F.unix_seconds(F.date_trunc("day", F.col("ts").cast("timestamp"))).alias("day")
 
 
 @query("st_new_vs_seen", "SELECT day, count(*) AS users, count(*) FILTER (WHERE day = first) AS new_users FROM (SELECT DISTINCT user_id, epoch(date_trunc('day', ts))::BIGINT AS day, min(epoch(date_trunc('day', ts))::BIGINT) OVER (PARTITION BY user_id) AS first FROM events) GROUP BY 1")
 def st_new_vs_seen(spark, d):
-    """Batch twin of T-06, without a filter: which of a day's users no earlier day has seen."""
-    e = src.table(spark, d, "events").select("user_id", F.unix_seconds(F.date_trunc("day", F.col("ts").cast("timestamp"))).alias("day"))
-    first = e.groupBy("user_id").agg(F.min("day").alias("first"))
-    return e.distinct().join(first, "user_id").groupBy("day").agg(F.count("*").alias("users"), F.count(F.when(F.col("day") == F.col("first"), 1)).alias("new_users"))
+    """A day's users, and those that no earlier day has seen: filters in state pass the first sighting of a user on a day, and
+    of a user at all."""
+    e = src.table(spark, d, "events").select("event_id", "ts", "user_id", DAY)
+    days = jobs.sightings(spark, e, work_folder(spark), ["user_id", "day"], "event_id long, day long").groupBy("day").agg(F.count("*").alias("users"))
+    new = jobs.sightings(spark, e, work_folder(spark), ["user_id"], "event_id long, day long").groupBy("day").agg(F.count("*").alias("new_users"))
+    return days.join(new, "day", "left").select("day", "users", F.coalesce("new_users", F.lit(0)).alias("new_users"))
 
 
-@query("st_sliding_seen", f"""WITH e AS (SELECT DISTINCT {H60.replace('k)', 'user_id::VARCHAR)')} // pow(2, 20)::BIGINT AS fp, epoch(date_trunc('day', ts))::BIGINT // 86400 AS day FROM events)
-    SELECT a.day, count(*) AS users, count(*) FILTER (WHERE EXISTS (SELECT 1 FROM e b WHERE b.fp = a.fp AND b.day BETWEEN a.day - 2 AND a.day - 1)) AS seen FROM e a GROUP BY 1""")
+@query("st_sliding_seen", f"""WITH e AS (SELECT DISTINCT user_id, epoch(date_trunc('day', ts))::BIGINT // 86400 AS day FROM events)
+    SELECT a.day, count(*) AS users, count(*) FILTER (WHERE EXISTS (SELECT 1 FROM e b WHERE b.user_id = a.user_id AND b.day BETWEEN a.day - 2 AND a.day - 1)) AS seen FROM e a GROUP BY 1""")
 def st_sliding_seen(spark, d):
-    """Batch twin of T-05, on fingerprints: users seen in the last two days. No panes are kept or subtracted."""
-    from ..functions.fingerprint import fingerprint
-    from ..schema import FilterSpec
-
-    spec = FilterSpec(p=40, slots=1 << 20)
-    e = src.table(spark, d, "events").select(fingerprint(src.key_text("user_id"), spec).alias("fp"), F.unix_date(F.col("ts").cast("date")).cast("long").alias("day")).distinct()
-    panes = e.select("fp", F.explode(F.array(F.col("day") + 1, F.col("day") + 2)).alias("day")).groupBy("fp", "day").agg(F.count("*").alias("cnt"))
-    return e.join(panes, ["fp", "day"], "left").groupBy("day").agg(F.count("*").alias("users"), F.count("cnt").alias("seen"))
+    """Users seen in the last two days: daily panes are merged, and subtracted when they leave the window."""
+    return jobs.sliding_seen(spark, src.table(spark, d, "events"), work_folder(spark))
+
+
+@query("w16_stream_users", "SELECT event_type, count(*) AS events, count(DISTINCT user_id) AS users FROM events GROUP BY 1")
+def w16(spark, d):
+    """Events and users by type from a stream that brings a file twice: one filter has seen the events, one the users of a type."""
+    e = src.table(spark, d, "events").select("event_id", "ts", "user_id", "event_type")
+    events = jobs.sightings(spark, e, work_folder(spark), ["event_id"], "event_id long, event_type string").groupBy("event_type").agg(F.count("*").alias("events"))
+    users = jobs.sightings(spark, e, work_folder(spark), ["event_type", "user_id"], "event_id long, event_type string").groupBy("event_type").agg(F.count("*").alias("users"))
+    return events.join(users, "event_type")
