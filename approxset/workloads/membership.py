@@ -308,31 +308,37 @@ def qf_load_guard(spark, d):
 
 # variants
 
-OFFSETS = f"""WITH {fps(ORDERS)}, items AS (SELECT fp // width AS g, m, row_number() OVER (ORDER BY fp) - 1 AS i FROM fps, spec, range(1, cnt + 1)),
+def _offsets(spacing: int) -> str:
+    return f"""WITH {fps(ORDERS)}, items AS (SELECT fp // width AS g, m, row_number() OVER (ORDER BY fp) - 1 AS i FROM fps, spec, range(1, cnt + 1)),
     raw AS (SELECT *, i + max(g - i) OVER (ORDER BY i) AS s FROM items), over AS (SELECT count(*) FILTER (WHERE s >= m) AS c FROM raw),
     ends AS (SELECT g, max(i + greatest(c, s - i)) + 1 AS e FROM raw, over GROUP BY g),
-    sync AS (SELECT x * 16 AS b FROM spec, range(0, m // 16) t(x)),
+    sync AS (SELECT x * {spacing} AS b FROM spec, range(0, m // {spacing}) t(x)),
     free AS (SELECT b, max(e) OVER (ORDER BY b, kind) AS e, kind FROM (SELECT b, NULL AS e, 0 AS kind FROM sync UNION ALL SELECT g, e, 1 FROM ends)),
-    offs AS (SELECT b // 16 AS sync_idx, greatest(0, coalesce(e, c) - b, CASE WHEN e IS NULL THEN c - b ELSE 0 END) AS o FROM free, over WHERE kind = 0)"""
+    offs AS (SELECT b // {spacing} AS sync_idx, greatest(0, coalesce(e, c) - b, CASE WHEN e IS NULL THEN c - b ELSE 0 END) AS o FROM free, over WHERE kind = 0)"""
 
 
-@query("var_sync_offsets", OFFSETS + " SELECT sync_idx, least(o, 31)::BIGINT AS offset_ FROM offs")
+@query("var_sync_offsets", _offsets(16) + " SELECT sync_idx, least(o, 31)::BIGINT AS offset_ FROM offs")
 def var_sync_offsets(spark, d):
     spec, f = orders_filter(spark, d)
     return variants.synchronizers(f, spec, 16, 5)
 
 
-@query("var_sync_sweep", OFFSETS + " SELECT c AS bits, count(*) FILTER (WHERE o >= pow(2, c) - 1) AS saturated, count(*) AS entries FROM offs, (VALUES (1), (5), (8)) t(c) GROUP BY c")
+SPACINGS = (1, 16, 64, 256)
+
+
+@query("var_sync_sweep", " UNION ALL ".join(f"SELECT * FROM ({_offsets(s)} SELECT {s} AS spacing, c AS bits, count(*) FILTER (WHERE o >= pow(2, c) - 1) AS saturated, count(*) AS entries, round(2 + c / {s}, 6) AS bits_a_slot FROM offs, (VALUES (1), (5), (8)) t(c) GROUP BY c)" for s in SPACINGS))
 def var_sync_sweep(spark, d):
+    """From one bit a bucket, much like the shifted flag, to few entries, which leave two bits a slot."""
     spec, f = orders_filter(spark, d)
-    return variants.sync_sweep(f, spec, 16, (1, 5, 8))
+    return variants.sync_sweep(f, spec, SPACINGS, (1, 5, 8))
 
 
 @query("var_sync_probe", PROBE)
 def var_sync_probe(spark, d):
-    """Through the layout without the shifted flag."""
+    """Lookups in payloads without the shifted flag, from the nearest entry of five bits that isn't saturated."""
     spec, f = orders_filter(spark, d)
-    return qf.probe_join(_probed(spark, d), variants.decode_sync(f, spec, 64), spec)
+    coder, n = variants.Sync(64, 5), qf.shards_of(spec, spec.slots, 1 << 12)
+    return variants.probe_variant(_probed(spark, d), variants.pack_variant(f, spec, coder, n), spec, coder, n)
 
 
 @query("var_reserved_probe", f"""WITH spec AS (SELECT pow(2, q)::BIGINT * 511 AS space FROM ({SPEC_ORDERS})), fps AS (SELECT DISTINCT {H60} % space AS fp FROM ({ORDERS}), spec)
@@ -340,13 +346,33 @@ def var_sync_probe(spark, d):
 def var_reserved_probe(spark, d):
     keys = src.order_keys(spark, d)
     spec = spec_for(keys, variant="reserved")
-    return qf.probe_join(_probed(spark, d), variants.reserved_round_trip(qf.build_fp(keys, spec), spec), spec)
+    coder = variants.Reserved()
+    return qf.probe_join(_probed(spark, d), variants.unpack_variant(variants.pack_variant(qf.build_fp(keys, spec), spec, coder), spec, coder), spec)
 
 
 @query("var_ordered_decode", f"WITH {fps(LINES)} SELECT fp, cnt FROM fps")
 def var_ordered_decode(spark, d):
     spec, f = lines_filter(spark, d)
-    return variants.ordered_round_trip(f, spec)
+    coder = variants.Ordered()
+    return variants.unpack_variant(variants.pack_variant(f, spec, coder), spec, coder)
+
+
+@query("var_sync_decode", f"WITH {fps(LINES)} SELECT fp, cnt FROM fps")
+def var_sync_decode(spark, d):
+    spec, f = lines_filter(spark, d)
+    coder = variants.Sync(16, 8)
+    return variants.unpack_variant(variants.pack_variant(f, spec, coder), spec, coder)
+
+
+@query("var_payload_bytes", f"""WITH {fps(ORDERS)} SELECT v AS variant, sum((slots * bits + 7) // 8)::BIGINT AS bytes FROM (SELECT greatest(max(m), max(s)) + 1 AS slots FROM (SELECT i + max(g - i) OVER (ORDER BY i) + 1 AS s, m FROM (SELECT fp // width AS g, m, row_number() OVER (ORDER BY fp) - 1 AS i FROM fps, spec, range(1, cnt + 1)))), (VALUES ('ordered', 11), ('sync', 11)) t(v, bits) GROUP BY v""")
+def var_payload_bytes(spark, d):
+    """Bytes of whole payloads at nine bits of remainder: eleven bits a slot."""
+    spec, f = orders_filter(spark, d)
+    out = None
+    for name, coder in (("ordered", variants.Ordered()), ("sync", variants.Sync())):
+        row = variants.pack_variant(f, spec, coder, 1).agg(F.sum(F.octet_length("payload")).cast("long").alias("bytes")).select(F.lit(name).alias("variant"), "bytes")
+        out = row if out is None else out.unionByName(row)
+    return out
 
 
 @query("var_space_curve", """SELECT e AS bits, a AS load, round((log2(a * pow(2, e)) + 3) / a, 6) AS three_flags, round((log2(a * pow(2, e)) + 2) / a, 6) AS two_flags, round(e / ln(2), 6) AS bloom
