@@ -31,13 +31,13 @@ def _words_of(bits: DataFrame) -> DataFrame:
 
 
 def answers(df: DataFrame, words: DataFrame, positions: Column, k: int, groups: int = 1, read_bits: int = 1, free: int = 0) -> DataFrame:
-    """df with `hits` (groups of k positions whose bits are all set; 0 for a null key) and `reads` (pages of `read_bits` bits
+    """df with `__hits` (groups of k positions whose bits are all set; 0 for a null key) and `__reads` (pages of `read_bits` bits
     looked at: in each group those up to its first clear bit, each once; the first `free` groups lie in memory)."""
     if words.limit(BROADCAST_WORDS + 1).count() > BROADCAST_WORDS:
         return _answers_shuffled(df, words, positions, k, read_bits, free)
     known = words.select(F.col("word_idx").cast("long"), F.col("word").cast("long")).orderBy("word_idx").toArrow()
     sent = df.sparkSession.sparkContext.broadcast((known["word_idx"].to_numpy(), known["word"].to_numpy().astype(np.uint32)))
-    schema = df.withColumn("hits", F.lit(0)).withColumn("reads", F.lit(0).cast("long")).schema
+    schema = df.withColumn("__hits", F.lit(0)).withColumn("__reads", F.lit(0).cast("long")).schema
 
     def run(batches):
         at, word = sent.value
@@ -70,7 +70,7 @@ def _answers_shuffled(df: DataFrame, words: DataFrame, positions: Column, k: int
     clear = F.array_position(F.transform("l", lambda x: x["set"]), F.lit(False))
     looked = F.slice(F.transform("l", lambda x: x["page"]), 1, F.when(clear == 0, k).otherwise(clear).cast("int"))
     found = group.select("k", (clear == 0).cast("int").alias("__hit"), F.when(F.col("__g") >= free, F.size(F.array_distinct(looked))).otherwise(0).alias("__read")).groupBy("k").agg(F.sum("__hit").cast("int").alias("__hits"), F.sum("__read").alias("__reads"))
-    return df.join(found, "k", "left").select(*df.columns, F.coalesce("__hits", F.lit(0)).alias("hits"), F.coalesce("__reads", F.lit(0)).alias("reads"))
+    return df.join(found, "k", "left").select(*df.columns, F.coalesce("__hits", F.lit(0)).alias("__hits"), F.coalesce("__reads", F.lit(0)).cast("long").alias("__reads"))
 
 
 @dataclass(frozen=True)
@@ -96,11 +96,11 @@ class BloomFilter:
     def reads(self, df: DataFrame, words: DataFrame, page_bits: int) -> DataFrame:
         """df with `maybe` and `reads`: pages of `page_bits` bits that the lookup looks at."""
         out = answers(df, words, self.positions(F.col("k")), self.k, read_bits=page_bits)
-        return out.select(*df.columns, (F.col("hits") > 0).alias("maybe"), "reads")
+        return out.select(*df.columns, (F.col("__hits") > 0).alias("maybe"), F.col("__reads").alias("reads"))
 
     def probe(self, df: DataFrame, words: DataFrame) -> DataFrame:
         """df with `maybe`: all k bits set; a null key is absent."""
-        return self.reads(df, words, WORD).drop("reads")
+        return answers(df, words, self.positions(F.col("k")), self.k).select(*df.columns, (F.col("__hits") > 0).alias("maybe"))
 
     @staticmethod
     def union(*words: DataFrame) -> DataFrame:
@@ -161,7 +161,11 @@ class PageLocalBloom:
     build = BloomFilter.build
 
     def reads(self, df: DataFrame, words: DataFrame, page_bits: int) -> DataFrame:
-        """df with `maybe` and `reads`: the block's pages of `page_bits` bits up to the first clear bit.
+        """df with `maybe` and `reads`: the block's pages of `page_bits` bits up to the first clear bit."""
+        return self._answered(df, words, page_bits).select(*df.columns, F.col("__maybe").alias("maybe"), F.col("__reads").alias("reads"))
+
+    def _answered(self, df: DataFrame, words: DataFrame, page_bits: int) -> DataFrame:
+        """df with `__maybe` and `__reads`.
 
         Blocks are rows of one array each, and a batch of lookups meets them in one join on the block, so that each block
         is read once a batch however many lookups were delayed for it."""
@@ -173,10 +177,10 @@ class PageLocalBloom:
         is_set = F.transform("__local", lambda x: F.coalesce(F.call_function("shiftright", F.get("__words", _div(x, WORD).cast("int")), F.pmod(x, F.lit(WORD)).cast("int")).bitwiseAND(F.lit(1).cast("long")), F.lit(0).cast("long")))
         met = met.withColumn("__clear", F.coalesce(F.array_position(is_set, F.lit(0).cast("long")), F.lit(1).cast("long")))
         looked = F.slice(F.transform("__local", lambda x: _div(x, page_bits)), 1, F.when(F.col("__clear") == 0, self.k).otherwise(F.col("__clear")).cast("int"))
-        return met.select(*df.columns, (F.col("__clear") == 0).alias("maybe"), F.when(F.col("k").isNull(), 0).otherwise(F.size(F.array_distinct(looked))).cast("long").alias("reads"))
+        return met.select(*df.columns, (F.col("__clear") == 0).alias("__maybe"), F.when(F.col("k").isNull(), 0).otherwise(F.size(F.array_distinct(looked))).cast("long").alias("__reads"))
 
     def probe(self, df: DataFrame, words: DataFrame) -> DataFrame:
-        return self.reads(df, words, self.block_bits).drop("reads")
+        return self._answered(df, words, self.block_bits).select(*df.columns, F.col("__maybe").alias("maybe"))
 
     def delayed(self, asked: DataFrame, words: DataFrame, batch: int) -> tuple[DataFrame, DataFrame]:
         """Lookups (k, seq) held back until `batch` have gathered: the answers, and (batch, lookups, block_reads): each batch
@@ -281,13 +285,14 @@ class LayeredBloom:
         return _words_of(d.select((F.col("first") + F.pmod("lane", F.lit(self.block_bits))).alias("bit")))
 
     def reads(self, df: DataFrame, words: DataFrame, layers: int, page_bits: int) -> DataFrame:
-        """df with `hits` (layers that hold all k bits), `maybe`, and `reads`: pages of all layers but the one in memory."""
+        """df with `hits` (layers that hold all k bits), `maybe`, and `reads`: pages of all layers but the one in memory; these
+        take the place of columns of the same names."""
 
         def local(lanes, i):
             return once(self._first(lanes, F.lit(i), F.lit(self.blocks(i)).cast("long")), lambda first: F.transform(F.slice(lanes, 2, self.k), lambda x: first + F.pmod(x, F.lit(self.block_bits))))
 
         positions = once(self._lanes(F.col("k")), lambda lanes: F.concat(*[local(lanes, i) for i in range(layers)]))
-        return answers(df, words, positions, self.k, layers, page_bits, 1).withColumn("maybe", F.col("hits") > 0)
+        return answers(df, words, positions, self.k, layers, page_bits, 1).select(*[c for c in df.columns if c not in ("hits", "maybe", "reads")], F.col("__hits").alias("hits"), (F.col("__hits") > 0).alias("maybe"), F.col("__reads").alias("reads"))
 
     def probe(self, df: DataFrame, words: DataFrame, layers: int) -> DataFrame:
         """df with `maybe` and how many layers say so."""

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from .workloads import base, baselines, experiments, membership, relational, sqlfunctions, storage, streams, tiers  # noqa: F401
+from .workloads import base, baselines, experiments, membership, relational, sqlfunctions, storage, streams, throughput, tiers  # noqa: F401
 
 QUERIES = base.QUERIES
 ORACLES = base.ORACLES

@@ -265,6 +265,32 @@ def qf_save_load(spark, d):
     return qf.unpack(packed, found, shards)
 
 
+@query("qf_source", f"WITH {fps(ORDERS)} SELECT fp, cnt FROM fps")
+def qf_source(spark, d):
+    """A stored filter through the data source format."""
+    from ..sources import filters
+
+    spec, f = orders_filter(spark, d)
+    path = f"{work_folder(spark)}/packed"
+    qf.save(qf.pack(f, spec, 8), spec, 8, path)
+    filters.register(spark)
+    return spark.read.format("approxfilter").load(path)
+
+
+@query("qf_bucketed", f"""WITH {fps(ORDERS)}, l AS (SELECT {H60} // pow(2, 60 - p)::BIGINT AS fp, count(*) AS cnt FROM ({LINES}), spec GROUP BY 1) SELECT fps.fp, fps.cnt AS orders, l.cnt AS lines FROM fps JOIN l USING (fp)""")
+def qf_bucketed(spark, d):
+    """Two filters stored alike, in buckets sorted by fingerprint: they meet without a shuffle."""
+    spec, f = orders_filter(spark, d)
+    lines, sides = qf.build_fp(src.line_keys(spark, d), spec), []
+    for name, fp in (("orders", f), ("lines", lines)):
+        folder = work_folder(spark)
+        table = f"approxset_{folder[-32:]}"
+        fp.select("fp", F.col("cnt").alias(name)).repartition(8, "fp").write.bucketBy(8, "fp").sortBy("fp").option("path", f"{folder}/{name}").saveAsTable(table)
+        sides.append(spark.table(table))
+        spark.sql(f"DROP TABLE {table}")  # external: the files stay
+    return sides[0].hint("merge").join(sides[1], "fp")
+
+
 @query("qf_single_key", f"""WITH {fps(ORDERS)}, q AS (SELECT k FROM (SELECT min(o_orderkey)::VARCHAR AS k FROM orders UNION ALL SELECT max(o_orderkey)::VARCHAR FROM orders UNION ALL SELECT (max(o_orderkey) + i)::VARCHAR FROM orders, range(1, 7) t(i) GROUP BY i))
     SELECT k, {H60} // pow(2, 60 - p)::BIGINT IN (SELECT fp FROM fps) AS maybe FROM q, spec""")
 def qf_single_key(spark, d):

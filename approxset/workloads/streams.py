@@ -111,14 +111,11 @@ def st_static_probe(spark, d):
     return jobs.probed(spark, src.table(spark, d, "events"), work_folder(spark), "user_id", lambda: qf.load(spark, path))
 
 
-DAY = F.unix_seconds(F.date_trunc("day", F.col("ts").cast("timestamp"))).alias("day")
-
-
 @query("st_new_vs_seen", "SELECT day, count(*) AS users, count(*) FILTER (WHERE day = first) AS new_users FROM (SELECT DISTINCT user_id, epoch(date_trunc('day', ts))::BIGINT AS day, min(epoch(date_trunc('day', ts))::BIGINT) OVER (PARTITION BY user_id) AS first FROM events) GROUP BY 1")
 def st_new_vs_seen(spark, d):
     """A day's users, and those that no earlier day has seen: filters in state pass the first sighting of a user on a day, and
     of a user at all."""
-    e = src.table(spark, d, "events").select("event_id", "ts", "user_id", DAY)
+    e = src.table(spark, d, "events").select("event_id", "ts", "user_id", F.unix_seconds(F.date_trunc("day", F.col("ts").cast("timestamp"))).alias("day"))
     days = jobs.sightings(spark, e, work_folder(spark), ["user_id", "day"], "event_id long, day long").groupBy("day").agg(F.count("*").alias("users"))
     new = jobs.sightings(spark, e, work_folder(spark), ["user_id"], "event_id long, day long").groupBy("day").agg(F.count("*").alias("new_users"))
     return days.join(new, "day", "left").select("day", "users", F.coalesce("new_users", F.lit(0)).alias("new_users"))

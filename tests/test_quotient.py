@@ -84,3 +84,28 @@ def test_schedules():
     assert [(t, u) for _, t, u, _ in merge_schedule(8, 2, 1)] == [(1, 1), (2, 2), (1, 1), (3, 4), (1, 1), (2, 2), (1, 1), (4, 8)]
     assert [(t, u) for _, t, u, _ in merge_schedule(6, 2, 2)] == [(1, 1), (1, 2), (2, 3), (1, 1), (1, 2), (3, 6)]
     assert round(sum(x[2] for x in merge_schedule(24, 16, 16)) / 24, 2) == 7.54
+
+
+def test_one_cluster_answers_a_lookup():
+    """Rings with wrapped runs, repeats and hot buckets."""
+    r = np.random.default_rng(5)
+    for m, n in ((8, 6), (32, 28), (64, 40), (64, 63), (16, 0)):
+        for _ in range(10):
+            g = np.sort(r.integers(0, m, n))
+            rem = r.integers(0, 8, n)
+            o = np.lexsort((rem, g))
+            payload = qf.pack_ring(g[o], rem[o], m, 3)
+            known = set(zip(g.tolist(), rem.tolist(), strict=True))
+            assert all(qf.scan_cluster(payload, m, 3, b, x) == ((b, x) in known) for b in range(m) for x in range(8))
+
+
+def test_strict_delete_and_clashing_columns(spark):
+    f = spark.createDataFrame([(1, 2), (5, 1)], "fp long, cnt long")
+    gone = spark.createDataFrame([(1, 1), (7, 1)], "fp long, cnt long")
+    assert sorted(map(tuple, qf.delete(f, gone).collect())) == [(1, 1), (5, 1)]
+    with pytest.raises(ValueError):
+        qf.delete(f, gone, strict=True)
+    spec = FilterSpec(p=20, slots=1 << 10)
+    d = spark.createDataFrame([("a", 7, "x"), (None, 8, "y")], "k string, fp long, hit string")
+    out = qf.probe_join(d, qf.build_fp(d, spec), spec)
+    assert sorted(map(tuple, out.collect()), key=str) == [("a", 7, "x", True), (None, 8, "y", False)]
