@@ -4,7 +4,8 @@ Each code point has a class (letter, number, space, other white space, other); w
 it becomes a symbol, and a symbol is a function from the automaton's state before it to the state after it. Functions
 compose associatively, and the functions that the symbols generate are a small finite monoid; so states at all
 positions come from a blocked prefix scan over a composition table, vectorised over the blocks. A slice begins where
-(symbol, state) says so. Slices are merged by rank with a cache; byte offsets of slices and the ids decode back.
+(symbol, state) says so. Slices are merged by rank with a cache. Their byte offsets are kept beside the ids:
+decoding finds the slices that cover any range of bytes, and puts each back into its place.
 
 Defined results: a null text is empty, with no ids; special tokens' strings are ordinary text; an empty table gives no rows.
 """
@@ -15,7 +16,8 @@ import base64
 import hashlib
 import heapq
 import unicodedata
-from itertools import chain
+from bisect import bisect_left, bisect_right
+from itertools import accumulate, chain
 
 import numpy as np
 import pyarrow as pa
@@ -203,7 +205,9 @@ class ByteBPE:
                 look(prev[i])
         return tuple([ranks[piece[i : end[i]]] for i in range(n) if alive[i]])
 
-    def encode(self, texts: list[str]) -> list[list[int]]:
+    def encode_slices(self, texts: list[str]) -> list[tuple[list[int], list[int], list[int]]]:
+        """Of each text: its ids, the byte offset at which each slice begins (and the text's length), and the number of ids
+        before each slice (and of all)."""
         data, begin, text_at = slices(texts)
         get, out = self.cache.get, []
         cuts = np.searchsorted(begin, text_at)
@@ -219,11 +223,25 @@ class ByteBPE:
                         got[k] = ids = self.merge(pieces[k])
                         if len(self.cache) < self.most:
                             self.cache[pieces[k]] = ids
-            out.append(list(chain.from_iterable(got)))
+            first = int(text_at[i])
+            out.append((list(chain.from_iterable(got)), [x - first for x in b[lo:hi]] + [int(text_at[i + 1]) - first], [0, *accumulate(map(len, got))]))
         return out
 
-    def decode(self, ids: list[int]) -> bytes:
-        return b"".join(map(self.tokens.__getitem__, ids))
+    def encode(self, texts: list[str]) -> list[list[int]]:
+        return [ids for ids, _, _ in self.encode_slices(texts)]
+
+    def decode(self, ids: list[int], begins: list[int], firsts: list[int], lo: int = 0, hi: int | None = None) -> bytes:
+        """Bytes lo to hi of a text: the slices that cover them are found by their offsets, and only their ids are decoded, each
+        slice into its place."""
+        end = begins[-1]
+        hi = end if hi is None else min(hi, end)
+        if lo >= hi:
+            return b""
+        i, j = bisect_right(begins, lo) - 1, bisect_left(begins, hi)
+        part = b"".join(map(self.tokens.__getitem__, ids[firsts[i] : firsts[j]]))
+        if len(part) != begins[j] - begins[i]:
+            raise ValueError("ids and offsets are of different texts")
+        return part[lo - begins[i] : hi - begins[i]]
 
 
 _coders: dict[str, ByteBPE] = {}
@@ -251,33 +269,54 @@ def _round_trip(path: str):
                 while lo + len(group) < len(texts) and (not group or size < 1 << 20):
                     group.append(texts[lo + len(group)].as_py() or "")
                     size += len(group[-1])
-                enc = bpe.encode(group)
-                a = [hashlib.sha256(" ".join(map(word.__getitem__, e)).encode()).hexdigest() for e in enc]
-                b = [hashlib.sha256(bpe.decode(e)).hexdigest() for e in enc]
-                yield pa.RecordBatch.from_arrays([ids.slice(lo, len(group)), pa.array([len(e) for e in enc], pa.int64()), pa.array(a, pa.string()), pa.array(b, pa.string())], schema=schema)
+                enc = bpe.encode_slices(group)
+                a = [hashlib.sha256(" ".join(map(word.__getitem__, e)).encode()).hexdigest() for e, _, _ in enc]
+                b = [hashlib.sha256(bpe.decode(*e)).hexdigest() for e in enc]
+                yield pa.RecordBatch.from_arrays([ids.slice(lo, len(group)), pa.array([len(e) for e, _, _ in enc], pa.int64()), pa.array(a, pa.string()), pa.array(b, pa.string())], schema=schema)
                 lo += len(group)
 
     return run
 
 
+ROW = pa.schema([("doc_id", pa.int64()), ("ids", pa.list_(pa.int32())), ("begins", pa.list_(pa.int64())), ("firsts", pa.list_(pa.int64()))])
+
+
 def _encode_rows(path: str):
     def run(batches):
         bpe = coder(path)
         for batch in batches:
             for i, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                yield pa.RecordBatch.from_arrays([pa.array([i], pa.int64()), pa.array(bpe.encode([t or ""]), pa.list_(pa.int32()))], names=["doc_id", "ids"])
+                got = bpe.encode_slices([t or ""])[0]
+                yield pa.RecordBatch.from_arrays([pa.array([x], f.type) for x, f in zip((i, *got), ROW, strict=True)], schema=ROW)
+
+    return run
+
+
+def _decode_rows(path: str):
+    def run(batches):
+        bpe = coder(path)
+        for batch in batches:
+            for r in batch.to_pylist():
+                got = bpe.decode(r["ids"], r["begins"], r["firsts"], r["lo"], r["hi"])
+                yield pa.RecordBatch.from_arrays([pa.array([r["doc_id"]], pa.int64()), pa.array([got], pa.binary())], names=["doc_id", "bytes"])
 
     return run
 
 
 def encode_documents(docs: DataFrame, path: str, text: str = "text", key: str = "doc_id") -> DataFrame:
-    """doc_id, ids."""
+    """doc_id, ids, begins (byte offset of each slice, and the text's length), firsts (ids before each slice, and of all)."""
     ship(docs.sparkSession)
-    return docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("text")).mapInArrow(_encode_rows(path), "doc_id long, ids array<int>")
+    return docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("text")).mapInArrow(_encode_rows(path), "doc_id long, ids array<int>, begins array<long>, firsts array<long>")
+
+
+def decode_documents(coded: DataFrame, path: str, lo: int = 0, hi: int | None = None) -> DataFrame:
+    """doc_id, bytes (lo to hi of each text) from the columns of `encode_documents`."""
+    ship(coded.sparkSession)
+    return coded.select("doc_id", "ids", "begins", "firsts", F.lit(lo).cast("long").alias("lo"), F.lit(hi).cast("long").alias("hi")).mapInArrow(_decode_rows(path), "doc_id long, bytes binary")
 
 
 def round_trip(docs: DataFrame, path: str, text: str = "text", key: str = "doc_id") -> DataFrame:
-    """doc_id, n_tokens, ids_sha256, decoded_sha256: encoded whole, then decoded from the ids."""
+    """doc_id, n_tokens, ids_sha256, decoded_sha256: encoded whole, then decoded from the ids by the slices' offsets."""
     ship(docs.sparkSession)
     return docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("text")).mapInArrow(_round_trip(path), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
 
