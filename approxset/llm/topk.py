@@ -4,9 +4,11 @@ Vectors are packed into blocks; each candidate block carries a table of its vect
 query, the largest |d(query, pivot) - d(vector, pivot)| bounds the distance to a vector from below, hence (with both
 norms) the inner product from above. Candidates are evaluated in descending order of the bound, in strides, until no
 bound reaches the k-th best score so far: what is left can't enter, ties included. Query blocks of bounded size meet
-candidate blocks through an equi-join on the candidate block's number; each meeting yields k rows per query at most.
+candidate blocks through an equi-join on the candidate block's number; each meeting yields k rows per query at most, and
+starts from the query's k-th best score in the sample, so that no block begins without a bound to beat.
 
-Pivots come from a bounded sample (`sample` vectors, farthest-first); they steer speed only, never the result.
+Pivots come from a bounded sample (`sample` vectors, farthest-first); it steers speed only, never the result. Squared
+distances are sums of integers below 2^53 and so exact; the slack of the bounds covers their square roots.
 
 Defined results: components are floor(256 * x) with x as double; vectors that are null, or hold a null or a non-finite
 component, take no part; shorter vectors count as padded with zeros; equal scores go to the smaller id; rows with equal
@@ -66,8 +68,9 @@ def farthest_first(v: np.ndarray, many: int) -> np.ndarray:
     return v[chosen]
 
 
-def block_top(qid: np.ndarray, q: np.ndarray, qt: np.ndarray, ids: np.ndarray, v: np.ndarray, t: np.ndarray, k: int, stride: int = 128) -> tuple[list, int]:
-    """(query, id, score) of each query's k best in the block, and how many inner products it took."""
+def block_top(qid: np.ndarray, q: np.ndarray, qt: np.ndarray, ids: np.ndarray, v: np.ndarray, t: np.ndarray, k: int, stride: int = 128, least: np.ndarray | None = None) -> tuple[list, int]:
+    """(query, id, score) of each query's k best in the block, and how many inner products it took. Scores below `least`, one
+    for each query, are known not to be among its k best anywhere."""
     out, done = [], 0
     norm = (v**2).sum(1)
     for i in range(len(qid)):
@@ -78,7 +81,8 @@ def block_top(qid: np.ndarray, q: np.ndarray, qt: np.ndarray, ids: np.ndarray, v
         bound = ((q[i] ** 2).sum() + norm - low**2) / 2 + 0.5
         bound[ids == qid[i]] = -np.inf
         best_s, best_i = np.zeros(0), np.zeros(0, np.int64)
-        left = np.flatnonzero(np.isfinite(bound))
+        floor = -np.inf if least is None else least[i]
+        left = np.flatnonzero(np.isfinite(bound) & (bound >= floor))
         while len(left):
             if len(left) > stride:
                 split = np.argpartition(-bound[left], stride - 1)
@@ -91,17 +95,27 @@ def block_top(qid: np.ndarray, q: np.ndarray, qt: np.ndarray, ids: np.ndarray, v
             o = np.lexsort((ids[c], -s))[:k]
             best_s, best_i = s[o], c[o]
             if len(best_s) == k:
-                left = left[bound[left] >= best_s[-1]]
+                left = left[bound[left] >= max(best_s[-1], floor)]
         out.extend((int(qid[i]), int(ids[c]), int(s)) for s, c in zip(best_s, best_i, strict=True))
     return out, done
 
 
-def _meet(k: int, dim: int, pivots: np.ndarray):
+def sample_best(qid: np.ndarray, q: np.ndarray, ids: np.ndarray, v: np.ndarray, k: int) -> np.ndarray:
+    """Each query's k-th best score in a sample of the candidates: no smaller score is among its k best of all."""
+    if len(ids) <= k:
+        return np.full(len(qid), -np.inf)
+    s = q @ v.T
+    s[qid[:, None] == ids] = -np.inf
+    return -np.partition(-s, k - 1, axis=1)[:, k - 1]
+
+
+def _meet(k: int, dim: int, pivots: np.ndarray, some_ids: np.ndarray, some: np.ndarray):
     def run(batches):
         for batch in batches:
             for r in batch.to_pylist():
                 q, v = (np.frombuffer(r[n], "<f8").reshape(-1, dim) for n in ("qvectors", "vectors"))
-                got, _ = block_top(np.frombuffer(r["qids"], "<i8"), q, _distances(q, pivots), np.frombuffer(r["ids"], "<i8"), v, np.frombuffer(r["table"], "<f8").reshape(len(v), -1), k)
+                qid = np.frombuffer(r["qids"], "<i8")
+                got, _ = block_top(qid, q, _distances(q, pivots), np.frombuffer(r["ids"], "<i8"), v, np.frombuffer(r["table"], "<f8").reshape(len(v), -1), k, least=sample_best(qid, q, some_ids, some, k))
                 cols = list(zip(*got, strict=True)) or [(), (), ()]
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], schema=OUT)
 
@@ -120,13 +134,14 @@ def top_k(candidates: DataFrame, queries: DataFrame, k: int = 5, pivots: int = 3
     for i, r in enumerate(some):
         v[i, : len(r["v"])] = r["v"]
     p = farthest_first(v, pivots)
+    some_ids = np.array([r["id"] for r in some], np.int64)
     blocks, qblocks = max(1, -(-n // block)), max(1, -(-qn // block))
     dealt = lambda d, m: d.withColumn("block", F.pmod(F.xxhash64("id", "v"), F.lit(m)).cast("int"))
     kind = "block int, ids binary, vectors binary, table binary"
     right = cut(dealt(candidates, blocks).groupBy("block").applyInArrow(_pack(p, dim), kind), "candidate-blocks")
     left = cut(dealt(queries, qblocks).groupBy("block").applyInArrow(_pack(None, dim), kind), "query-blocks")
     met = left.select(F.col("ids").alias("qids"), F.col("vectors").alias("qvectors"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block")).join(right, "block").repartition(max(1, min(blocks * qblocks, 4096)), "block", "qids")
-    best = met.select("qids", "qvectors", "ids", "vectors", "table").mapInArrow(_meet(k, dim, p), "query_id long, vec_id long, score long")
+    best = met.select("qids", "qvectors", "ids", "vectors", "table").mapInArrow(_meet(k, dim, p, some_ids, v[: len(some)]), "query_id long, vec_id long, score long")
     w = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return best.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
