@@ -19,6 +19,7 @@ from __future__ import annotations
 import html as entities
 import math
 import re
+from collections import Counter
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -40,6 +41,13 @@ LAYOUT = re.compile(r"(?:^|(?<=\s))(?:has|with|no|without)[_-]\S+", re.I)
 FURNITURE = frozenset("nav header footer aside form button menu dialog label fieldset head title".split())
 CLOSES_P = BLOCK - {"body", "html", "title"}
 NAMES = re.compile(r"(?:^|[\s_-])(?:ads?|advert\w*|banner|sponsor\w*|promo\w*|cookie\w*|consent|notice|alert|popup|modal|newsletter|subscribe|sidebar|side|nav\w*|menu|breadcrumb\w*|footer|header|masthead|comments?|disqus|replies|respond|related|recommend\w*|share|social|widget|toolbar|pager|pagination|login|signup|search)(?:$|[\s_-])", re.I)
+#: Words beside those of NAMES in class names that say nothing of their own. A name with any other word beside (related-work,
+#: share-price) may be the article's own: such an element is kept where it holds prose.
+PLAIN = frozenset("area articles article author bar bars bio block blocks body bottom box boxes btn button buttons card cards col column container content desktop entry ext floating footer form global grid group header heading hidden icons inner item items label left link links list main media message mobile module more msg news overlay outer page panel post posts primary rail read reading right row section secondary site sizes slot small space sticky stories story sub tag tags text title top topics unit wrap wrapper".split())
+PROSE, LINKED = 40, 0.25
+#: Inline elements that an unclosed paragraph's end closes with it, and elements of doubtful names that are open at once: inside
+#: so many, further ones are furniture.
+COVERS, DOUBTS = frozenset("b i em strong a span u font small".split()), 16
 ROLES = frozenset("navigation banner contentinfo complementary search form menu alert dialog".split())
 TOKEN = re.compile(r"<!--.*?(?:-->|$)|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^>\"'])*)(?:>|$)|<[!?][^>]*(?:>|$)", re.S)
 ATTR = re.compile(r"(class|id|role|hidden|aria-hidden)\s*(?:=\s*(\"[^\"]*\"|'[^']*'|[^\s>]+))?", re.I)
@@ -58,21 +66,44 @@ def _odd(name: str, attrs: str, classes: bool = True) -> bool:
     return False
 
 
+def _doubtful(attrs: str) -> bool:
+    """Whether class and id name furniture only beside words of another meaning."""
+    found = False
+    for m in ATTR.finditer(attrs):
+        if m[1].lower() in ("class", "id"):
+            for name in (m[2] or "").strip("\"'").split():
+                if NAMES.search(LAYOUT.sub("", name)):
+                    words = [w for w in re.split(r"[_-]+|\d+", name.lower()) if w and not NAMES.search(w) and w not in PLAIN]
+                    if not words or re.search(r"comment|repl(?:y|ies)|respond|disqus", name, re.I):
+                        return False
+                    found = True
+    return found
+
+
 def tokens(page: str):
     """(kind, value, furniture depth, inside the article element): kind is a feature name of START, value the tag or the text.
 
-    Where all article elements lie in furniture, elements around the longest one are no furniture by class or id."""
-    out, articles = _tokens(page, frozenset())
+    Where all article elements lie in furniture, elements around the longest one are no furniture by class or id; nor
+    are elements of a doubtful name that hold at least PROSE words, of which at most the share LINKED is link text."""
+    out, articles, doubtful = _tokens(page, frozenset())
+    free = {place for place, words, linked in doubtful if words >= PROSE and linked <= LINKED * words}
     if articles and all(odd for _, _, odd, _ in articles):
-        most = max(articles, key=lambda a: a[3])
-        out, articles = _tokens(page, frozenset(most[1]))
+        free |= set(max(articles, key=lambda a: a[3])[1])
+    if free:
+        out, articles, _ = _tokens(page, frozenset(free))
     return out, bool(articles)
 
 
 def _tokens(page: str, around: frozenset[int]):
-    """Tokens, and of each article element [place, places of the elements around it, furniture depth, words]. Elements whose
-    places are in `around` are no furniture by class or id."""
+    """Tokens; of each article element [place, places of the elements around it, furniture depth, words]; of each element that
+    is furniture by a doubtful name only [place, words, words of links]. Elements whose places are in `around` are no
+    furniture by class or id."""
     stack: list[tuple[str, bool, int]] = []
+    #: How many elements of a name are open, and of each the place on the stack of a paragraph that only inline elements cover.
+    opened: Counter[str] = Counter()
+    reach: list[int] = []
+    doubtful: list[list[int]] = []
+    open_doubts: dict[int, list[int]] = {}
     odd = article = link = muted = 0
     at = 0
     out = []
@@ -90,7 +121,10 @@ def _tokens(page: str, around: frozenset[int]):
 
     def pop() -> str:
         nonlocal odd, link, article, muted
-        t, o, _ = stack.pop()
+        t, o, place = stack.pop()
+        reach.pop()
+        opened[t] -= 1
+        open_doubts.pop(place, None)
         odd -= o
         link -= t == "a"
         muted -= t in MUTED
@@ -104,10 +138,13 @@ def _tokens(page: str, around: frozenset[int]):
         stop = m.start() if m else n
         if stop > at and not muted:
             out.append(("furniture" if odd else "link" if link else "word", page[at:stop], odd, article > 0))
-            if open_articles:
+            if open_articles or open_doubts:
                 many = len(page[at:stop].split())
                 for a in open_articles:
                     a[3] += many
+                for d in open_doubts.values():
+                    d[1] += many
+                    d[2] += many * (link > 0)
         if not m:
             break
         at = m.end()
@@ -139,15 +176,15 @@ def _tokens(page: str, around: frozenset[int]):
                     out.append(("tag", name, odd, article > 0))
                 continue
             if not muted and name in CLOSES_P:
-                while stack and stack[-1][0] in ("p", "b", "i", "em", "strong", "a", "span", "u", "font", "small") and any(t == "p" for t, _, _ in stack[-8:]):
-                    if pop() == "p":
-                        break
+                if reach and reach[-1] >= 0:
+                    while pop() != "p":
+                        pass
             if not muted and name == "li" and stack and stack[-1][0] == "li":
                 pop()
         weird = not closing and not muted and name not in ("body", "html", "article", "main", *MUTED) and _odd(name, m[3] or "", m.start() not in around) and not (name == "header" and article)
         inside, quiet = article > 0, muted > 0
         if closing:
-            if any(t == name for t, _, _ in stack):
+            if opened[name]:
                 while pop() != name:
                     pass
             inside = inside and article > 0
@@ -156,14 +193,19 @@ def _tokens(page: str, around: frozenset[int]):
                 a = [m.start(), [p for _, _, p in stack], odd, 0]
                 articles.append(a)
                 open_articles.append(a)
+            if weird and not _odd(name, m[3] or "", False) and len(open_doubts) < DOUBTS and _doubtful(m[3] or ""):
+                open_doubts[m.start()] = [m.start(), 0, 0]
+                doubtful.append(open_doubts[m.start()])
+            reach.append(len(stack) if name == "p" else reach[-1] if reach and name in COVERS else -1)
             stack.append((name, weird, m.start()))
+            opened[name] += 1
             odd += weird
             link += name == "a"
             article += name == "article"
             muted += name in MUTED
         if not (quiet and muted):
             out.append(("hard" if weird or (closing and name in FURNITURE) else "mark" if name in INLINE else "tag", name, odd, inside))
-    return out, articles
+    return out, articles, doubtful
 
 
 def _count(page: str) -> dict[str, list[int]] | None:
