@@ -2,41 +2,12 @@
 
 from __future__ import annotations
 
-import os
-import tempfile
 import uuid
-import zipfile
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-
-def ship(spark: SparkSession) -> None:
-    """Send this package's code to the executors once per Spark context, so that Arrow functions import everywhere."""
-    sc = spark.sparkContext
-    if getattr(sc, "_approxset_shipped", False):
-        return
-    root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
-    target = os.path.join(tempfile.mkdtemp(prefix="approxset"), "approxset.zip")
-    with zipfile.ZipFile(target, "w") as z:
-        for folder, _, names in os.walk(root):
-            for n in names:
-                if n.endswith(".py"):
-                    full = os.path.join(folder, n)
-                    z.write(full, os.path.join("approxset", os.path.relpath(full, root)))
-    sc.addPyFile(target)
-    sc._approxset_shipped = True
-
-
-def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or (only where unset, as in tests) a temporary one."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    if found:
-        return found.rstrip("/")
-    sc = spark.sparkContext
-    if not getattr(sc, "_approxset_shared", None):
-        sc._approxset_shared = "file://" + tempfile.mkdtemp(prefix="approxset-shared")
-    return sc._approxset_shared
+from ..cluster import shared_folder, ship  # noqa: F401
 
 
 def cut(df: DataFrame, name: str) -> DataFrame:

@@ -11,7 +11,7 @@ arithmetic) are looked up in many copies of a small bucket of their own, so that
 
 Defined results: a null text counts as empty; equal texts are those with equal bytes; the largest document id stays
 (null ids lose to all others); repeated rows with the same id are copies of each other, of which each carries
-`kept` where its id is the winner's; an empty table gives no rows.
+`kept` where its id is the winner's, while `keep_one_of_each` lets one of them stay; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -23,6 +23,8 @@ from pyspark.sql import functions as F
 
 from .common import cut, documents, partitions, ship, text_of
 
+#: Rows that a bucket holds on average at most: a task's Python memory doesn't grow with the data.
+BUCKET_ROWS = 100_000
 _SEEDS = np.arange(1, 65, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -34,13 +36,14 @@ class PerfectHash:
         rest = keys
         while len(rest):
             assert len(self.levels) < 64, "digests repeat"
-            m = int(gamma * len(rest)) + 64 & ~63
+            m = (int(gamma * len(rest)) + 64) & ~63
             at = self._at(rest, len(self.levels), m)
             alone = np.bincount(at, minlength=m) == 1
             self.levels.append(alone)
             rest = rest[~alone[at]]
         self.bases = np.cumsum([0] + [int(x.sum()) for x in self.levels])
-        self.ranks = [np.cumsum(x, dtype=np.int64) for x in self.levels]
+        # set bits before each block of 64: an eighth of a byte a bit beside the bits themselves
+        self.ranks = [np.concatenate([[0], np.cumsum(x.reshape(-1, 64).sum(axis=1, dtype=np.int64))[:-1]]) for x in self.levels]
 
     @staticmethod
     def _at(keys: np.ndarray, level: int, m: int) -> np.ndarray:
@@ -49,6 +52,11 @@ class PerfectHash:
         h = (h ^ (h >> np.uint64(29))) * np.uint64(0x94D049BB133111EB)
         return ((h ^ (h >> np.uint64(32))) % np.uint64(m)).astype(np.int64)
 
+    def _rank(self, level: int, at: np.ndarray) -> np.ndarray:
+        """Set bits of a level before each position."""
+        inside = self.levels[level].reshape(-1, 64)[at >> 6] & (np.arange(64) < (at & 63)[:, None])
+        return self.ranks[level][at >> 6] + inside.sum(axis=1)
+
     def slots(self, keys: np.ndarray) -> np.ndarray:
         """A slot for each key; -1 where no level holds its bit. A nonmember may get a slot: compare the digest."""
         out = np.full(len(keys), -1, np.int64)
@@ -58,7 +66,7 @@ class PerfectHash:
                 break
             at = self._at(keys[rest], i, len(bits))
             hit = bits[at]
-            out[rest[hit]] = self.bases[i] + self.ranks[i][at[hit]] - 1
+            out[rest[hit]] = self.bases[i] + self._rank(i, at[hit])
             rest = rest[~hit]
         return out
 
@@ -107,8 +115,8 @@ def exact_duplicates(docs: DataFrame, history: DataFrame | None = None, text: st
     ship(spark)
     rows = _digested(docs, text, key)
     index = cut(distinct_digests(docs, text, key) if history is None else history.select("digest", "keep_id", "n"), "digest-index")
-    buckets = partitions(spark) * 4
-    total = index.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    total, distinct = index.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
+    buckets = max(partitions(spark) * 4, max(total, distinct) // BUCKET_ROWS)
     hot = index.filter(F.col("n") > max(total / hot_share, 1)).select("digest", F.lit(True).alias("hot"))  # fewer than hot_share rows
     bucket = F.pmod(F.hash("digest"), F.lit(buckets))
     index = index.join(F.broadcast(hot), "digest", "left").withColumn("bucket", F.when(F.col("hot"), F.sequence(F.lit(-copies), F.lit(-1))).otherwise(F.array(bucket))).select("digest", "keep_id", "n", F.explode("bucket").alias("bucket"))
@@ -122,11 +130,21 @@ def exact_duplicates(docs: DataFrame, history: DataFrame | None = None, text: st
     return found.filter("n is not null").unionByName(new.join(groups, "digest").select("doc_id", "digest", "keep_id", "n"))
 
 
-def keep_one_of_each(docs: DataFrame) -> DataFrame:
-    """The documents that stay, with all their columns: of equal texts the row with the largest id.
-    Rows with equal text and equal id stay together once only if they are one row; see the module's defined results."""
-    winners = exact_duplicates(docs).filter("doc_id <=> keep_id").select(F.col("doc_id").alias("__keep")).distinct()
-    return docs.join(winners, F.col("doc_id").eqNullSafe(F.col("__keep")), "left_semi")
+def keep_one_of_each(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
+    """The documents that stay, with all their columns: of equal texts one row with the largest id.
+
+    Winners are matched by id and digest, so rows of equal id and different text don't stay for one another; of several
+    rows with the winner's id and text, one stays."""
+    won = cut(exact_duplicates(docs, text=text, key=key).filter("doc_id <=> keep_id").groupBy(F.col("doc_id").alias("__id"), F.col("digest").alias("__digest")).agg(F.count("*").alias("__rows")), "winners")
+
+    def those(winners: DataFrame) -> DataFrame:
+        same = F.col(key).cast("long").eqNullSafe(F.col("__id")) & (F.unhex(F.sha2(text_of(text).cast("binary"), 256)) == F.col("__digest"))
+        return docs.join(winners, same, "left_semi")
+
+    twins = won.filter("__rows > 1")
+    if twins.isEmpty():
+        return those(won)
+    return those(won.filter("__rows = 1")).unionByName(those(twins).withColumn("__text", text_of(text)).dropDuplicates([key, "__text"]).drop("__text"))
 
 
 def op5_exact_dedup(spark, sf_dir: str) -> DataFrame:

@@ -224,7 +224,7 @@ def deal(coded: DataFrame, dtype: str, idf: np.ndarray, many: int, shards: int)
 
 def _packer(dtype: str, idf: np.ndarray, mean: float, window: int):
     def run(key, table):
-        table = table.sort_by([("doc_id", "ascending")])
+        table = table.sort_by([("doc_id", "ascending"), ("ids", "ascending")])  # the ids settle rows of equal doc_id
         docs = [np.frombuffer(x, dtype) for x in table["ids"].to_pylist()]
         ids = table["doc_id"].to_pylist()
         index = Shard(docs, idf, mean)

@@ -16,6 +16,15 @@ from .topk import op7_exact_topk
 QUERIES = {f.__name__: f for f in (op1_license_scan, op2_quality, op3_sharding, op4_byte_bpe, op5_exact_dedup, op6_packing, op7_exact_topk, op8_html_extraction, op9_near_dedup, op10_token_files)}
 
 ORACLES = {
+    # the checksum byte by byte: eight steps of the reflected polynomial a byte, folded over the text's bytes
+    "op3_sharding": """
+        WITH RECURSIVE steps AS (SELECT b, b AS c, 0 AS i FROM range(0, 256) t(b) UNION ALL SELECT b, CASE WHEN c % 2 = 1 THEN xor(c >> 1, 3988292384) ELSE c >> 1 END, i + 1 FROM steps WHERE i < 8),
+        tab AS (SELECT list(c ORDER BY b) AS t FROM steps WHERE i = 8),
+        d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h, octet_length(encode(coalesce(text, ''))) AS n FROM documents),
+        s AS (SELECT doc_id, n + 16 AS size, xor(list_reduce(range(0, n), lambda c, i: xor(t[xor(c & 255, ('0x' || substr(h, 2 * i + 1, 2))::BIGINT) + 1], c >> 8), 4294967295::BIGINT), 4294967295) AS text_crc32 FROM d, tab),
+        p AS (SELECT *, sum(size) OVER (ORDER BY doc_id) - size AS start, sum(size) OVER () AS total FROM s),
+        q AS (SELECT *, least(39, (start * 40) // total)::INTEGER AS shard FROM p)
+        SELECT doc_id, size::BIGINT AS size, text_crc32::BIGINT AS text_crc32, 'bytes' AS law, shard, row_number() OVER (PARTITION BY shard ORDER BY doc_id) - 1 AS slot, NULL::INTEGER AS grown_shard FROM q""",
     "op5_exact_dedup": """
         SELECT doc_id, max(doc_id) OVER w AS keep_id, count(*) OVER w AS group_size, doc_id = max(doc_id) OVER w AS kept, sha256(coalesce(text, '')) AS text_sha256
         FROM documents WINDOW w AS (PARTITION BY coalesce(text, ''))""",

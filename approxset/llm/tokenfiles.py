@@ -6,7 +6,8 @@ where each document begins in the part, and the end) and `<part>.docs` (64-bit i
 A task writes under a name of its attempt and renames at its end, so a repeated task leaves one whole copy. The
 driver sees one row per part; prefix sums over their totals give the parts' bases, kept in `manifest.json`.
 
-Defined results: a null text is empty and has only the end id; order is ascending id, null ids first, equal ids by text;
+Defined results: a null text is empty and has only the end id; order is ascending id, null ids first, equal ids by their
+texts' hashes, then texts;
 an empty table gives a manifest without parts and no rows.
 """
 
@@ -66,7 +67,7 @@ def write_tokens(docs: DataFrame, folder: str, vocabulary: str, end_id: int = 1,
     ship(spark)
     store, base = _store(folder)
     store.create_dir(base)
-    ordered = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("text")).repartitionByRange(partitions(spark) * 2, "doc_id", F.xxhash64("text")).sortWithinPartitions("doc_id", F.xxhash64("text"))
+    ordered = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("text")).repartitionByRange(partitions(spark) * 2, "doc_id", F.xxhash64("text")).sortWithinPartitions("doc_id", F.xxhash64("text"), "text")
     parts = [r.asDict() for r in ordered.mapInArrow(_writer(folder, vocabulary, end_id), "part string, docs long, tokens long, width long").collect()]  # one row per part
     parts.sort(key=lambda p: p["part"])
     bases = np.cumsum([0] + [p["tokens"] for p in parts])
