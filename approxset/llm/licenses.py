@@ -3,8 +3,9 @@
 Texts and templates are sequences of lower-cased alphanumeric words. Of each template the winnowed k-gram hashes (the
 least of every `window` neighbours, the rightmost of equals) are indexed with their places. A document's k-grams are
 looked up in the index; hits of a template whose diagonals lie no further apart than the template is long make a
-candidate region, which a local alignment scores, within a band around those diagonals. Hits outside of the reported
-region start regions of their own. A match reports the share of the template's words that align, and the
+candidate region, which a local alignment scores, within a band around those diagonals; the band widens while that finds
+more, and to the template's length before a region is given up. Hits outside of the reported region start regions of
+their own. A match reports the share of the template's words that align, and the
 span of the document in bytes and text. Templates are a bounded parameter and go to every task; documents never move.
 
 Defined results: a null or empty text matches nothing; each region of a document gives its own row, so repeated license
@@ -131,8 +132,14 @@ def regions(doc: np.ndarray, template: np.ndarray, at: np.ndarray, diagonal: np.
     while len(at):
         d = int(diagonal[0])
         spread = int(diagonal[np.searchsorted(diagonal, d + reach, "right") - 1]) - d
-        base = max(0, d - band)
-        matched, first, last = align(doc[base : d + spread + len(template) + band + 1], template, d - base, band, spread)
+        # the band widens while that finds more words, and to the template's length before a region is given up
+        wide, matched = band, -1
+        while True:
+            base, before = max(0, d - wide), matched
+            matched, first, last = align(doc[base : d + spread + len(template) + wide + 1], template, d - base, wide, spread)
+            if wide >= reach or matched == len(template) or (matched <= before and matched / len(template) >= least):
+                break
+            wide = min(2 * wide, reach) if matched / len(template) >= least or before < 0 else reach
         if matched / len(template) >= least:
             yield matched, first + base, last + base
             doc[first + base : last + base + 1] = spare
