@@ -3,8 +3,9 @@
 Rows are range-partitioned by document id; each partition is encoded straight into its own files:
 `<part>.ids` (unsigned little-endian integers, 16 bits where the vocabulary fits, else 32), `<part>.offsets` (64-bit:
 where each document begins in the part, and the end) and `<part>.docs` (64-bit ids; the smallest integer for null).
-A task writes under a name of its attempt and renames at its end, so a repeated task leaves one whole copy. The
-driver sees one row per part; prefix sums over their totals give the parts' bases, kept in `manifest.json`.
+A part's files carry the number of the task attempt that wrote them. The driver sees one row per part, from the attempt
+that succeeded; prefix sums over their totals give the parts' bases, kept in `manifest.json`, which names the files
+and is the one commit: files of failed or repeated attempts are in no manifest and are removed.
 
 Defined results: a null text is empty and has only the end id; order is ascending id, null ids first, equal ids by their
 texts' hashes, then texts;
@@ -19,6 +20,7 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
+from pyarrow.fs import FileSelector
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -40,11 +42,11 @@ def _writer(folder: str, vocabulary: str, end_id: int):
     def write(batches):
         store, base = _store(folder)
         task = TaskContext.get()
-        name, mine = f"part-{task.partitionId():06d}", f".{task.taskAttemptId()}"
+        name = f"part-{task.partitionId():06d}-{task.taskAttemptId()}"
         enc = textkit.word_encoder(vocabulary)
         end = np.array([end_id], enc.dtype).tobytes()
         at, docs = [0], []
-        with store.open_output_stream(f"{base}/{name}.ids{mine}") as out:
+        with store.open_output_stream(f"{base}/{name}.ids") as out:
             for batch in batches:
                 docs.append(batch.column(0).fill_null(NULL_ID).to_numpy().astype("<i8"))
                 for t in batch.column(1).to_pylist():
@@ -52,10 +54,8 @@ def _writer(folder: str, vocabulary: str, end_id: int):
                     out.write(ids)
                     at.append(at[-1] + len(ids) // enc.dtype.itemsize)
         for ext, values in (("offsets", np.array(at, "<i8")), ("docs", np.concatenate(docs) if docs else np.zeros(0, "<i8"))):
-            with store.open_output_stream(f"{base}/{name}.{ext}{mine}") as out:
+            with store.open_output_stream(f"{base}/{name}.{ext}") as out:
                 out.write(values.tobytes())
-        for ext in ("ids", "offsets", "docs"):
-            store.move(f"{base}/{name}.{ext}{mine}", f"{base}/{name}.{ext}")
         yield pa.RecordBatch.from_pydict({"part": [name], "docs": [len(at) - 1], "tokens": [at[-1]], "width": [enc.dtype.itemsize]})
 
     return write
@@ -76,6 +76,10 @@ def write_tokens(docs: DataFrame, folder: str, vocabulary: str, end_id: int = 1,
         p["base"], p["row_base"] = int(b), int(r)
     with store.open_output_stream(f"{base}/manifest.json") as out:
         out.write(json.dumps({"end_id": end_id, "tokens": int(bases[-1]), "documents": int(rows[-1]), "parts": parts}).encode())
+    named = {p["part"] for p in parts}
+    for f in store.get_file_info(FileSelector(base)):
+        if f.base_name.startswith("part-") and f.base_name.split(".")[0] not in named:
+            store.delete_file(f.path)
     return parts
 
 
