@@ -30,8 +30,8 @@ from . import textkit
 from .common import cut, documents, drop_cut, ship
 
 #: Pairs that are broadcast at most (16 bytes each), nodes that a sub-key holds before it may count as hot, earlier shingles
-#: compared to tell whether a pair has met, and members of a shingle that meet in one task.
-SMALL, HOT, BEFORE, MEETING = 500_000, 4096, 8, 2048
+#: compared to tell whether a pair has met, members of a shingle that meet in one task, and words of parity bits.
+SMALL, HOT, BEFORE, MEETING, WORDS = 500_000, 4096, 8, 2048, 8
 
 
 def shingle_sets(texts: list[bytes], width: int) -> list[np.ndarray]:
@@ -195,6 +195,12 @@ def _linked(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return out
 
 
+def _parities(shingles: str) -> list:
+    """64 * WORDS parity bits of a set as columns b0, b1, ...: how many of its shingles fall on each bit, odd or even."""
+    word = lambda w: F.aggregate(F.filter(shingles, lambda t: F.pmod(F.shiftrightunsigned(t, 6), F.lit(WORDS)) == w), F.lit(0).cast("long"), lambda a, t: a.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod(t, F.lit(64)).cast("int"))))
+    return [word(w).alias(f"b{w}") for w in range(WORDS)]
+
+
 def _sharing_rare(left: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """Pairs (x, y) across the components of `left` (x, comp), among them every one that is linked.
 
@@ -202,19 +208,22 @@ def _sharing_rare(left: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     the set, a pair whose first common shingle stands so far back that what follows is less than the overlap a link takes
     can't be linked. So only the rare ends of the sets meet, and texts that share a passage but are otherwise different
     don't. A pair would meet again at each further common shingle: there it is skipped, if one of the `BEFORE` shingles
-    before it is common as well (at the first of those it has met). Members of a frequent shingle are dealt to several
-    tasks. Exact, whatever the size of a group."""
+    before it is common as well (at the first of those it has met). Nor does it where the sets' parity bits differ in more
+    places than linked sets have shingles apart: two parities differ only where the sets do. Members of a frequent
+    shingle are dealt to several tasks. Exact, whatever the size of a group."""
     each = sets.join(left, F.col("id") == F.col("x")).select("x", F.xxhash64("shingles").alias("r"), "comp", F.size("shingles").alias("n"), "shingles").select("x", "r", "comp", "n", F.explode("shingles").alias("t"))
     crossing = each.groupBy("t").agg(F.count("*").alias("f"), F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo != hi").select("t", "f")
     whole = Window.partitionBy("x", "r")
     order = whole.orderBy("f", "t")
     place = each.join(crossing, "t").withColumn("k", F.count("*").over(whole)).withColumn("after", F.col("k") + 1 - F.row_number().over(order)).withColumn("before", F.collect_list("t").over(order.rowsBetween(-BEFORE, -1)))
-    rare = cut(place.filter(f"after * 100 >= n * {percent}").select("t", "x", "comp", "n", "after", "before"), "rare")
+    rare = cut(place.filter(f"after * 100 >= n * {percent}").select("t", "x", "r", "comp", "n", "after", "before"), "rare")
+    parity = sets.join(rare.select("x").distinct(), F.col("id") == F.col("x"), "left_semi").select(F.col("id").alias("x"), F.xxhash64("shingles").alias("r"), *_parities("shingles"))
     spread = rare.groupBy("t", "comp").agg(F.count("*").alias("m")).groupBy("t").agg(F.max_by("comp", F.struct("m", "comp")).alias("main"), F.count("*").alias("comps"), F.ceil(F.sum("m") / MEETING).cast("int").alias("parts")).filter("comps > 1").select("t", "main", "parts")
-    some = rare.join(spread, "t")
+    some = rare.join(spread, "t").join(parity, ["x", "r"])
+    apart = " + ".join(f"bit_count(p.b{w} ^ q.b{w})" for w in range(WORDS))
     p = some.filter("comp != main").withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).alias("p")
     q = some.withColumn("part", F.pmod(F.hash("x"), "parts")).alias("q")
-    meet = F.expr(f"p.t = q.t and p.part = q.part and p.comp != q.comp and (q.comp = q.main or p.x > q.x) and least(p.after, q.after) * {100 + percent} >= (p.n + q.n) * {percent} and not arrays_overlap(p.before, q.before)")
+    meet = F.expr(f"p.t = q.t and p.part = q.part and p.comp != q.comp and (q.comp = q.main or p.x > q.x) and least(p.after, q.after) * {100 + percent} >= (p.n + q.n) * {percent} and ({apart}) * {100 + percent} <= (p.n + q.n) * {100 - percent} and not arrays_overlap(p.before, q.before)")
     out = cut(p.join(q, meet).select(F.greatest("p.x", "q.x").alias("x"), F.least("p.x", "q.x").alias("y")).distinct(), "pairs")
     drop_cut(rare)
     return out
