@@ -26,6 +26,8 @@ from .common import documents, ship
 TRI, WORD, BINS = 1 << 13, 1 << 20, 16
 STATS = 6
 SIZE = TRI + WORD + STATS * BINS
+#: Rated documents of which a step of the fit makes arrays at once.
+BLOCK_ROWS = 256
 _UPPER, _PUNCT, _DIGIT = np.zeros(256, np.float32), np.zeros(256, np.float32), np.zeros(256, np.float32)
 _UPPER[65:91] = _DIGIT[48:58] = 1
 _PUNCT[[*range(33, 48), *range(58, 65), *range(91, 97), *range(123, 127)]] = 1
@@ -88,27 +90,38 @@ def _telling(idx: np.ndarray, grade: np.ndarray, share: np.ndarray, least: int =
 
 
 def fit(rows: list[tuple[np.ndarray, np.ndarray]], grades: np.ndarray, top: int, steps: int = 160, l2: float = 1e-4) -> tuple[np.ndarray, np.ndarray]:
-    """(weights, thresholds): thresholds[g-1] parts the grades below g from g and above."""
+    """(weights, thresholds): thresholds[g-1] parts the grades below g from g and above. Uses up `rows`."""
     whole, t = np.zeros(SIZE), np.array([-1.0] + [0.0] * (top - 1))  # first threshold, then logs of the gaps
     if not len(rows):
         return whole, np.zeros(top)
+    # the arrays of all features keep four bytes an entry; what a step computes is made for one block of rows after the other
     idx, val = np.concatenate([r[0] for r in rows]), np.concatenate([r[1] for r in rows])
-    row = np.repeat(np.arange(len(rows)), [len(r[0]) for r in rows])
-    fine = (idx < TRI) | (idx >= TRI + WORD) | _telling(idx, grades[row], np.bincount(grades, minlength=top + 1) / len(rows))[idx]
-    bins, idx = np.unique(idx[fine], return_inverse=True)
-    val, row = val[fine].astype(np.float64), row[fine]
-    first, size = np.searchsorted(row, np.arange(len(rows))), len(bins)
+    row = np.repeat(np.arange(len(rows), dtype=np.int32), [len(r[0]) for r in rows])
+    many = len(rows)
+    rows.clear()
+    fine = (idx < TRI) | (idx >= TRI + WORD) | _telling(idx, grades.astype(np.int8)[row], np.bincount(grades, minlength=top + 1) / many)[idx]
+    idx, val, row = idx[fine], val[fine], row[fine]
+    used = np.zeros(SIZE, bool)
+    used[idx] = True
+    bins = np.flatnonzero(used)
+    idx = (np.cumsum(used, dtype=np.int32) - 1)[idx]
+    first, size = np.searchsorted(row, np.arange(many + 1)), len(bins)
+    blocks = [(a, min(a + BLOCK_ROWS, many)) for a in range(0, many, BLOCK_ROWS)]
     w, m, v = np.zeros(size), np.zeros(size + top), np.zeros(size + top)
     for k in range(1, steps + 1):
         cuts = np.concatenate([[-np.inf], t[0] + np.concatenate([[0], np.cumsum(np.exp(t[1:]))]), [np.inf]])
-        s = np.add.reduceat(val * w[idx], first)
+        s = np.concatenate([np.add.reduceat(val[first[a] : first[b]] * w[idx[first[a] : first[b]]], first[a:b] - first[a]) for a, b in blocks])
         hi, lo = _sigmoid(cuts[grades + 1] - s), _sigmoid(cuts[grades] - s)
         p = np.maximum(hi - lo, 1e-12)
         dhi, dlo = hi * (1 - hi) / p, lo * (1 - lo) / p
-        ds = (dhi - dlo) / len(rows)
+        ds = (dhi - dlo) / many
         dc = np.bincount(grades, dlo, top + 1)[1:] - np.bincount(grades, dhi, top + 1)[:-1]
-        dt = np.concatenate([[dc.sum()], np.cumsum(dc[::-1])[::-1][1:] * np.exp(t[1:])]) / len(rows)
-        g = np.concatenate([np.bincount(idx, val * ds[row], size) + l2 * w, dt])
+        dt = np.concatenate([[dc.sum()], np.cumsum(dc[::-1])[::-1][1:] * np.exp(t[1:])]) / many
+        dw = l2 * w
+        for a, b in blocks:
+            x, y = first[a], first[b]
+            dw += np.bincount(idx[x:y], val[x:y] * ds[row[x:y]], size)
+        g = np.concatenate([dw, dt])
         m, v = 0.9 * m + 0.1 * g, 0.99 * v + 0.01 * g * g
         rate = 0.05 * min(1, 2 * (1 - k / (steps + 1)))
         step = rate * (m / (1 - 0.9**k)) / (np.sqrt(v / (1 - 0.99**k)) + 1e-6)
@@ -131,7 +144,9 @@ def train(docs: DataFrame, ratings: DataFrame, top: int = 2, sample: int = 6000)
     rated = docs.select("doc_id", "text").join(F.broadcast(drawn), F.col("doc_id") == F.col("__id")).select(F.col("__grade").alias("grade"), "text")
     got = rated.mapInArrow(_featurise, "grade int, bins binary, vals binary").collect()
     got.sort(key=lambda r: (r["grade"], bytes(r["bins"])))
-    return fit([(np.frombuffer(r["bins"], "<i4"), np.frombuffer(r["vals"], "<f4")) for r in got], np.array([r["grade"] for r in got], int), top)
+    rows, grades = [(np.frombuffer(r["bins"], "<i4"), np.frombuffer(r["vals"], "<f4")) for r in got], np.array([r["grade"] for r in got], int)
+    del got
+    return fit(rows, grades, top)
 
 
 def _sparse(w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:

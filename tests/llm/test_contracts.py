@@ -145,7 +145,7 @@ def test_quality_fit_is_a_minimum():
     for g in grades:
         bins = np.unique(np.concatenate([[int(g) if r.random() < 0.7 else int(r.integers(0, 3))], r.integers(3, 40, 6)])).astype("<i4")
         rows.append((bins, np.ones(len(bins), "<f4")))
-    w, cuts = quality.fit(rows, grades, 2)
+    w, cuts = quality.fit(list(rows), grades, 2)
 
     def loss(w, cuts):
         s = np.array([w[b] @ v for b, v in rows])
