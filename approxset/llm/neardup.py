@@ -15,7 +15,7 @@ outliers; no pair list is quadratic in it, and none is cut off.
 
 Defined results: words are separated by ASCII white space and A-Z lower-cased; with fewer words than the width the whole
 sequence is one shingle; a null text or one without words has an empty set, is linked with nothing and is kept; rows with
-equal ids are told apart by their texts, and texts whose smallest id is the same count as linked; null ids take part as
+equal ids are one document that stands for all its texts: what any of them is linked with, the others go with; null ids take part as
 nothing: component null, kept; an empty table gives no rows.
 """
 
