@@ -230,9 +230,11 @@ class ByteBPE:
     def encode(self, texts: list[str]) -> list[list[int]]:
         return [ids for ids, _, _ in self.encode_slices(texts)]
 
-    def decode(self, ids: list[int], begins: list[int], firsts: list[int], lo: int = 0, hi: int | None = None) -> bytes:
-        """Bytes lo to hi of a text: the slices that cover them are found by their offsets, and only their ids are decoded, each
-        slice into its place."""
+    def decode(self, ids: list[int], begins: list[int] | None = None, firsts: list[int] | None = None, lo: int = 0, hi: int | None = None) -> bytes:
+        """Bytes lo to hi of a text: the slices that cover them are found by their offsets, and only their ids are decoded.
+        Ids without offsets are decoded whole."""
+        if begins is None:
+            return b"".join(map(self.tokens.__getitem__, ids))[lo:hi]
         end = begins[-1]
         hi = end if hi is None else min(hi, end)
         if lo >= hi:
