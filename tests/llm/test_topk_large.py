@@ -11,3 +11,22 @@ def test_large_vectors_are_never_dropped(spark):
     edge = [(1, [1.0, 2.0]), (2, [100_000.0, -0.5]), (3, [float("inf"), 0.0]), (4, [float("nan"), 0.0])]
     got = topk.integer_vectors(spark.createDataFrame(edge, "vec_id long, embedding array<double>")).orderBy("id").collect()
     assert [(r["id"], r["v"]) for r in got] == [(1, [256, 512]), (2, [25_600_000, -128])]
+
+
+def test_groups_without_a_best_score_are_left_out():
+    """Queries near one pivot skip the groups near the others; what they get is the same as from all inner products, ties included."""
+    import numpy as np
+
+    rng = np.random.default_rng(3)
+    centre = rng.normal(size=(4, 16)) * 400
+    v = np.floor(np.repeat(centre, 256, axis=0) + rng.integers(-2, 3, (1024, 16)))
+    v[40:60] = v[40]
+    ids, p = rng.permutation(1024), np.floor(centre)
+    q, qid = v[:32], ids[:32]
+    s = q @ v.T
+    s[np.arange(32), np.arange(32)] = -np.inf
+    least = -np.sort(-s, axis=1)[:, 4]
+    got = topk.block_top(qid, q, topk._distances(q, p), ids, v, topk.group_table(v, p), 5, least)
+    want = [(int(qid[i]), int(ids[j]), int(s[i, j])) for i in range(32) for j in np.lexsort((ids, -s[i]))[:5]]
+    assert list(zip(*[x.tolist() for x in got[:3]], strict=True)) == want
+    assert got[3] <= 32 * 1024 / 2
