@@ -16,6 +16,7 @@ documents; ties go to the smaller position in id order; an empty table gives no
 
 from __future__ import annotations
 
+import functools
 import zlib
 
 import numpy as np
@@ -47,10 +48,14 @@ def _frequencies(dtype: str, vocab: int):
     def run(batches):
         df = np.zeros(vocab, np.int64)
         for batch in batches:
-            for x in batch.column(0).to_pylist():
-                seen = np.zeros(vocab, bool)
-                seen[np.frombuffer(x, dtype)] = True
-                df += seen
+            docs = batch.column(0).to_pylist()
+            for lo in range(0, len(docs), 255):  # as many as a byte counts
+                some, seen = np.zeros(vocab, np.uint8), np.zeros(vocab, np.uint8)
+                for x in docs[lo : lo + 255]:
+                    seen[:] = 0
+                    seen[np.frombuffer(x, dtype)] = 1
+                    some += seen
+                df += some
         at = np.flatnonzero(df)
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(df[at])], names=["id", "df"])
 
@@ -68,7 +73,7 @@ class Shard:
         self.of_doc = np.searchsorted(self.doc, np.arange(len(docs) + 1))
         weight = idf[self.term] * tf * (k1 + 1) / (tf + k1 * (1 - b + b * n[self.doc] / mean))
         order = np.argsort(self.term, kind="stable")
-        self.posted, self.weight = self.doc[order], weight[order].astype(np.float32)
+        self.posted, self.weight = self.doc[order].astype(np.intp), weight[order].astype(np.float32).astype(float)  # as bincount takes them
         self.starts = np.searchsorted(self.term[order], np.arange(len(idf) + 1))
         self.size = len(docs)
 
@@ -79,6 +84,12 @@ class Shard:
         at = np.arange(n.sum()) + np.repeat(lo - np.cumsum(n) + n, n)
         return np.bincount(self.posted[at], self.weight[at], self.size)
 
+    def keep(self, alive: np.ndarray) -> None:
+        """Take the postings of all other documents out."""
+        here = alive[self.posted]
+        self.starts = np.concatenate([[0], np.cumsum(here)])[self.starts]
+        self.posted, self.weight = self.posted[here], self.weight[here]
+
 
 def pack_shard(docs: list[np.ndarray], index: Shard, window: int) -> list[tuple[int, int, int, int, int]]:
     """(document, start, length, sequence, offset) of all pieces."""
@@ -91,7 +102,7 @@ def pack_shard(docs: list[np.ndarray], index: Shard, window: int) -> list[tuple[
             seq += 1
     rest = n - start
     by_length = np.argsort(-rest, kind="stable")
-    at = 0
+    at, posted = 0, len(docs)
     while True:
         while at < len(by_length) and not rest[by_length[at]]:
             at += 1
@@ -110,6 +121,9 @@ def pack_shard(docs: list[np.ndarray], index: Shard, window: int) -> list[tuple[
         put(seed, rest[seed])
         if room:
             left = np.flatnonzero(rest)
+            if len(left) < 0.8 * posted:  # scores of what is used up aren't needed any more
+                index.keep(rest > 0)
+                posted = len(left)
             left = left[np.argsort(-index.scores(seed)[left], kind="stable")]
             sizes = rest[left]
             used = np.zeros(len(left), bool)
@@ -126,9 +140,14 @@ def pack_shard(docs: list[np.ndarray], index: Shard, window: int) -> list[tuple[
         seq += 1
 
 
+@functools.cache
+def _axes(vocab: int) -> np.ndarray:
+    return np.random.default_rng(6).standard_normal((vocab, DIM), np.float32)
+
+
 def signatures(docs: list[np.ndarray], idf: np.ndarray, k1: float = 1.2) -> np.ndarray:
     """Saturated BM25 weights of each document under a fixed random projection, of unit length."""
-    axes = np.random.default_rng(6).standard_normal((len(idf), DIM), np.float32)
+    axes = _axes(len(idf))
     out = np.zeros((len(docs), DIM), np.float32)
     for i, d in enumerate(docs):
         t, tf = np.unique(d, return_counts=True)
