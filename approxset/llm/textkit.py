@@ -118,8 +118,17 @@ class WordEncoder:
         self.fast = self._known(path)
         #: The vocabulary file's own split pattern.
         self.split = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+").findall
-        self.split_ascii = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^\sa-z0-9]+").findall
-        self.byte_level = ByteLevel(add_prefix_space=False, use_regex=False).pre_tokenize_str
+        self.split_ascii = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^\t-\r a-z0-9]+").findall  # `re` takes U+001C to U+001F for white space, the library doesn't
+        #: The same classes below U+0250, where `re` is faster; and the letters that stand for bytes.
+        latin = [chr(i) for i in range(128, 0x250)]
+        letters, numbers = ("".join(c for c in latin if regex.match(x, c)) for x in (r"\p{L}", r"\p{N}"))
+        self.split_latin = re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d|[a-zA-Z{letters}]+|[0-9{numbers}]|[^\t-\r \x85\xa0a-zA-Z0-9{letters}{numbers}]+").findall
+        byte_level = ByteLevel(add_prefix_space=False, use_regex=False).pre_tokenize_str
+        # characters below 128 are one byte each; the first characters of 64 two-byte leads give the rest
+        self.bytes_as = {i: byte_level(chr(i))[0][0] for i in range(128)}
+        for i in range(0x80, 0x800):
+            for byte, c in zip(chr(i).encode(), byte_level(chr(i))[0][0], strict=True):
+                self.bytes_as[byte] = c
 
     @staticmethod
     def _known(path: str) -> bool:
@@ -130,10 +139,12 @@ class WordEncoder:
         pres = (x["pre_tokenizer"] or {}).get("pretokenizers", [])
         return kinds == ["NFC", "Replace", "Lowercase"] and [p["type"] for p in pres] == ["Split", "ByteLevel"] and pres[0]["pattern"] == {"Regex": r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"}
 
-    def _piece(self, p: str, mapped: bool = False) -> bytes:
+    def _piece(self, p: str) -> bytes:
         got = self.pieces.get(p)
         if got is None:
-            got = array(self.code, [t.id for t in self.model.tokenize(p if mapped else self.byte_level(p)[0][0])]).tobytes()
+            # a printable ASCII character stands for its own byte
+            mapped = p if p.isascii() and p.isprintable() else p.encode().decode("latin-1").translate(self.bytes_as)
+            got = array(self.code, [t.id for t in self.model.tokenize(mapped)]).tobytes()
             if len(self.pieces) < self.most:
                 self.pieces[p] = got
         return got
@@ -142,9 +153,11 @@ class WordEncoder:
         if not self.fast:
             got = array(self.code, self.lib.encode(c, add_special_tokens=False).ids).tobytes()
         elif c.isascii():
-            got = b"".join([self._piece(p) for p in self.split_ascii(c.lower())])
+            c_ = c.lower()
+            got = self._piece(c_) if c_.isalpha() else b"".join([self._piece(p) for p in self.split_ascii(c_)])
         elif max(c) < "\u0250":  # no combining marks: already in composed form
-            got = b"".join([self._piece(p) for p in self.split(c.lower())])
+            c_ = c.lower()
+            got = b"".join([self._piece(p) for p in (self.split_latin if max(c_) < "\u0250" else self.split)(c_)])
         else:
             got = array(self.code, self.lib.encode(c, add_special_tokens=False).ids).tobytes()
         if len(self.chunks) < self.most:
