@@ -10,13 +10,13 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..cluster import work_folder
+from ..cluster import cleaned, drop_folder, work_folder
 from ..operators import bloom, tiered
 from ..schema import FilterSpec
 from ..sources import tables as src
 from .base import ABSENT, H60, TRIPLES, query, spec_for
 from .baselines import lanes, layered_bits, read_sql
-from .tiers import fed
+from .tiers import ends, fed
 
 #: Hash functions of the write-buffered, page-local and layered filters at a rate of 1/4096, and bits of a block and a read page.
 K_BUFFERED, K_LOCAL, K_LAYERED, BLOCK, PAGE, SLOTS_A_BLOCK = 12, 13, 14, 4096, 512, 256
@@ -33,8 +33,9 @@ def filled(spark, d, ratio: int, kind=tiered.LevelledFilter, **more) -> tiered.L
     name = (spark.sparkContext.applicationId, d, ratio, kind.__name__, tuple(sorted(more.items())))
     if name not in _filled:
         keys = src.triple_keys(spark, d)
-        spec, buffer = spec_for(keys, 12), buffer_of(keys.count(), ratio)
-        _filled[name] = fed(kind(spark, work_folder(spark), spec, buffer, **more), src.arrivals(keys), buffer)
+        n = keys.count()
+        spec, buffer = spec_for(keys, 12), buffer_of(n, ratio)
+        _filled[name] = fed(kind(spark, work_folder(spark), spec, buffer, **more), src.arrived_by(keys, ends(n, buffer)), buffer)
     return _filled[name]
 
 
@@ -48,52 +49,60 @@ def _blocks(items) -> F.Column:
 
 
 def _writes(flushes: DataFrame) -> DataFrame:
-    """One row of (flush, random, sequential): flushes, blocks written in either way, the largest flush."""
+    """One row of (times, random, sequential): flushes, blocks written in either way, the largest flush."""
     z = lambda c: F.coalesce(c, F.lit(0)).cast("long")
-    return flushes.agg(F.count("*").alias("flushes"), z(F.sum("random")).alias("random_writes"), z(F.sum("sequential")).alias("sequential_writes"), z(F.max(F.col("random") + F.col("sequential"))).alias("largest_flush"))
+    t = F.col("times")
+    return flushes.filter(t > 0).agg(z(F.sum(t)).alias("flushes"), z(F.sum(t * F.col("random"))).alias("random_writes"), z(F.sum(t * F.col("sequential"))).alias("sequential_writes"), z(F.max(F.col("random") + F.col("sequential"))).alias("largest_flush"))
 
 
 def _reads(found: DataFrame) -> DataFrame:
-    """One row of (present, maybe, reads, buffered): lookups, pages read and wrong answers of either kind of key."""
-    p = F.col("present")
+    """One row of (present, maybe, reads, buffered, times): lookups, pages read and wrong answers of either kind of key."""
+    p, maybe = F.col("present"), F.col("maybe")
+    z = lambda c, x=1: F.coalesce(F.sum(F.when(c, F.col("times") * x)), F.lit(0)).cast("long")
     return found.agg(
-        F.count(F.when(p, 1)).alias("present_lookups"), F.coalesce(F.sum(F.when(p, F.col("reads"))), F.lit(0)).alias("present_reads"), F.count(F.when(p & F.col("buffered"), 1)).alias("ended_in_buffer"), F.count(F.when(p & ~F.col("maybe"), 1)).alias("false_negatives"),
-        F.count(F.when(~p, 1)).alias("absent_lookups"), F.coalesce(F.sum(F.when(~p, F.col("reads"))), F.lit(0)).alias("absent_reads"), F.count(F.when(~p & F.col("maybe"), 1)).alias("false_positives"),
+        z(p).alias("present_lookups"), z(p, F.col("reads")).alias("present_reads"), z(p & F.col("buffered")).alias("ended_in_buffer"), z(p & ~maybe).alias("false_negatives"),
+        z(~p).alias("absent_lookups"), z(~p, F.col("reads")).alias("absent_reads"), z(~p & maybe).alias("false_positives"),
     )
 
 
 def storage_run(spark, d, ratio: int) -> DataFrame:
-    """One row for each of the five structures."""
+    """One row for each of the five structures. Each is done, and what it shuffled gone, before the next begins."""
     keys = src.triple_keys(spark, d)
     n = keys.count()
     b = buffer_of(n, ratio)
-    arrived = src.arrivals(keys).cache()
-    probes = lookups(spark, d).cache()
-    once = probes.distinct()  # shifted keys overlap where there are more than a million orders; the SQL asks the Bloom filters once
-    rows = []
+    arrived = src.arrived_by(keys, ends(n, b))
+    rows, out = [], []
+    one = F.lit(1).cast("long")
+    none = F.lit(0).cast("long")
 
     def put(name: str, flushes: DataFrame, found: DataFrame) -> None:
-        rows.append(_writes(flushes).crossJoin(_reads(found)).select(F.lit(name).alias("structure"), "*"))  # one row each
-
-    for name, kind in (("two-tier", tiered.TwoTierFilter), ("levelled", tiered.LevelledFilter)):
-        f = filled(spark, d, ratio, kind)
-        flushes = f.history().select(F.lit(0).cast("long").alias("random"), _blocks(F.col("written")).alias("sequential"))
-        found = f.probe(probes).select("present", "maybe", F.col("levels_read").alias("reads"), F.coalesce(F.col("level") == 0, F.lit(False)).alias("buffered"))
-        put(name, flushes, found)
-    epoch = F.call_function("div", F.col("seq") - 1, F.lit(b).cast("long"))
-    buffered = F.lit(False).alias("buffered")
-    w = bloom.BloomFilter.for_items(n, 2.0**-12, K_BUFFERED)
-    flushes = bloom.write_buffered_writes(arrived.filter(F.col("seq") <= n // b * b), w, b, BLOCK).select(F.col("page_writes").alias("random"), F.lit(0).cast("long").alias("sequential"))
-    put("write-buffered", flushes, w.reads(once, w.build(keys), PAGE).select("present", "maybe", "reads", buffered))
-    one = (F.lit(1).cast("long").alias("random"), F.lit(0).cast("long").alias("sequential"))
-    p = bloom.PageLocalBloom.for_items(n, 2.0**-12, BLOCK, K_LOCAL)
-    put("page-local", p.flush_times(arrived, max(1, b // p.blocks)).select(*one), p.reads(once, p.build(keys), PAGE).select("present", "maybe", "reads", buffered))
-    y = bloom.LayeredBloom(b, 18, K_LAYERED, BLOCK)
-    put("layered", y.flush_times(arrived, b).select(*one), y.reads(once, y.build(arrived, n), y.layers(n), PAGE).select("present", "maybe", "reads", buffered))
-    out = rows[0]
-    for r in rows[1:]:
-        out = out.unionByName(r)
-    return out
+        out.append(_writes(flushes).crossJoin(_reads(found)).select(F.lit(name).alias("structure"), "*"))  # one row each
+        rows.extend(out[-1].collect())
+
+    with cleaned(spark):
+        # the fingerprints are asked as often as the lookups name a key, the Bloom filters once, as their SQL does
+        folder = work_folder(spark)
+        lookups(spark, d).groupBy("k", "present").agg(F.count("*").alias("times")).write.option("compression", "zstd").parquet(folder)
+        probes = spark.read.schema("k string, present boolean, times long").parquet(folder)
+        once = probes.select("k", "present", one.alias("times"))
+        for name, kind in (("two-tier", tiered.TwoTierFilter), ("levelled", tiered.LevelledFilter)):
+            f = filled(spark, d, ratio, kind)
+            flushes = f.history().select(one.alias("times"), none.alias("random"), _blocks(F.col("written")).alias("sequential"))
+            found = f.probe(probes).select("present", "maybe", F.col("levels_read").alias("reads"), F.coalesce(F.col("level") == 0, F.lit(False)).alias("buffered"), "times")
+            put(name, flushes, found)
+
+        def read(x) -> DataFrame:
+            return x.select("present", "maybe", "reads", F.lit(False).alias("buffered"), "times")
+
+        w = bloom.BloomFilter.for_items(n, 2.0**-12, K_BUFFERED)
+        flushes = bloom.write_buffered_writes(arrived.filter(F.col("seq") <= n // b * b), w, b, BLOCK).select(one.alias("times"), F.col("page_writes").alias("random"), none.alias("sequential"))
+        put("write-buffered", flushes, read(w.reads(once, w.build(keys), PAGE)))
+        p = bloom.PageLocalBloom.for_items(n, 2.0**-12, BLOCK, K_LOCAL)
+        put("page-local", p.flushes(keys, max(1, b // p.blocks)).select(F.col("flushes").alias("times"), one.alias("random"), none.alias("sequential")), read(p.reads(once, p.build(keys), PAGE)))
+        y = bloom.LayeredBloom(b, 18, K_LAYERED, BLOCK)
+        put("layered", y.flushes(arrived, b).select(F.col("flushes").alias("times"), one.alias("random"), none.alias("sequential")), read(y.reads(once, y.build(arrived, n), y.layers(n), PAGE)))
+    drop_folder(spark, folder)
+    return spark.createDataFrame(rows, out[0].schema)
 
 
 def _run_sql(ratio: int) -> str:
