@@ -7,6 +7,7 @@ import time
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..cluster import cleaned
 from ..operators import bloom
 from ..operators import quotient as qf
 from ..schema import FilterSpec
@@ -26,7 +27,8 @@ def run(spark, d, structures=STRUCTURES, steps=tuple(range(1, 19)), r: int = 9)
     slots = -(-n * 10 // 9)
     spec = FilterSpec(p=(slots - 1).bit_length() + r, slots=slots, max_load=0.9)
     b, p = bloom.BloomFilter(slots * (r + 3), r), bloom.PageLocalBloom(-(-slots * (r + 3) // 4096), 4096, r)
-    arrived = src.arrivals(keys).withColumn("step", F.call_function("div", F.col("seq") * 20 + slots - 1, F.lit(slots).cast("long"))).cache()
+    ends = [i * slots // 20 for i in range(1, 20)]
+    arrived = src.arrived_by(keys, ends).withColumn("step", F.call_function("div", F.col("seq") * 20 + slots - 1, F.lit(slots).cast("long"))).cache()
     arrived.count()
     absent = arrived.select("step", F.concat(F.lit("absent "), "k").alias("k"))
     out = []
@@ -58,4 +60,6 @@ def run(spark, d, structures=STRUCTURES, steps=tuple(range(1, 19)), r: int = 9)
 @query("throughput_by_phase")
 def throughput_by_phase(spark, d) -> DataFrame:
     """Four of the phases, at a quarter, half, three quarters and nine tenths of the slots."""
-    return spark.createDataFrame(run(spark, d, steps=(5, 10, 15, 18)), "structure string, step long, operation string, items long, seconds double, a_second double")
+    with cleaned(spark):
+        rows = run(spark, d, steps=(5, 10, 15, 18))
+    return spark.createDataFrame(rows, "structure string, step long, operation string, items long, seconds double, a_second double")

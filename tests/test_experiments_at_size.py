@@ -8,7 +8,7 @@ from approxset.operators import bloom, tiered
 from approxset.operators.quotient import build_fp
 from approxset.schema import FilterSpec
 from approxset.sources import tables as src
-from approxset.workloads import experiments, tiers
+from approxset.workloads import experiments, throughput, tiers
 
 
 def keys(spark, n, copies=1):
@@ -71,3 +71,13 @@ def test_lanes_are_those_of_the_digest(spark):
     for lanes, width in ((10, 9), (14, 9), (15, 8)):
         d = keys(spark, 50).select("k", digest_lanes(F.col("k"), lanes, width).alias("l")).toArrow()
         assert np.array_equal(bloom.lanes_of(d["k"].combine_chunks(), lanes, width), np.array(d["l"].to_pylist()))
+
+
+def test_phases_are_cut_without_a_sort(spark, sf, monkeypatch):
+    d = src.triple_keys(spark, sf)
+    slots = -(-d.count() * 10 // 9)
+    step = F.call_function("div", F.col("seq") * 20 + slots - 1, F.lit(slots).cast("long"))
+    want = [src.arrivals(d).filter((step > lo) & (step <= hi)).count() for lo, hi in ((0, 5), (5, 18))]
+    monkeypatch.setattr(src, "arrivals", None)
+    got = throughput.run(spark, sf, ("classic",), (5, 18))
+    assert [x[3] for x in got if x[2] == "insert"] == want and sum(want) == d.count()
