@@ -3,10 +3,11 @@
 Vectors are packed into blocks, in the order of their nearest pivots; each block carries a table of the least and largest
 distance to every pivot in each group of `GROUP` vectors. For a query, the largest gap between its own distance to a pivot and
 a group's range bounds the distance to all of the group from below, hence (with the norms) their inner products from above.
-A group whose bound reaches no query's k-th best score in the sample is left out, ties included; what remains is evaluated
+A group whose bound reaches no query's k-th best score so far (in the sample or the task's blocks) is left out, ties included; what remains is evaluated
 by matrix products of a tile of queries, which are exact: in single precision where all products stay below 2^24, else in
-double precision. Query blocks of bounded size meet candidate blocks through an equi-join on the candidate block's number;
-each meeting yields k rows per query at most.
+double precision. Query blocks are sent to all tasks, `SENT` bytes in a pass at most, and meet the candidate blocks where these
+lie: no vector is copied once a meeting. A task keeps each query's k best so far, which raise the bound of its next
+blocks, and yields k rows per query at most.
 
 Pivots come from a bounded sample (`sample` vectors, farthest-first); it steers speed only, never the result. Squared
 distances are sums of integers below 2^53 and so exact; the slack of the bounds covers their square roots.
@@ -25,11 +26,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..cluster import cleaned
 from .common import cut, ship
 
 EXACT = 2.0**51
 #: Vectors of a block that share a row of bounds.
 GROUP = 64
+#: Bytes of the queries' vectors that are sent to all tasks in one pass.
+SENT = 32 << 20
 OUT = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.int64())])
 
 
@@ -48,9 +52,9 @@ def _pack(pivots: np.ndarray, dim: int, more):
 
     def pack(key, table):
         ids = table["id"].to_numpy()
-        v = np.zeros((len(ids), dim))
-        for i, x in enumerate(table["v"].to_pylist()):
-            v[i, : len(x)] = x
+        v, x = np.zeros((len(ids), dim)), table["v"].combine_chunks()
+        long = x.value_lengths().to_numpy(zero_copy_only=False)
+        v[np.arange(dim) < long[:, None]] = x.flatten().to_numpy()
         o = np.lexsort((ids, _distances(v, pivots).argmin(1)))
         return pa.table({"block": pa.array([key[0].as_py()], pa.int32()), "ids": [ids[o].astype("<i8").tobytes()], "vectors": [v[o].astype("<i4").tobytes()], "table": [more(ids[o], v[o]).astype("<f8").tobytes()]})
 
@@ -98,7 +102,7 @@ def block_top(qid: np.ndarray, q: np.ndarray, qt: np.ndarray, ids: np.ndarray, v
     own = np.isin(ids, qid)
     for lo in range(0, len(qid), tile):
         part = slice(lo, lo + tile)
-        floor = least[part, None]
+        floor = np.maximum(least[part, None], -2 * EXACT)  # above what marks a query's own row
         live = (group_bounds(q[part], qt[part], table) >= floor).any(axis=0)
         at = np.flatnonzero(np.repeat(live, GROUP)[: len(ids)])
         if not len(at):
@@ -107,14 +111,14 @@ def block_top(qid: np.ndarray, q: np.ndarray, qt: np.ndarray, ids: np.ndarray, v
         done += s.size
         for j in np.flatnonzero(own[at]):
             s[qid[part] == ids[at[j]], j] = -np.inf
-        good = (s >= floor) & (s > -np.inf)
-        many = good.sum(axis=1)
+        good = s >= floor.astype(kind)
+        many = np.bincount(np.flatnonzero(good) // len(at), minlength=len(s))
         for i in np.flatnonzero(many > 16 * k):  # a low or much tied bound: the k best of the row alone
             kth = np.partition(s[i], len(at) - k)[len(at) - k] if len(at) > k else -np.inf
             tied = np.flatnonzero(good[i] & (s[i] == kth))
             good[i] &= s[i] > kth
             good[i, tied[np.argsort(ids[at[tied]], kind="stable")[:k]]] = True
-        i, j = np.nonzero(good)
+        i, j = np.divmod(np.flatnonzero(good), len(at))
         score, found = s[i, j].astype(np.int64), ids[at[j]]
         o = np.lexsort((found, -score, i))
         i, score, found = i[o], score[o], found[o]
@@ -132,14 +136,38 @@ def sample_best(qid: np.ndarray, q: np.ndarray, ids: np.ndarray, v: np.ndarray,
     return -np.partition(-s, k - 1, axis=1)[:, k - 1]
 
 
+def best_of(query: np.ndarray, found: np.ndarray, score: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The k best rows of each query id, ties to the smaller id, by query id and rank."""
+    o = np.lexsort((found, -score, query))
+    query, found, score = query[o], found[o], score[o]
+    first = np.arange(len(query)) - np.searchsorted(query, query) < k
+    return query[first], found[first], score[first]
+
+
+def raised(least: np.ndarray, qid: np.ndarray, best: tuple[np.ndarray, np.ndarray, np.ndarray], k: int) -> np.ndarray:
+    """`least`, or the k-th of the best rows found so far (as `best_of` gives them) where that is more."""
+    query, _, score = best
+    first = np.searchsorted(query, qid)
+    full = np.flatnonzero(np.searchsorted(query, qid, "right") - first >= k)
+    out = least.copy()
+    out[full] = np.maximum(least[full], score[first[full] + k - 1])
+    return out
+
+
 def _meet(k: int, dim: int, pivots: np.ndarray):
     def run(batches):
+        held = {}  # by query block: each query's best rows of the task's blocks so far, and the least score that can still be one
         for batch in batches:
             for i in range(batch.num_rows):
                 r = {n: batch.column(n)[i].as_py() for n in batch.schema.names}
                 q, v = (np.frombuffer(r[n], "<i4").reshape(-1, dim).astype(float) for n in ("qvectors", "vectors"))
-                got = block_top(np.frombuffer(r["qids"], "<i8"), q, _distances(q, pivots), np.frombuffer(r["ids"], "<i8"), v, np.frombuffer(r["table"], "<f8").reshape(-1, 2 * len(pivots) + 1), k, np.frombuffer(r["least"], "<f8"))
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in got[:3]], schema=OUT)
+                qid = np.frombuffer(r["qids"], "<i8")
+                best, least = held.get(r["qblock"]) or (None, np.frombuffer(r["least"], "<f8"))
+                got = block_top(qid, q, _distances(q, pivots), np.frombuffer(r["ids"], "<i8"), v, np.frombuffer(r["table"], "<f8").reshape(-1, 2 * len(pivots) + 1), k, least)[:3]
+                best = best_of(*(got if best is None else map(np.concatenate, zip(best, got, strict=True))), k)
+                held[r["qblock"]] = best, raised(least, qid, best, k)
+        for best, _ in held.values():
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in best], schema=OUT)
 
     return run
 
@@ -163,10 +191,25 @@ def top_k(candidates: DataFrame, queries: DataFrame, k: int = 5, pivots: int = 3
     kind = "block int, ids binary, vectors binary, table binary"
     right = cut(dealt(candidates, blocks).groupBy("block").applyInArrow(_pack(p, dim, lambda _, x: group_table(x, p)), kind), "candidate-blocks")
     left = cut(dealt(queries, qblocks).groupBy("block").applyInArrow(_pack(p, dim, lambda ids, x: sample_best(ids, x, some_ids, some_v, k)), kind), "query-blocks")
-    met = left.select(F.col("ids").alias("qids"), F.col("vectors").alias("qvectors"), F.col("table").alias("least"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block")).join(right, "block").repartition(max(1, min(blocks * qblocks, 4096)), "block", "qids")
-    best = met.select("qids", "qvectors", "least", "ids", "vectors", "table").mapInArrow(_meet(k, dim, p), "query_id long, vec_id long, score long")
-    w = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    return best.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    tasks = min(blocks, max(16, 4 * spark.sparkContext.defaultParallelism))
+    left = left.select(F.col("block").alias("qblock"), F.col("ids").alias("qids"), F.col("vectors").alias("qvectors"), F.col("table").alias("least"))
+    many = max(1, SENT // (block * dim * 4))
+
+    def ranked(rows: DataFrame) -> DataFrame:
+        w = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+        return rows.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+
+    def met(asked: DataFrame) -> DataFrame:
+        return ranked(right.repartition(tasks, "block").crossJoin(F.broadcast(asked)).mapInArrow(_meet(k, dim, p), "query_id long, vec_id long, score long"))
+
+    if qblocks <= many:
+        return met(left)
+    out = None
+    for lo in range(0, qblocks, many):
+        with cleaned(spark):
+            one = cut(met(left.filter(F.col("qblock").between(lo, lo + many - 1))), "best")
+        out = one if out is None else out.unionByName(one)
+    return ranked(out.drop("rank"))  # rows of one query id may have come in several passes
 
 
 def op7_exact_topk(spark, sf_dir: str) -> DataFrame:

@@ -30,3 +30,47 @@ def test_groups_without_a_best_score_are_left_out():
     want = [(int(qid[i]), int(ids[j]), int(s[i, j])) for i in range(32) for j in np.lexsort((ids, -s[i]))[:5]]
     assert list(zip(*[x.tolist() for x in got[:3]], strict=True)) == want
     assert got[3] <= 32 * 1024 / 2
+
+
+def _sent(plan):
+    """Bytes that the plan's broadcasts sent."""
+    kind = plan.getClass().getSimpleName()
+    if kind == "AdaptiveSparkPlanExec":
+        return _sent(plan.executedPlan())
+    if kind.endswith("QueryStageExec"):
+        return _sent(plan.plan())
+    own = plan.metrics().apply("dataSize").value() if kind == "BroadcastExchangeExec" else 0
+    below = plan.children()
+    return own + sum(_sent(below.apply(i)) for i in range(below.size()))
+
+
+def _vectors(spark, many, dim=64):
+    import numpy as np
+
+    rng = np.random.default_rng(7)
+    x = np.round(rng.normal(size=(many, dim)), 2)
+    x[::7] = x[7]  # ties
+    ids = np.arange(many)
+    ids[100:120] = 0  # several rows of a query's id
+    rows = topk.integer_vectors(spark.createDataFrame([(int(i), v.tolist()) for i, v in zip(ids, x, strict=True)], "vec_id long, embedding array<double>"))
+    v = np.floor(256 * x).astype(int)
+    want = set()
+    for i in np.unique(ids[ids % 50 == 0]):
+        s = sorted((-int(v[j] @ v[a]), int(ids[a])) for j in np.flatnonzero(ids == i) for a in np.flatnonzero(ids != i))[:5]
+        want |= {(int(i), rank + 1, a, -score) for rank, (score, a) in enumerate(s)}
+    return rows, want
+
+
+def test_queries_are_sent_once_not_once_a_block(spark):
+    """What is sent to all tasks must not grow with the candidates: at 600,000 vectors it was 0.5 GB, at the driver."""
+    rows, want = _vectors(spark, 2000)
+    got = topk.top_k(rows, rows.filter("id % 50 = 0"), 5, block=64)
+    assert set(map(tuple, got.collect())) == want
+    assert _sent(got._jdf.queryExecution().executedPlan()) < 100 * 64 * 4 * 3
+
+
+def test_queries_of_several_passes(spark, monkeypatch):
+    rows, want = _vectors(spark, 1000)
+    monkeypatch.setattr(topk, "SENT", 1)
+    got = topk.top_k(rows, rows.filter("id % 50 = 0"), 5, block=16)
+    assert sorted(map(tuple, got.collect())) == sorted(want)
