@@ -92,6 +92,15 @@ def group_bounds(q: np.ndarray, qt: np.ndarray, table: np.ndarray) -> np.ndarray
     return ((q**2).sum(1)[:, None] + table[:, 2 * m] - low**2) / 2 + 0.5
 
 
+def reached(q: np.ndarray, qt: np.ndarray, table: np.ndarray, floor: np.ndarray, first: int = 16) -> np.ndarray:
+    """Whether a group's bound reaches the floor of any query. Few queries show it for most groups; the others ask all."""
+    live = np.zeros(len(table), bool)
+    for part in (slice(first), slice(first, None)):
+        if len(at := np.flatnonzero(~live)) and len(q[part]):
+            live[at] = (group_bounds(q[part], qt[part], table[at]) >= floor[part]).any(axis=0)
+    return live
+
+
 def block_top(qid: np.ndarray, q: np.ndarray, qt: np.ndarray, ids: np.ndarray, v: np.ndarray, table: np.ndarray, k: int, least: np.ndarray, tile: int = 256) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
     """Queries' ids, ids and scores of each query's k best in the block, and how many inner products it took. Scores below
     `least`, one for each query, are known not to be among its k best anywhere."""
@@ -103,8 +112,7 @@ def block_top(qid: np.ndarray, q: np.ndarray, qt: np.ndarray, ids: np.ndarray, v
     for lo in range(0, len(qid), tile):
         part = slice(lo, lo + tile)
         floor = np.maximum(least[part, None], -2 * EXACT)  # above what marks a query's own row
-        live = (group_bounds(q[part], qt[part], table) >= floor).any(axis=0)
-        at = np.flatnonzero(np.repeat(live, GROUP)[: len(ids)])
+        at = np.flatnonzero(np.repeat(reached(q[part], qt[part], table, floor), GROUP)[: len(ids)])
         if not len(at):
             continue
         s = q_[part] @ (v if len(at) == len(v) else v[at]).T
@@ -112,13 +120,15 @@ def block_top(qid: np.ndarray, q: np.ndarray, qt: np.ndarray, ids: np.ndarray, v
         for j in np.flatnonzero(own[at]):
             s[qid[part] == ids[at[j]], j] = -np.inf
         good = s >= floor.astype(kind)
-        many = np.bincount(np.flatnonzero(good) // len(at), minlength=len(s))
-        for i in np.flatnonzero(many > 16 * k):  # a low or much tied bound: the k best of the row alone
-            kth = np.partition(s[i], len(at) - k)[len(at) - k] if len(at) > k else -np.inf
-            tied = np.flatnonzero(good[i] & (s[i] == kth))
-            good[i] &= s[i] > kth
-            good[i, tied[np.argsort(ids[at[tied]], kind="stable")[:k]]] = True
         i, j = np.divmod(np.flatnonzero(good), len(at))
+        many = np.flatnonzero(np.bincount(i, minlength=len(s)) > 16 * k)
+        for m in many:  # a low or much tied bound: the k best of the row alone
+            kth = np.partition(s[m], len(at) - k)[len(at) - k] if len(at) > k else -np.inf
+            tied = np.flatnonzero(good[m] & (s[m] == kth))
+            good[m] &= s[m] > kth
+            good[m, tied[np.argsort(ids[at[tied]], kind="stable")[:k]]] = True
+        if len(many):
+            i, j = np.divmod(np.flatnonzero(good), len(at))
         score, found = s[i, j].astype(np.int64), ids[at[j]]
         o = np.lexsort((found, -score, i))
         i, score, found = i[o], score[o], found[o]

@@ -74,3 +74,17 @@ def test_queries_of_several_passes(spark, monkeypatch):
     monkeypatch.setattr(topk, "SENT", 1)
     got = topk.top_k(rows, rows.filter("id % 50 = 0"), 5, block=16)
     assert sorted(map(tuple, got.collect())) == sorted(want)
+
+
+def test_few_queries_decide_only_for_groups_they_reach():
+    """The same groups as all bounds of all queries give, whether the first queries reach them, the last ones, or none."""
+    import numpy as np
+
+    rng = np.random.default_rng(11)
+    centre = np.floor(rng.normal(size=(6, 16)) * 400)
+    v = np.floor(np.repeat(centre, 128, axis=0) + rng.integers(-2, 3, (768, 16)))
+    q = np.concatenate([np.repeat(centre[:1], 20, axis=0), np.repeat(centre[1:3], 30, axis=0)])
+    table, qt, floor = topk.group_table(v, centre), topk._distances(q, centre), (q**2).sum(1)[:, None] - 100
+    want = (topk.group_bounds(q, qt, table) >= floor).any(axis=0)
+    assert topk.reached(q, qt, table, floor).tolist() == want.tolist() and 0 < want.sum() < len(want)
+    assert topk.reached(q[:3], qt[:3], table, floor[:3]).tolist() == (topk.group_bounds(q[:3], qt[:3], table) >= floor[:3]).any(axis=0).tolist()
